@@ -2,13 +2,14 @@
 
 from __future__ import annotations
 
-from . import exact_dedup, license_scan, line_dedup, media, near_dedup, packing, pii, token_store
+from . import exact_dedup, license_scan, line_dedup, media, near_dedup, packing, pii, token_store, toxicity
 
 
 def queries() -> dict:
     return {
         "op2_exact_dedup": exact_dedup.query,
         "op3_media_columns": media.query,
+        "op4_toxicity": toxicity.query,
         "op5_token_store": token_store.query,
         "op6_line_dedup": line_dedup.query,
         "op7_license_scan": license_scan.query,

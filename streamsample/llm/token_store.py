@@ -23,6 +23,7 @@ import pyarrow as pa
 from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from .shared import Workspace, read
 from .shingles import mixed
@@ -199,7 +200,7 @@ def _checked(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(n, pa.int64()), pa.array(crc, pa.int64())], names=["hash", "n", "crc"])
 
 
-@F.pandas_udf("long")
+@F.pandas_udf(T.LongType())
 def _placed_crc(crc: pd.Series, after: pd.Series) -> pd.Series:
     return pd.Series(crc_before(crc.to_numpy(), after.to_numpy()).astype(np.int64))
 

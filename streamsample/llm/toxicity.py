@@ -13,12 +13,12 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .gru import DIMS, Words, embedded, sigmoid, tables_of, text_logits, train
+from .gru import DIMS, Words, embedded, sigmoid, tables_of, text_logits, train, word_inputs
 from .shared import read
 from .tokens import text_slices
 
-#: Labelled rows of each class that training takes at most, and the longest text among them.
-SAMPLE, LONGEST = 1500, 20_000
+#: Labelled rows that training takes at most, of label 0 and label 1, and the longest text among them.
+SAMPLE, LONGEST = (3000, 1500), 20_000
 #: Distinct words that a task remembers at most.
 REMEMBERED = 300_000
 OUT = "doc_id long, held_out boolean, score double, predicted int, n_windows long"
@@ -29,11 +29,11 @@ def fold(id_col: str) -> F.Column:
     return F.crc32(F.col(id_col).cast("string").cast("binary")) % 5
 
 
-def sample(docs: DataFrame, labels: DataFrame, size: int = SAMPLE, id_col: str = "doc_id", text_col: str = "text") -> list[tuple[int, str, int, int]]:
-    """At most ``size`` rows (id, text, label, fold) of each label, none of fold 0, by the order of a hash of the id."""
+def sample(docs: DataFrame, labels: DataFrame, size: tuple[int, int] = SAMPLE, id_col: str = "doc_id", text_col: str = "text") -> list[tuple[int, str, int, int]]:
+    """At most ``size`` rows (id, text, label, fold) of either label, none of fold 0, by the order of a hash of the id."""
     marked = labels.select(F.col("doc_id").alias("doc_id"), F.col("toxic").cast("int").alias("toxic")).where("doc_id IS NOT NULL AND toxic IN (0, 1)")
     marked = marked.groupBy("doc_id").agg(F.max("toxic").alias("toxic"), F.first(fold("doc_id")).alias("fold")).where("fold <> 0")
-    some = [marked.where(F.col("toxic") == k).orderBy(F.xxhash64("doc_id"), "doc_id").limit(size) for k in (0, 1)]
+    some = [marked.where(F.col("toxic") == k).orderBy(F.xxhash64("doc_id"), "doc_id").limit(size[k]) for k in (0, 1)]
     text = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.coalesce(F.col(text_col).cast("string"), F.lit("")).alias("text"))
     rows = text.join(F.broadcast(some[0].union(some[1])), "doc_id").where(F.char_length("text") <= LONGEST).dropDuplicates(["doc_id"])
     return sorted((r["doc_id"], r["text"], r["toxic"], r["fold"]) for r in rows.collect())
@@ -51,18 +51,17 @@ class Scorer:
         self.tables = {d: np.zeros((0, 0), dtype=np.float32) for d in "fb"}
 
     def _learn(self) -> None:
-        own, flat, sizes, at = self.words.arrays()
-        new = slice(self.done, len(own))
-        x = embedded(self.p, own[new], flat[at[self.done] :], sizes[new]) if self.done < len(own) else np.zeros((0, DIMS), dtype=np.float32)
+        new = self.words.texts[self.done :]
+        x = embedded(self.p, *word_inputs(new)) if new else np.zeros((0, DIMS), dtype=np.float32)
         if not self.done:
             x[0] = 0
         more = tables_of(self.p, x)
         self.tables = {d: np.concatenate([t, more[d]]) if self.done else more[d] for d, t in self.tables.items()}
-        self.done = len(own)
+        self.done = len(self.words.texts)
 
     def logits(self, texts: list[str]) -> tuple[np.ndarray, np.ndarray]:
         """(logit, number of windows) of each text."""
-        if len(self.words.own) > REMEMBERED:
+        if len(self.words.texts) > REMEMBERED:
             self._forget()
         docs = [self.words.ids(t.lower().split()) for t in texts]
         self._learn()
@@ -87,12 +86,12 @@ def _score(p: dict[str, np.ndarray] | None):
     return run
 
 
-def fitted(docs: DataFrame, labels: DataFrame, size: int = SAMPLE, id_col: str = "doc_id", text_col: str = "text") -> dict[str, np.ndarray] | None:
+def fitted(docs: DataFrame, labels: DataFrame, size: tuple[int, int] = SAMPLE, id_col: str = "doc_id", text_col: str = "text") -> dict[str, np.ndarray] | None:
     rows = sample(docs, labels, size, id_col, text_col)
     return train([r[1] for r in rows], [r[2] for r in rows], [r[3] == 1 for r in rows])
 
 
-def score(docs: DataFrame, labels: DataFrame, size: int = SAMPLE, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+def score(docs: DataFrame, labels: DataFrame, size: tuple[int, int] = SAMPLE, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """(doc_id, held_out, score, predicted, n_windows) for each row of ``docs``; ``labels``: doc_id, toxic 0/1.
 
     Null and empty texts have one window without words. Each row stands alone; a null id is not held out. If the labels don't hold both
@@ -103,7 +102,7 @@ def score(docs: DataFrame, labels: DataFrame, size: int = SAMPLE, id_col: str =
     return base.mapInArrow(_score(p), OUT)
 
 
-def drop_toxic(docs: DataFrame, labels: DataFrame, size: int = SAMPLE, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+def drop_toxic(docs: DataFrame, labels: DataFrame, size: tuple[int, int] = SAMPLE, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """``docs``, all its columns, without the rows whose text scores 0.5 or more. Repeated and null ids do no harm."""
     scorer = fitted(docs, labels, size, id_col, text_col)
     names, spot = docs.columns, docs.columns.index(text_col)
