@@ -8,9 +8,9 @@ s = 0.85 with probability 1.5e-5, and at 0.5 it is a candidate with probability
 Half keys that only one document has can be in no shared table, so only the others are paired; most documents drop out there.
 
 Groups are linked without writing out all their pairs. Equal shingle sets are one class with its smallest id as representative. In each
-bucket all members are first compared with the smallest one. Components of the confirmed links follow. Only in buckets
-that still hold several components, members outside the bucket's largest component are compared with every member of
-another component; each such pair is formed in the first table it shares, and once.
+bucket all members are first compared with its smallest one, the hub. Components of the confirmed links follow. Where the members
+around a hub still lie in several components, those outside the largest one are compared with all of them, in blocks of bounded
+size, and only links leave a block. So no rows of pairs are made but those with hubs and those of links.
 """
 
 from __future__ import annotations
@@ -20,6 +20,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -89,6 +90,59 @@ def _confirmed(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
     return linked.where(both * 100 >= percent * (F.size("sa") + F.size("sb") - both)).select("a", "b")
 
 
+def _blocks(percent: int):
+    """Links of some outsiders with some members of a hub's group: overlaps of all of them at once, by products of 0/1 matrices over shared shingles."""
+    ends = pa.schema([("a", pa.int64()), ("b", pa.int64())])
+
+    def side(table: pa.Table):
+        sets = table.column("shingles").combine_chunks()
+        sizes = np.diff(sets.offsets.to_numpy())
+        return table.column("node").to_numpy(), table.column("component").to_numpy(), sizes, np.repeat(np.arange(len(sizes)), sizes), sets.flatten().to_numpy()
+
+    def run(rows: pa.Table) -> pa.Table:
+        asks = rows.column("asks")
+        outsiders, members = rows.filter(asks), rows.filter(pc.invert(asks))
+        if not outsiders.num_rows or not members.num_rows:
+            return pa.table({"a": [], "b": []}, schema=ends)
+        (xn, xc, xs, xi, xf), (yn, yc, ys, yi, yf) = side(outsiders), side(members)
+        shared = np.intersect1d(xf, yf)
+        both = np.zeros((len(xn), len(yn)), dtype=np.float32)
+        for at in range(0, len(shared), 1024):
+            part = shared[at : at + 1024]
+            flags = []
+            for n, rows, flat in ((len(xn), xi, xf), (len(yn), yi, yf)):
+                spot = np.searchsorted(part, flat).clip(max=len(part) - 1)
+                hit = part[spot] == flat
+                one = np.zeros((n, len(part)), dtype=np.float32)
+                one[rows[hit], spot[hit]] = 1
+                flags.append(one)
+            both += flags[0] @ flags[1].T
+        inter = both.astype(np.int64)
+        linked = (100 * inter >= percent * (xs[:, None] + ys[None, :] - inter)) & (xc[:, None] != yc[None, :])
+        x, y = np.nonzero(linked)
+        _, first = np.unique(np.stack([x, yc[y]]), axis=1, return_index=True)  # one link to each component does
+        return pa.table({"a": xn[x[first]], "b": yn[y[first]]}, schema=ends)
+
+    return run
+
+
+def _links_of_the_rest(rest: DataFrame, sets: DataFrame, percent: int, budget: int = 400_000) -> DataFrame:
+    """Links between components of one hub's group: members outside its largest component against all, in blocks of bounded size.
+
+    rest: (hub, node, component, most). A side's rows are dealt to blocks of about ``budget`` shingles; each pair of blocks is one task's group. Only links come out.
+    """
+    full = rest.join(sets, "node").withColumn("n", F.size("shingles").cast("long")).withColumn("out", F.col("component") != F.col("most"))
+    out_n = F.coalesce(F.sum(F.when(F.col("out"), F.col("n"))), F.lit(0))
+    counts = full.select("hub", "n", "out").groupBy("hub").agg(F.ceil(out_n / budget).cast("int").alias("nx"), F.ceil(F.sum("n") / budget).cast("int").alias("ny"))
+    dealt = full.join(counts, "hub")
+    own = lambda n: F.pmod(F.xxhash64("node"), F.col(n)).cast("int")
+    every = lambda n: F.explode(F.sequence(F.lit(0), F.col(n) - 1))
+    cols = ["hub", "node", "component", "shingles"]
+    x = dealt.where("out").select(*cols, F.lit(True).alias("asks"), own("nx").alias("i"), every("ny").alias("j"))
+    y = dealt.select(*cols, F.lit(False).alias("asks"), every("nx").alias("i"), own("ny").alias("j"))
+    return x.union(y).groupBy("hub", "i", "j").applyInArrow(_blocks(percent), "a long, b long").distinct()
+
+
 def near_groups(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", width: int = WIDTH, percent: int = PERCENT, tables: int = TABLES, half: int = HALF) -> DataFrame:
     """(doc_id, n_shingles, component_id, kept) for each row of ``docs``.
 
@@ -101,18 +155,18 @@ def near_groups(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text",
     rows = space.store(base.mapInArrow(_sketches(width, tables, half), SKETCH), "sketches")
     full = rows.where("n_shingles > 0 AND doc_id IS NOT NULL")
     classes = space.store(full.groupBy("set_key").agg(F.min("doc_id").alias("rep")), "classes")
-    reps = full.join(classes.select(F.col("rep").alias("doc_id")), "doc_id", "left_semi").groupBy(F.col("doc_id").alias("node")).agg(F.min("n_shingles").alias("n"), F.first("half_keys").alias("half_keys"))
+    reps = full.join(classes.select(F.col("rep").alias("doc_id")), "doc_id", "left_semi").groupBy(F.col("doc_id").alias("node")).agg(F.first("half_keys").alias("half_keys"))
 
     # half keys that at least two representatives have
-    parts = reps.select("node", "n", F.posexplode("half_keys").alias("pos", "v"))
+    parts = reps.select("node", F.posexplode("half_keys").alias("pos", "v"))
     shared = parts.groupBy("pos", "v").agg(F.min("node").alias("lo"), F.max("node").alias("hi")).where("lo < hi").select("pos", "v")
-    own = parts.join(shared, ["pos", "v"], "left_semi").groupBy("node").agg(F.first("n").alias("n"), F.array_sort(F.collect_list(F.struct("pos", "v"))).alias("own"))
-    sides = own.select("node", "n", F.filter("own", lambda x: x["pos"] < tables).alias("left"), F.filter("own", lambda x: x["pos"] >= tables).alias("right"))
+    own = parts.join(shared, ["pos", "v"], "left_semi").groupBy("node").agg(F.collect_list(F.struct("pos", "v")).alias("own"))
+    sides = own.select("node", F.filter("own", lambda x: x["pos"] < tables).alias("left"), F.filter("own", lambda x: x["pos"] >= tables).alias("right"))
     sides = space.store(sides.where((F.size("left") > 0) & (F.size("right") > 0)), "sides")
     keys = F.flatten(
-        F.transform("left", lambda x: F.transform("right", lambda y: F.struct(x["pos"].alias("i"), y["pos"].alias("j"), F.xxhash64(x["pos"], x["v"], y["pos"], y["v"]).alias("key"))))
+        F.transform("left", lambda x: F.transform("right", lambda y: F.xxhash64(x["pos"], x["v"], y["pos"], y["v"])))
     )
-    tensored = sides.select("node", F.inline(keys))
+    tensored = sides.select("node", F.explode(keys).alias("key"))
     hubs = tensored.groupBy("key").agg(F.min("node").alias("hub"), F.max("node").alias("top")).where("hub < top").select("key", "hub")
     members = space.store(tensored.join(hubs, "key"), "members")
 
@@ -124,23 +178,12 @@ def near_groups(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text",
     first = space.store(_confirmed(members.where("node <> hub").select(F.col("hub").alias("a"), F.col("node").alias("b")).distinct(), sets, percent), "links0")
     label = space.store(components(first, space, "stars"), "label0")
 
-    # what is still apart in one bucket
-    now = members.join(label, "node", "left").select("node", "i", "j", "key", F.coalesce("component", "node").alias("component"))
-    apart = now.groupBy("key", "component").agg(F.count(F.lit(1)).alias("c")).groupBy("key").agg(F.max(F.struct("c", "component")).alias("most"), F.count(F.lit(1)).alias("parts")).where("parts > 1")
-    mixed_in = space.store(now.join(apart.select("key", F.col("most.component").alias("most")), "key").join(sides.select("node", "n", "left", "right"), "node"), "mixed")
-    x = mixed_in.where("component <> most").select(*[F.col(c).alias(f"x_{c}") for c in ("node", "n", "i", "j", "key", "component", "left", "right")])
-    y = mixed_in.select(*[F.col(c).alias(f"y_{c}") for c in ("node", "n", "key", "component", "most", "left", "right")])
-    meet = lambda p: F.element_at(F.array_intersect(f"x_{p}", f"y_{p}"), 1)["pos"]  # noqa: E731  the first half key in common
-    once = (
-        (F.col("x_key") == F.col("y_key"))
-        & (F.col("x_component") != F.col("y_component"))
-        & ((F.col("y_component") == F.col("y_most")) | (F.col("x_node") < F.col("y_node")))
-        & (F.least("x_n", "y_n") * 100 >= F.greatest("x_n", "y_n") * percent)
-        & (meet("left") == F.col("x_i"))
-        & (meet("right") == F.col("x_j"))
-    )
-    rest = x.join(y, once).select(F.col("x_node").alias("a"), F.col("y_node").alias("b")).distinct()
-    second = space.store(_confirmed(rest, sets, percent), "links1")
+    # what is still apart, by hub
+    around = members.select("hub", "node").union(members.select("hub", F.col("hub").alias("node"))).distinct()
+    now = around.join(label, "node", "left").select("hub", "node", F.coalesce("component", "node").alias("component"))
+    apart = now.groupBy("hub", "component").agg(F.count(F.lit(1)).alias("c")).groupBy("hub").agg(F.max(F.struct("c", "component")).alias("most"), F.count(F.lit(1)).alias("parts")).where("parts > 1")
+    rest = space.store(now.join(apart.select("hub", F.col("most.component").alias("most")), "hub"), "rest")
+    second = space.store(_links_of_the_rest(rest, sets, percent), "links1")
     stars = label.where("node <> component").select(F.col("node").alias("a"), F.col("component").alias("b"))
     final = components(stars.union(second), space, "all")
 
