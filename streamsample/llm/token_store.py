@@ -34,24 +34,26 @@ WINDOW, BITS, LEAST, MOST, FAN = 16, 8, 64, 2048, 1024
 SMALL = 32 << 20
 
 
-def cuts(ids: np.ndarray) -> list[int]:
-    """Ends of the chunks of ``ids``: after ids where the rolling hash of the last 16 has 8 zero bits, 64 to 2048 ids a chunk."""
-    n = len(ids)
+def marks(ids: np.ndarray, offsets: np.ndarray) -> np.ndarray:
+    """Places after which a chunk may end, over texts laid end to end: the rolling hash of the text's last 16 ids has 8 zero bits."""
     gear = mixed(ids.astype(np.uint64) + np.uint64(0x632BE5AB))
+    place = np.arange(len(ids)) - np.repeat(offsets[:-1], np.diff(offsets))
     rolled = gear.copy()
-    for k in range(1, min(WINDOW, n)):
-        rolled[k:] += gear[:-k] << np.uint64(k)
+    for k in range(1, min(WINDOW, len(ids))):
+        rolled[k:] += np.where(place[k:] >= k, gear[:-k] << np.uint64(k), np.uint64(0))
+    return np.flatnonzero((rolled >> np.uint64(64 - BITS)) == 0) + 1
+
+
+def cuts(n: int, marked: list[int]) -> list[int]:
+    """Ends of a text's chunks: marked places, 64 to 2048 ids apart."""
     ends, at = [], 0
-    for e in (np.flatnonzero((rolled >> np.uint64(64 - BITS)) == 0) + 1).tolist():
+    for e in [*marked, n]:
         while e - at > MOST:
             at += MOST
             ends.append(at)
         if e - at >= LEAST:
             ends.append(e)
             at = e
-    while n - at > MOST:
-        at += MOST
-        ends.append(at)
     return ends + [n] * (at < n)
 
 
@@ -66,29 +68,45 @@ def _first_pass(path: str, end_id: int):
     tail = np.array([end_id], dtype="<u4").tobytes()
     schema = pa.schema([("kind", pa.int32()), ("pack", pa.int32()), ("uid", pa.int64()), ("doc_id", pa.int64()), ("n_tokens", pa.int64()), ("hashes", pa.list_(pa.binary())), ("lengths", pa.list_(pa.int32())), ("leaf", pa.binary()), ("hash", pa.binary()), ("body", pa.binary())])
 
+    def filled(n: int, **columns: pa.Array) -> pa.RecordBatch:
+        return pa.RecordBatch.from_arrays([columns[f.name] if f.name in columns else pa.nulls(n, f.type) for f in schema], schema=schema)
+
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         pack, tool, seen, row = TaskContext.get().partitionId(), encoder(path), set(), 0
+        same = lambda n, v, t: pa.array(np.full(n, v), t)
         for batch in batches:
-            doc_ids, texts = batch.column(0).to_pylist(), [t or "" for t in batch.column(1).to_pylist()]
+            texts = [t or "" for t in batch.column(1).to_pylist()]
             for a, b in text_slices(texts):
-                out = []
-                for doc_id, ids in zip(doc_ids[a:b], tool.encode(texts[a:b]), strict=True):
-                    ids += tail
-                    arr = np.frombuffer(ids, dtype="<u4")
-                    hashes, lengths, at = [], [], 0
-                    for end in cuts(arr):
-                        part = ids[4 * at : 4 * end]
-                        h = name_of(part)
-                        hashes.append(h)
-                        lengths.append(end - at)
+                found = [ids + tail for ids in tool.encode(texts[a:b])]
+                sizes = np.array([len(x) // 4 for x in found])
+                offsets = np.concatenate([[0], np.cumsum(sizes)])
+                flat = np.frombuffer(b"".join(found), dtype="<u4")
+                at = marks(flat, offsets)
+                spots = np.searchsorted(at, offsets, side="right").tolist()
+                short = flat.astype("<u2") if flat.max() < 65536 else None
+                names, lengths, leaves, parts, first, bodies = [], [], [], [0], [], []
+                for k, (ids, n, start) in enumerate(zip(found, sizes.tolist(), offsets.tolist(), strict=False)):
+                    before, own = 0, []
+                    for end in cuts(n, [e - start for e in at[spots[k] : spots[k + 1]].tolist()]):
+                        h = name_of(ids[4 * before : 4 * end])
+                        own.append(h)
+                        lengths.append(end - before)
                         if h not in seen:
                             seen.add(h)
-                            body = arr[at:end]
-                            out.append((1, pack, None, None, None, None, None, None, h, body.astype("<u2").tobytes() if body.max() < 65536 else b"\0" + part))
-                        at = end
-                    out.append((0, pack, pack << 40 | row, doc_id, len(arr), hashes, lengths, name_of(b"".join(hashes)), None, None))
-                    row += 1
-                yield pa.RecordBatch.from_arrays([pa.array(c, f.type) for c, f in zip(zip(*out, strict=True), schema, strict=True)], schema=schema)
+                            first.append(h)
+                            bodies.append(short[start + before : start + end].tobytes() if short is not None else b"\0" + ids[4 * before : 4 * end])
+                        before = end
+                    names += own
+                    leaves.append(name_of(b"".join(own)))
+                    parts.append(len(names))
+                n, spans = b - a, pa.array(parts, pa.int32())
+                hashes, sizes_of = pa.ListArray.from_arrays(spans, pa.array(names, pa.binary())), pa.ListArray.from_arrays(spans, pa.array(lengths, pa.int32()))
+                uids = pa.array((pack << 40) + np.arange(row, row + n), pa.int64())
+                yield filled(n, kind=same(n, 0, pa.int32()), pack=same(n, pack, pa.int32()), uid=uids, doc_id=batch.column(0).slice(a, n), n_tokens=pa.array(sizes, pa.int64()), hashes=hashes, lengths=sizes_of, leaf=pa.array(leaves, pa.binary()))
+                row += n
+                if first:
+                    m = len(first)
+                    yield filled(m, kind=same(m, 1, pa.int32()), pack=same(m, pack, pa.int32()), hash=pa.array(first, pa.binary()), body=pa.array(bodies, pa.binary()))
 
     return run
 

@@ -13,7 +13,7 @@ import re
 import numpy as np
 
 #: Pieces remembered in each of two generations.
-REMEMBERED = 300_000
+REMEMBERED = 600_000
 _ODD_SPACE = re.compile(r"\s\s\s|\s\s\Z")
 _ENCODERS: dict[str, PieceEncoder] = {}
 
