@@ -286,18 +286,19 @@ def _(s, d):
     return shown(windows.sliding_sample(read(s, d, "events"), EVENTS, DAY, 7), True, "window_end")
 
 
-@query("tumbling_window_sample", f"SELECT cast(date_trunc('day', ts) AS date) AS day, * EXCLUDE (ts, w, key), round(ln(key), 9) AS ln_key FROM (SELECT ts, item_id, w, key, row_number() OVER (PARTITION BY ts::date ORDER BY key, item_id) AS draw_no FROM ({EVENTS_SQL})) WHERE draw_no <= 5")
+@query("tumbling_window_sample", f"SELECT cast(ts::date AS varchar) AS day, * EXCLUDE (ts, w, key), round(ln(key), 9) AS ln_key FROM (SELECT ts, item_id, w, key, row_number() OVER (PARTITION BY ts::date ORDER BY key, item_id) AS draw_no FROM ({EVENTS_SQL})) WHERE draw_no <= 5")
 def _(s, d):
     rows = windows.window_sample(read(s, d, "events"), EVENTS.but(k=5), "1 day")
-    return shown(rows.withColumn("day", F.to_date("window_start")), True, "day")
+    return shown(rows.withColumn("day", F.to_date("window_start").cast("string")), True, "day")
 
 
 # estimates ---------------------------------------------------------------------------------------------------------------------------
 
 
-@query("inclusion_feasibility", "WITH t AS (SELECT sum(o_totalprice) AS total FROM orders) SELECT o_orderkey::varchar AS item_id, round(o_totalprice * 4000 / total, 6) AS share FROM orders, t WHERE o_totalprice * 4000 > total")
+@query("inclusion_feasibility", "WITH t AS (SELECT sum(o_totalprice) AS total, count(*) * 7 // 10 AS k FROM orders) SELECT o_orderkey::varchar AS item_id, round(o_totalprice * k / total, 6) AS share FROM orders, t WHERE o_totalprice * k > total")
 def _(s, d):
-    return estimate.inclusion_feasibility(valid(items(read(s, d, "orders"), ORDERS)), 4000).select("item_id", F.round("share", 6).alias("share"))
+    rows = valid(items(read(s, d, "orders"), ORDERS))
+    return estimate.inclusion_feasibility(rows, rows.count() * 7 // 10).select("item_id", F.round("share", 6).alias("share"))
 
 
 def _with_threshold(s, d, df: DataFrame, spec: SamplerSpec, *payload: str) -> tuple[DataFrame, float]:
@@ -464,10 +465,10 @@ def _(s, d):
 
 
 def _event_sample(s, d, k: int = 100) -> DataFrame:
-    return reservoir.sample_once(read(s, d, "events"), EVENTS.but(k=k), "event_type", "user_id", "ts").withColumn("day", F.to_date("ts"))
+    return reservoir.sample_once(read(s, d, "events"), EVENTS.but(k=k), "event_type", "user_id", "ts").withColumn("day", F.to_date("ts").cast("string"))
 
 
-_EVENT_SAMPLE = f"(SELECT *, ts::date AS day FROM ({EVENTS_SQL}) ORDER BY key, item_id LIMIT 100)"
+_EVENT_SAMPLE = f"(SELECT *, cast(ts::date AS varchar) AS day FROM ({EVENTS_SQL}) ORDER BY key, item_id LIMIT 100)"
 
 
 @query("sample_cube", f"SELECT event_type, day, count(*) AS n FROM {_EVENT_SAMPLE} GROUP BY CUBE (event_type, day)")
@@ -532,10 +533,10 @@ def _(s, d):
     return shown(stream.StreamSampler(s, EVENTS).run(stream.table_stream(s, d, "events")))
 
 
-@query("stream_tumbling_sample", f"SELECT day, item_id, round(ln(key), 9) AS ln_key FROM (SELECT ts::date AS day, item_id, key, row_number() OVER (PARTITION BY ts::date ORDER BY key, item_id) AS r FROM ({EVENTS_SQL})) WHERE r <= 5")
+@query("stream_tumbling_sample", f"SELECT day, item_id, round(ln(key), 9) AS ln_key FROM (SELECT cast(ts::date AS varchar) AS day, item_id, key, row_number() OVER (PARTITION BY ts::date ORDER BY key, item_id) AS r FROM ({EVENTS_SQL})) WHERE r <= 5")
 def _(s, d):
     rows = stream.stream_window_sample(stream.table_stream(s, d, "events"), EVENTS.but(k=5), "1 day")
-    return rows.select(F.to_date("window_start").alias("day"), "item_id", F.round(F.log("key"), 9).alias("ln_key"))
+    return rows.select(F.to_date("window_start").cast("string").alias("day"), "item_id", F.round(F.log("key"), 9).alias("ln_key"))
 
 
 @query(

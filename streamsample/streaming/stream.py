@@ -99,7 +99,7 @@ class ShardReservoir(StatefulProcessor):
         held = pd.DataFrame(list(self.run.get()), columns=["item_id", "w", "key"])
         limit = held["key"].max() if len(held) >= self.k else float("inf")
         new = [r.loc[r["key"] <= limit, ["item_id", "w", "key"]] for r in rows]
-        every = pd.concat([held, *new], ignore_index=True).sort_values(["key", "item_id"]).head(self.k)
+        every = pd.concat([x for x in (held, *new) if len(x)] or [held], ignore_index=True).sort_values(["key", "item_id"]).head(self.k)
         self.run.put(list(every.itertuples(index=False, name=None)))
         yield every.assign(shard=key[0])[["shard", "item_id", "w", "key"]]
 
