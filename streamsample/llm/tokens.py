@@ -9,12 +9,19 @@ from __future__ import annotations
 
 import os
 import re
+from array import array
 
 import numpy as np
 
 #: Pieces remembered in each of two generations.
 REMEMBERED = 600_000
 _ODD_SPACE = re.compile(r"\s\s\s|\s\s\Z")
+#: A word of Latin letters, perhaps with a mark, perhaps with a line's end and another such word.
+_LATIN = "[A-Za-zÀ-ÖØ-öø-ɏ]+"
+_PLAIN = re.compile(f"({_LATIN})([.,]?)(?:(\n)({_LATIN})([.,]?))?")
+#: The byte-level alphabet: printable bytes stand for themselves, the others for the characters from U+0100 on.
+_SHOWN = [b for b in range(256) if 33 <= b < 127 or 161 <= b < 173 or 174 <= b]
+_ALPHABET = {b: chr(b) for b in _SHOWN} | {b: chr(256 + k) for k, b in enumerate(sorted(set(range(256)) - set(_SHOWN)))}
 _ENCODERS: dict[str, PieceEncoder] = {}
 
 
@@ -25,12 +32,21 @@ class PieceEncoder:
 
         self.tokenizer = Tokenizer.from_file(path)
         self.tokenizer.encode_special_tokens = True  # such strings in a text are ordinary text
+        self.model = self.tokenizer.model
         self.young: dict[str, bytes] = {}
         self.old: dict[str, bytes] = {}
 
     def _encoded(self, texts: list[str]) -> list[bytes]:
         return [np.array(e.ids, dtype="<u4").tobytes() for e in self.tokenizer.encode_batch_fast(texts, add_special_tokens=False)]
 
+    def _encoded_words(self, words: list[str], lead: str = _ALPHABET[32]) -> list[bytes]:
+        """The same for words of Latin letters with a blank before each: one token run by itself, so the library's model may be asked at once."""
+        out, tokenize = [], self.model.tokenize
+        for w in words:
+            shown = lead + (w if w.isascii() else w.encode().decode("latin-1").translate(_ALPHABET))
+            out.append(array("I", [t.id for t in tokenize(shown)]).tobytes())
+        return out
+
     def _learn(self, pieces: set[str]) -> None:
         """Have every one of ``pieces`` in the young generation, under its text with the blank before it."""
         if len(self.young) > REMEMBERED:
@@ -40,18 +56,23 @@ class PieceEncoder:
         for p in pieces.difference(young):
             if p in old:
                 young[p] = old[p]
-            elif p[-1:] in (",", ".") and p[-2:-1].isalpha():  # a letter and a mark are never in one token
-                split.append(p)
-                if p[:-1] not in young:
-                    new.add(p[:-1])
+            elif m := _PLAIN.fullmatch(p):  # letters, a mark and a line's end are never in one token
+                if m.end(1) < len(p):
+                    split.append((p, *m.groups("")))
+                if m.group(1) not in young:
+                    new.add(m.group(1))
             else:
                 new.add(p)
-        todo = list(new)
-        young.update(zip(todo, self._encoded([f" {p}" for p in todo]), strict=True))
+        words = [p for p in new if p.isalpha() and max(p) < "\u0250"]
+        young.update(zip(words, self._encoded_words(words), strict=True))
+        rest = list(new.difference(words))
+        young.update(zip(rest, self._encoded([f" {p}" for p in rest]), strict=True))
         if split:
-            mark = dict(zip(",.", self._encoded([",", "."]), strict=True))
-            for p in split:
-                young[p] = young[p[:-1]] + mark[p[-1]]
+            mark = {"": b""} | dict(zip(".,\n", self._encoded([".", ",", "\n"]), strict=True))
+            heads = self._encoded_words([s[4] for s in split if s[3]], "")
+            at = iter(heads)
+            for p, word, one, line, _, two in split:
+                young[p] = young[word] + mark[one] + (mark[line] + next(at) + mark[two] if line else b"")
 
     def encode(self, texts: list[str]) -> list[bytes]:
         """The ids of each text, 4 bytes each, little-endian."""
