@@ -159,9 +159,9 @@ def encode_words(words: DataFrame, voc: Vocabulary, pieces: DataFrame | None = N
             ELSE named_struct('win', slice(concat(array(s.best), s.win), 1, {most}), 'cur', e.end, 'best', if(e.len = 1, s.best, s.win[e.len - 2]) + e.score, 'enc', e.id * 32 + e.len, 'back', concat(s.back, array(s.enc)))
         END, s -> concat(s.back, array(s.enc)))"""
     walk = """aggregate(sequence(1, n), named_struct('at', n, 'codes', cast(array() AS array<int>)),
-        (s, x) -> if(s.at = 0, s, named_struct('at', s.at - back[s.at - 1] % 32, 'codes', concat(array(back[s.at - 1] div 32), s.codes))), s -> s.codes)"""
+        (s, x) -> if(s.at = 0, s, named_struct('at', s.at - back[s.at - 1] % 32, 'codes', concat(array(shiftright(back[s.at - 1], 5)), s.codes))), s -> s.codes)"""
     folded = grouped.select("word", "n", *carried, F.expr(step).alias("back"))
-    return folded.select("word", *carried, F.expr(walk.replace(" div 32", " >> 5")).alias("codes"))
+    return folded.select("word", *carried, F.expr(walk).alias("codes"))
 
 
 OUT = "doc_id long, n_pieces long, ids_crc32 long, round_trip boolean"
