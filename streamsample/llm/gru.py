@@ -22,7 +22,7 @@ def word_inputs(words: list[str], sizes: tuple[int, ...] = (3, 4, 5), longest: i
     own = np.array([zlib.crc32(c) % BUCKETS for c in cores], dtype=np.int64)
     marked = [b"^" + c[: longest - 2] + b"$" for c in cores]
     flat = np.frombuffer(b"".join(marked), dtype=np.uint8).astype(np.uint32)
-    of = np.repeat(np.arange(len(words)), [len(m) for m in marked])
+    of = np.repeat(np.arange(len(words), dtype=np.int32), [len(m) for m in marked])
     grams, where = [], []
     for n in sizes:
         h = np.full(max(0, len(flat) - n + 1), n, dtype=np.uint32)
@@ -30,7 +30,7 @@ def word_inputs(words: list[str], sizes: tuple[int, ...] = (3, 4, 5), longest: i
             h = (h ^ flat[k : len(h) + k]) * np.uint32(0x01000193)
         h = (h ^ h >> np.uint32(15)) * np.uint32(0x2C1B3C6D)
         inside = of[: len(h)] == of[n - 1 :][: len(h)]
-        grams.append((h[inside] >> np.uint32(17)).astype(np.int64))
+        grams.append((h[inside] >> np.uint32(17)).astype(np.int32))
         where.append(of[: len(h)][inside])
     where = np.concatenate(where)
     order = np.argsort(where, kind="stable")
@@ -91,6 +91,15 @@ def embedded(p: dict[str, np.ndarray], own: np.ndarray, flat: np.ndarray, sizes:
     return x
 
 
+def embedded_all(p: dict[str, np.ndarray], own: np.ndarray, flat: np.ndarray, sizes: np.ndarray, block: int = 20_000) -> np.ndarray:
+    """The same in blocks of words, word 0 blank."""
+    ends = np.cumsum(sizes)
+    parts = [embedded(p, own[k : k + block], flat[ends[k] - sizes[k] : ends[min(k + block, len(own)) - 1]], sizes[k : k + block]) for k in range(0, len(own), block)]
+    x = np.concatenate(parts)
+    x[0] = 0
+    return x
+
+
 def forward(p: dict[str, np.ndarray], tables: dict[str, np.ndarray], ids: np.ndarray, mask: np.ndarray, keep: bool = False):
     """Logits of windows. ids, mask: (n, SPAN). tables: for each direction the input part of all gates by word. keep: also what the way back needs."""
     n = len(ids)
@@ -180,7 +189,7 @@ def windows(doc_ids: list[np.ndarray]) -> tuple[np.ndarray, np.ndarray, np.ndarr
     within = np.concatenate(begins).astype(np.int64)[:, None] + np.arange(SPAN)
     mask = within < sizes[doc][:, None]
     at = (np.cumsum(sizes) - sizes)[doc][:, None] + within
-    return np.where(mask, flat[np.minimum(at, len(flat) - 1)], 0), mask.astype(np.float32), doc
+    return np.where(mask, flat[np.minimum(at, len(flat) - 1)], 0).astype(np.int32), mask.astype(np.float32), doc
 
 
 def text_logits(p: dict[str, np.ndarray], tables: dict[str, np.ndarray], doc_ids: list[np.ndarray], block: int = 4096) -> tuple[np.ndarray, np.ndarray]:
@@ -221,7 +230,7 @@ def train(texts: list[str], labels: list[int], check: list[bool], seed: int = 5,
     first = np.searchsorted(doc, np.arange(len(fit)))
     last = np.append(first[1:], len(doc))
     tool = Adam(p, 0.01)
-    score = embedded(p, own, flat, sizes)[:, 0][ids].max(axis=1) + 0.01 * rng.random(len(ids))
+    score = embedded_all(p, own, flat, sizes)[:, 0][ids].max(axis=1) + 0.01 * rng.random(len(ids))
     for k in range(rounds):
         chosen = []
         for a, b, label in zip(first.tolist(), last.tolist(), y[fit].tolist(), strict=True):
@@ -244,8 +253,7 @@ def train(texts: list[str], labels: list[int], check: list[bool], seed: int = 5,
             g["words"] = summed(own[u], dx, BUCKETS)
             g["chars"] = summed(pieces, np.repeat(dx / np.maximum(sizes[u], 1)[:, None], sizes[u], axis=0), BUCKETS)
             tool.step(g)
-        x = embedded(p, own, flat, sizes)
-        x[0] = 0
+        x = embedded_all(p, own, flat, sizes)
         score = text_logits(p, tables_of(p, x), [docs[k] for k in fit.tolist()])[1]
 
     # the shift: the cut with the fewest faults on the texts kept aside, nearer to label 1, of which fewer are rare
