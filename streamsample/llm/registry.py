@@ -2,11 +2,12 @@
 
 from __future__ import annotations
 
-from . import exact_dedup, license_scan, line_dedup, media, near_dedup, packing, pii, token_store, toxicity
+from . import exact_dedup, license_scan, line_dedup, media, near_dedup, packing, pii, piece_lattice, token_store, toxicity
 
 
 def queries() -> dict:
     return {
+        "op1_sentencepiece": piece_lattice.query,
         "op2_exact_dedup": exact_dedup.query,
         "op3_media_columns": media.query,
         "op4_toxicity": toxicity.query,
