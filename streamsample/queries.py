@@ -552,3 +552,121 @@ def _(s, d):
 @query("stream_state_shards", f"SELECT item_id, round(ln(key), 9) AS ln_key FROM ({EVENTS_SQL}) ORDER BY key, item_id LIMIT 100")
 def _(s, d):
     return stream.stream_shard_sample(stream.table_stream(s, d, "events"), EVENTS).select("item_id", F.round(F.log("key"), 9).alias("ln_key"))
+
+
+# other weights ------------------------------------------------------------------------------------------------------------------------
+
+
+def _weighted_by(df: DataFrame, spec: SamplerSpec, weight) -> DataFrame:
+    """A sample whose weights are derived from the items."""
+    rows = items(df, spec).withColumn("w", weight)
+    u = V.uniform_key(F.col("item_id"), spec.stream_id, spec.seed)
+    return reservoir.bottom_k(valid(rows).withColumn("key", V.exp_key(u, F.col("w"))), spec.k)
+
+
+_U_LINE = unit_sql("lineitem", "item_id")
+
+
+@query(
+    "uniform_weight_sample",
+    f"WITH i AS (SELECT {LINE_SQL} AS item_id FROM lineitem), k AS (SELECT item_id, -ln({_U_LINE}) / (100 * {unit_sql('lineitem', 'item_id', 'w')}) AS key FROM i) {bottom_sql('SELECT * FROM k', 1000)}",
+)
+def _(s, d):
+    return shown(_weighted_by(read(s, d, "lineitem"), LINES, W.uniform_weight("lineitem", 7)))
+
+
+@query(
+    "drifting_weight_sample",
+    f"WITH i AS (SELECT {LINE_SQL} AS item_id, l_orderkey % 8 AS pe, l_linenumber AS b FROM lineitem), "
+    f"w AS (SELECT item_id, greatest(0.01, b + pe + sqrt(-2 * ln({unit_sql('lineitem', 'item_id', 'n1')})) * cos(2 * pi() * {unit_sql('lineitem', 'item_id', 'n2')})) AS w FROM i), "
+    f"k AS (SELECT item_id, -ln({_U_LINE}) / w AS key FROM w) SELECT item_id FROM k ORDER BY key, item_id LIMIT 1000",
+)
+def _(s, d):
+    df = read(s, d, "lineitem")
+    rows = df.select(V.item_id(W.LINE_ID).alias("item_id"), W.drifting_weight("l_linenumber", "l_orderkey % 8", "lineitem", 7).alias("w"))
+    u = V.uniform_key(F.col("item_id"), "lineitem", 7)
+    return reservoir.bottom_k(rows.withColumn("key", V.exp_key(u, F.col("w"))), 1000).select("item_id")
+
+
+# versions of a sample, and what surrounds them ----------------------------------------------------------------------------------------
+
+_HALF = f"SELECT item_id FROM ({EVENTS_SQL}) WHERE batch_no < 15 ORDER BY key, item_id LIMIT 100"
+_FULL = f"SELECT item_id FROM ({EVENTS_SQL}) ORDER BY key, item_id LIMIT 100"
+
+
+def _versions(s, d) -> tuple[DataFrame, DataFrame]:
+    df = read(s, d, "events")
+    return tuple(reservoir.sample_once(x, EVENTS).select("item_id") for x in (df.where(f"{DAY} < 15"), df))
+
+
+@query("versions_intersect", f"({_HALF}) INTERSECT ({_FULL})")
+def _(s, d):
+    old, new = _versions(s, d)
+    return old.intersect(new)
+
+
+@query("versions_except", f"({_FULL}) EXCEPT ({_HALF})")
+def _(s, d):
+    old, new = _versions(s, d)
+    return new.exceptAll(old)
+
+
+@query("sample_pivot", f"SELECT event_type, count(*) FILTER (WHERE day < '2024-01-16') AS early, count(*) FILTER (WHERE day >= '2024-01-16') AS late FROM {_EVENT_SAMPLE} GROUP BY 1")
+def _(s, d):
+    rows = _event_sample(s, d).withColumn("half", F.when(F.col("day") < "2024-01-16", "early").otherwise("late"))
+    return rows.groupBy("event_type").pivot("half", ["early", "late"]).agg(F.count(F.lit(1))).na.fill(0)
+
+
+@query("sample_unpivot", f"SELECT item_id, 'w' AS what, round(w, 6) AS amount FROM {_EVENT_SAMPLE} UNION ALL SELECT item_id, 'ln_key', round(ln(key), 6) FROM {_EVENT_SAMPLE}")
+def _(s, d):
+    rows = _event_sample(s, d).select("item_id", F.round("w", 6).alias("w"), F.round(F.log("key"), 6).alias("ln_key"))
+    return rows.unpivot("item_id", ["w", "ln_key"], "what", "amount")
+
+
+@query(
+    "sample_ranks",
+    f"SELECT item_id, dense_rank() OVER (PARTITION BY event_type ORDER BY key) AS place, ntile(4) OVER (PARTITION BY event_type ORDER BY key) AS quarter, "
+    f"round(percent_rank() OVER (PARTITION BY event_type ORDER BY key), 9) AS share FROM {_EVENT_SAMPLE}",
+)
+def _(s, d):
+    by = Window.partitionBy("event_type").orderBy("key")
+    return _event_sample(s, d).select("item_id", F.dense_rank().over(by).cast("long").alias("place"), F.ntile(4).over(by).cast("long").alias("quarter"), F.round(F.percent_rank().over(by), 9).alias("share"))
+
+
+@query(
+    "candidates_moving_mean",
+    f"WITH e AS ({EVENTS_SQL}), n AS (SELECT batch_no, count(*) FILTER (WHERE key < 1e-3) AS c FROM e GROUP BY 1) "
+    "SELECT batch_no, round(avg(c) OVER (ORDER BY batch_no ROWS BETWEEN 2 PRECEDING AND CURRENT ROW), 9) AS mean FROM n",
+)
+def _(s, d):
+    by_day = keyed(read(s, d, "events").withColumn("batch_no", F.expr(DAY).cast("long")), EVENTS, "batch_no").groupBy("batch_no").agg(F.count_if(F.col("key") < 1e-3).alias("c"))
+    last = Window.partitionBy(F.lit(0)).orderBy("batch_no").rowsBetween(-2, 0)  # one row a batch
+    return by_day.select("batch_no", F.round(F.avg("c").over(last), 9).alias("mean"))
+
+
+@query("rank_counts_cross_join", f"SELECT p::double AS pivot, count(*) FILTER (WHERE key <= p) AS rank FROM ({LINES_SQL}), (VALUES (1e-7), (1e-6), (1e-5)) AS v(p) GROUP BY 1")
+def _(s, d):
+    pivots = s.createDataFrame([(1e-7,), (1e-6,), (1e-5,)], "pivot double")
+    rows = keyed(read(s, d, "lineitem"), LINES).select("key").crossJoin(F.broadcast(pivots))
+    return rows.groupBy("pivot").agg(F.count_if(F.col("key") <= F.col("pivot")).alias("rank"))
+
+
+@query("wide_selection", f"SELECT item_id, draw_no AS rank FROM ({bottom_sql(LINES_SQL, 1000)}) WHERE draw_no = 1000")
+def _(s, d):
+    """32 pivots a round and the tail finished on the driver: few rounds where each is a job."""
+    runs = _runs(s, d).persist()
+    got = S.pivot_select(runs, 1000, 1000, runs.count(), 32, finish=256)
+    runs.unpersist()
+    return s.createDataFrame([(got.item_id, got.rank)], "item_id string, rank long")
+
+
+@query("monitoring_messages", f"SELECT n::bigint AS n, k::bigint AS k, p::bigint AS p, round(k * (1 + ln(n / k)) * (1 + p), 6) AS messages FROM {_GRID}")
+def _(s, d):
+    return _grid(s).select("n", "k", "p", F.round(cost.columns_shape(F.col("n"), F.col("k"), F.lit(1)) * (1 + F.col("p")), 6).alias("messages"))
+
+
+@query("single_item_batches")
+def _(s, d):
+    """One item a batch and partition: the continuous monitoring model as a special case."""
+    df = read(s, d, "events").where("event_id < 24")
+    return W.run(s, "gather", EVENTS.but(k=5), replay(df, "event_id DIV 4")).report().select("batch_no", "n_items", "candidates", "held_after")
