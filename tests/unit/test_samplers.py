@@ -12,7 +12,7 @@ from streamsample.plans.batches import DAY, keyed, replay
 
 @pytest.fixture(scope="module")
 def events(spark, sf):
-    return spark.read.parquet(f"{sf}/events.parquet").persist()
+    return spark.read.parquet(f"{sf}/events.parquet")
 
 
 @pytest.fixture(scope="module")
@@ -104,7 +104,7 @@ def test_eight_pivots_need_fewer_rounds(spark, sf):
     assert depth[8] < depth[1]
 
 
-def test_the_fill_moves_no_rows_and_reads_two_columns(spark, sf, capsys):
+def test_the_fill_moves_no_rows_and_reads_two_columns(spark, sf):
     events = spark.read.parquet(f"{sf}/events.parquet")
     plan = reservoir.candidates_by_key(keyed(events, Q.EVENTS).drop("key"), Q.EVENTS, 0.01)._jdf.queryExecution().executedPlan().toString()
     assert "Exchange" not in plan and "props" not in plan and "event_id" in plan
@@ -128,7 +128,7 @@ def test_sql_surface(spark, events, want):
 
     sqlapi.register(spark)
     events.createOrReplaceTempView("events_v")
-    rows = spark.sql("SELECT cast(event_id AS string) AS id FROM events_v WHERE value > 0 ORDER BY exp_key('events', 7, cast(event_id AS string), value) LIMIT 100").collect()
+    rows = spark.sql("SELECT id FROM (SELECT cast(event_id AS string) AS id, exp_key('events', 7, cast(event_id AS string), value) AS key FROM events_v WHERE value > 0) ORDER BY key LIMIT 100").collect()
     assert [r["id"] for r in rows] == want
     got = spark.sql("SELECT * FROM sample_weighted(TABLE(SELECT cast(event_id AS string), value FROM events_v) WITH SINGLE PARTITION, 20, 7)").collect()
     assert len(got) == 20 and all(r["w"] > 0 for r in got)
