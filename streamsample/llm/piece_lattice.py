@@ -26,7 +26,7 @@ from .shared import read
 from .tokens import text_slices, vocabulary
 
 SPACE = "▁"
-BUCKET_BYTES, BLOCK, LONG = 48 << 20, 64, 64
+BUCKET_BYTES, BLOCK, LONG = 32 << 20, 64, 64
 _WORD = re.compile(f"{SPACE}*[^{SPACE}]+|{SPACE}+")
 
 

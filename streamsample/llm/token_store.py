@@ -34,13 +34,14 @@ WINDOW, BITS, LEAST, MOST, FAN = 16, 9, 128, 4096, 1024
 SMALL = 32 << 20
 
 
-def marks(ids: np.ndarray, offsets: np.ndarray) -> np.ndarray:
-    """Places after which a chunk may end, over texts laid end to end: the rolling hash of the text's last 16 ids has 9 zero bits."""
-    gear = mixed(ids.astype(np.uint64) + np.uint64(0x632BE5AB))
-    place = np.arange(len(ids)) - np.repeat(offsets[:-1], np.diff(offsets))
-    rolled = gear.copy()
-    for k in range(1, min(WINDOW, len(ids))):
-        rolled[k:] += np.where(place[k:] >= k, gear[:-k] << np.uint64(k), np.uint64(0))
+def marks(ids: np.ndarray) -> np.ndarray:
+    """Places after which a chunk may end, over texts laid end to end: the rolling hash of the last 16 ids has 9 zero bits.
+
+    Within 16 ids of a text's start the hash reaches into the text before it, but no chunk ends there: the shortest has 128 ids.
+    """
+    rolled = mixed(ids.astype(np.uint64) + np.uint64(0x632BE5AB))
+    for k in (1, 2, 4, 8):  # sums over 2, 4, 8, 16 ids
+        rolled[k:] = rolled[k:] + (rolled[:-k] << np.uint64(k))
     return np.flatnonzero((rolled >> np.uint64(64 - BITS)) == 0) + 1
 
 
@@ -81,7 +82,7 @@ def _first_pass(path: str, end_id: int):
                 sizes = np.array([len(x) // 4 for x in found])
                 offsets = np.concatenate([[0], np.cumsum(sizes)])
                 flat = np.frombuffer(b"".join(found), dtype="<u4")
-                at = marks(flat, offsets)
+                at = marks(flat)
                 spots = np.searchsorted(at, offsets, side="right").tolist()
                 short = flat.astype("<u2") if flat.max() < 65536 else None
                 names, lengths, leaves, parts, first, bodies = [], [], [], [0], [], []
@@ -130,7 +131,7 @@ def write_store(docs: DataFrame, path: str, end_id: int = 0, id_col: str = "doc_
     spark = docs.sparkSession
     space = Workspace(spark, "store")
     base = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"))
-    first = space.store(base.mapInArrow(_first_pass(path, end_id), FIRST), "first", by="kind")
+    first = space.store(base.mapInArrow(_first_pass(path, end_id), FIRST), "first", by="kind", codec="snappy")
     written, made = first.where("kind = 1").select("pack", "hash", "body"), first.where("kind = 0").drop("kind", "hash", "body", "pack")
 
     again = space.store(written.groupBy("hash").agg(F.min("pack").alias("owner"), F.count(F.lit(1)).alias("c")).where("c > 1").select("hash", "owner"), "repeated")
