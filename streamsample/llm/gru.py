@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import re
 import zlib
 
 import numpy as np
@@ -10,17 +11,48 @@ BUCKETS = 1 << 15
 DIMS, STATE, LOOK = 12, 8, 8
 SPAN, STRIDE = 32, 16
 _EDGES = ".,;:!?\"'()[]{}<>«»¿¡…-_*~"
+#: Bytes of a word up to which it is one input, and bytes of each of the overlapping sub-words that a longer part is cut into.
+WHOLE, PART = 62, 16
+_JOINS = r"!-/:-@\[-`{-~\u00ad\u200b-\u200d\u2010-\u2015\u2060\u3001\u3002\uff01\uff0c\uff1a\uff1b\uff1f\ufeff"
+_JOINED = re.compile(f"[^{_JOINS}]+[{_JOINS}]*|[{_JOINS}]+")
 
 
 def core(word: str) -> bytes:
     return (word.strip(_EDGES) or word).encode("utf-8", "replace")
 
 
-def word_inputs(words: list[str], sizes: tuple[int, ...] = (3, 4, 5), longest: int = 64) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+def _width(word: str) -> int:
+    return len(word.encode("utf-8", "replace"))
+
+
+def sub_words(word: str) -> list[str]:
+    """The word, or, if it is longer than ``WHOLE`` bytes, its parts between joining marks; parts that are still longer are cut into
+    sub-words of about ``PART`` bytes, each of which overlaps the next by half. Every character is in one of them."""
+    if len(word) * 4 <= WHOLE or _width(word) <= WHOLE:
+        return [word]
+    out = []
+    for part in _JOINED.findall(word):
+        if _width(part) <= WHOLE:
+            out.append(part)
+            continue
+        n = PART // max(map(_width, set(part))) // 2 * 2
+        out += [part[k : k + n] for k in range(0, max(1, len(part) - n // 2), n // 2)]
+    return out
+
+
+def words_of(text: str) -> list[str]:
+    """A text's words in lower case, long ones as sub-words."""
+    words = text.lower().split()
+    if max(map(len, words), default=0) * 4 <= WHOLE:
+        return words
+    return [p for w in words for p in sub_words(w)]
+
+
+def word_inputs(words: list[str], sizes: tuple[int, ...] = (3, 4, 5)) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """(each word's bucket in the word table; its byte n-grams' buckets in the character table, word by word; how many those are)."""
     cores = [core(w) for w in words]
     own = np.array([zlib.crc32(c) % BUCKETS for c in cores], dtype=np.int64)
-    marked = [b"^" + c[: longest - 2] + b"$" for c in cores]
+    marked = [b"^" + c + b"$" for c in cores]
     flat = np.frombuffer(b"".join(marked), dtype=np.uint8).astype(np.uint32)
     of = np.repeat(np.arange(len(words), dtype=np.int32), [len(m) for m in marked])
     grams, where = [], []
@@ -207,7 +239,7 @@ def train(texts: list[str], labels: list[int], check: list[bool], seed: int = 5,
     y, aside, rng, words = np.array(labels), np.array(check, dtype=bool), np.random.default_rng(seed), Words()
     if len(set(y[~aside].tolist())) < 2:
         return None
-    docs = [words.ids(t.lower().split()) for t in texts]
+    docs = [words.ids(words_of(t)) for t in texts]
     own, flat, sizes = word_inputs(words.texts)
     at = np.cumsum(sizes) - sizes
     p = new_parameters(seed)

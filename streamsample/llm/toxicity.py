@@ -1,7 +1,8 @@
 """Toxicity of whole texts by a small recurrent network over overlapping windows of words.
 
 The network (``gru``) is trained on the driver on a bounded sample of labelled rows and sent to the tasks. A text's score is that of
-its strongest window; windows of 32 words start every 16 words, so every word but those at the ends lies in two. Only the text enters a score.
+its strongest window; windows of 32 words start every 16 words, so every word but those at the ends lies in two. A run of more than 62 bytes without blanks
+counts as several words: its parts between joining marks, or sub-words that overlap by half. Only the text enters a score.
 """
 
 from __future__ import annotations
@@ -13,7 +14,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .gru import DIMS, Words, embedded, sigmoid, tables_of, text_logits, train, word_inputs
+from .gru import DIMS, Words, embedded, sigmoid, tables_of, text_logits, train, word_inputs, words_of
 from .shared import read
 from .tokens import text_slices
 
@@ -52,7 +53,8 @@ class Scorer:
 
     def _learn(self) -> None:
         new = self.words.texts[self.done :]
-        x = embedded(self.p, *word_inputs(new)) if new else np.zeros((0, DIMS), dtype=np.float32)
+        parts = [embedded(self.p, *word_inputs(new[k : k + 20_000])) for k in range(0, len(new), 20_000)]
+        x = np.concatenate(parts) if parts else np.zeros((0, DIMS), dtype=np.float32)
         if not self.done:
             x[0] = 0
         more = tables_of(self.p, x)
@@ -63,7 +65,7 @@ class Scorer:
         """(logit, number of windows) of each text."""
         if len(self.words.texts) > REMEMBERED:
             self._forget()
-        docs = [self.words.ids(t.lower().split()) for t in texts]
+        docs = [self.words.ids(words_of(t)) for t in texts]
         self._learn()
         n = np.array([max(1, -(-(len(x) - 16) // 16)) for x in docs])
         return text_logits(self.p, self.tables, docs)[0], n

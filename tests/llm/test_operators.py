@@ -9,7 +9,7 @@ from collections import Counter, defaultdict
 import numpy as np
 import pytest
 
-from streamsample.llm import components, exact_dedup, license_scan, line_dedup, media, near_dedup, packing, pii, piece_lattice, token_store, tokens, toxicity
+from streamsample.llm import components, exact_dedup, gru, license_scan, line_dedup, media, near_dedup, packing, pii, piece_lattice, token_store, tokens, toxicity
 from streamsample.llm.shared import Workspace
 
 WHITE = re.compile(r"[\x20\x09-\x0D]")
@@ -117,6 +117,31 @@ def test_toxicity(spark, odd, none):
     assert toxicity.score(none, marks).count() == 0
 
 
+def test_texts_without_blanks_are_read_whole():
+    for w in ("x" * 63, "".join(chr(0x4E00 + k) for k in range(10_000)), "-" * 200, "a_b/" * 100, "é😀" * 90):
+        parts = gru.sub_words(w)
+        assert len(parts) > 1 and set("".join(parts)) == set(w) and sum(map(len, parts)) >= len(w)
+        assert all(len(p.encode()) <= gru.WHOLE and p in w for p in parts) and w.startswith(parts[0]) and w.endswith(parts[-1])
+    assert gru.sub_words("x" * 62) == ["x" * 62]
+
+    rng, latin, han = random.Random(2), [f"word{k}" for k in range(300)], [chr(0x4E00 + k) for k in range(300)]
+    for words, bad_ones, blank, joints in (
+        (latin, ["nastyone", "nastytwo", "nastythree"], " ", ("_", "/", "-", "\u200b")),
+        (han, ["毒害品", "恶骂语"], "", ("",)),
+    ):
+        rows = [(rng.choices(words, k=rng.randint(5, 120)), k % 4 == 0) for k in range(1000)]
+        for body, bad in rows:
+            if bad:
+                body[rng.randrange(len(body))] = rng.choice(bad_ones)
+        p = gru.train([blank.join(b) for b, _ in rows], [int(bad) for _, bad in rows], [k % 5 == 1 for k in range(1000)])
+        for joint in joints:
+            clean = [rng.choices(words, k=400) for _ in range(20)]
+            dirty = [[*c[:300], bad_ones[0], *c[300:]] for c in clean]
+            tool = toxicity.Scorer(p)
+            (a, n), (b, _) = (tool.logits([joint.join(x) for x in some]) for some in (clean, dirty))
+            assert n.min() > 10 and (b > a).all() and (b > 0).mean() > 0.8 and (a < 0).mean() > 0.8, (joint, a, b)
+
+
 def test_token_store(odd, none, docs):
     tool = tokens.encoder(tokens.vocabulary()).tokenizer
     for df in (odd.where("doc_id IS NOT NULL").dropDuplicates(["doc_id"]), docs):
