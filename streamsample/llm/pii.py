@@ -86,8 +86,12 @@ _ODD = re.compile("[" + "".join(map(re.escape, _ALIKE)) + "]")
 
 _AT = re.compile(r"[ \t]*(?:[(\[{<]\s*(?:at|@)\s*[)\]}>])[ \t]*", re.I)
 _DOT = re.compile(r"[ \t]*(?:[(\[{<]\s*(?:dot|\.)\s*[)\]}>])[ \t]*", re.I)
-#: A spelled address: "at" and "dot" as words with blanks about them, the dots after the at.
-_SPOKEN = re.compile(r"(?<![A-Za-z0-9._%+-])[A-Za-z0-9._%+-]+(?:[ ]dot[ ][A-Za-z0-9_%+-]+){0,3}[ ]at[ ][A-Za-z0-9-]+(?:(?:[ ]dot[ ]|\.)[A-Za-z0-9-]+)*[ ]dot[ ][A-Za-z0-9-]+", re.I)
+_BRACKETED = re.compile(r"[(\[{<]\s*(?:at|dot|@|\.)\s*[)\]}>]", re.I)
+#: A spelled address: "at" and perhaps "dot" as words with blanks about them; it starts at the first of the parts joined by dots.
+_SPOKEN = re.compile(r"(?<![A-Za-z0-9._%+-])(?<![A-Za-z0-9._%+-] dot )[A-Za-z0-9._%+-]++(?:[ ]dot[ ][A-Za-z0-9._%+-]++)*+[ ]at[ ][A-Za-z0-9-]++(?:(?:[ ]dot[ ]|\.)[A-Za-z0-9-]++)++", re.I)
+_SPOKEN_AT = re.compile(r"[ ]at[ ][A-Za-z0-9-]++(?:[ ]dot[ ]|\.)[A-Za-z0-9-]", re.I)
+#: A domain written plainly after a spoken at ends in letters, unlike a price or a time.
+_PLAIN_END = re.compile(r"\.[A-Za-z]{2,}\Z")
 _SPOKEN_PART = re.compile(r"[ ](at|dot)[ ]", re.I)
 
 #: Digits in words, English, German, Spanish and French.
@@ -101,9 +105,10 @@ _UNIT = "(?:" + "|".join(sorted(_SPELLED, key=len, reverse=True)) + r"|[0-9]+)"
 _GAP = r"(?:[ ]dot[ ]|[ ]?\.[ ]?|[ ]*-[ ]*|[ ]+)"
 _RUN = re.compile(rf"(?<!\w)(?:(?:plus[ ]|\+[ ]?))?{_UNIT}(?:{_GAP}{_UNIT}){{3,}}(?!\w)", re.I)
 _RUN_PART = re.compile(rf"plus[ ]?|{_GAP}|{'|'.join(sorted(_SPELLED, key=len, reverse=True))}", re.I)
-_SAID_DIGIT = re.compile(rf"(?<!\w)(?:{'|'.join(sorted(_SPELLED, key=len, reverse=True))})(?!\w)", re.I)
+#: What makes a run one of spelled digits: any word in it.
+_SAID = re.compile(rf"(?<!\w)(?:dot|plus|{'|'.join(sorted(_SPELLED, key=len, reverse=True))})(?!\w)", re.I)
 
-_SPELLED_WORDS = frozenset(_SPELLED)
+_SPELLED_WORDS = frozenset(_SPELLED) | {"dot", "plus"}
 _APART = str.maketrans("-.+", "   ")
 
 
@@ -152,18 +157,22 @@ def normalised(text: str) -> Tape | None:
     if not text.isascii():
         tape.rewrite([(m.start(), m.end(), _ALIKE[m.group()]) for m in _ODD.finditer(text)])
     low = tape.text.lower()
-    if any(k in low for k in ("(at", "[at", "{at", "<at", "( at", "[ at", "{ at", "< at", "(@", "[@", "{@", "<@", "( @", "[ @", "(dot", "[dot", "{dot", "<dot", "( dot", "[ dot", "(.", "[.", "{.")):
+    if _BRACKETED.search(low):
         tape.rewrite([(m.start(), m.end(), "@") for m in _AT.finditer(tape.text)])
         tape.rewrite([(m.start(), m.end(), ".") for m in _DOT.finditer(tape.text)])
-    if " at " in low and " dot " in low:
+        low = tape.text.lower()
+    if " at " in low and _SPOKEN_AT.search(tape.text):
         edits = []
         for m in _SPOKEN.finditer(tape.text):
-            edits += [(m.start() + p.start(), m.start() + p.end(), "@" if p.group(1).lower() == "at" else ".") for p in _SPOKEN_PART.finditer(m.group())]
+            parts = list(_SPOKEN_PART.finditer(m.group()))
+            if parts[-1].group(1).lower() == "dot" or _PLAIN_END.search(m.group()):
+                edits += [(m.start() + p.start(), m.start() + p.end(), "@" if p.group(1).lower() == "at" else ".") for p in parts]
         tape.rewrite(edits)
+        low = tape.text.lower()
     edits = []
     words = low.translate(_APART).split()
     for m in _RUN.finditer(tape.text) if len(words) > 3 and not _SPELLED_WORDS.isdisjoint(words) else ():
-        if len(_SAID_DIGIT.findall(m.group())) >= 3:
+        if _SAID.search(m.group()):
             edits += [(m.start() + a, m.start() + b, new) for a, b, new in _spelled_run(m.group())]
     tape.rewrite(edits)
     return tape if tape.changed.any() else None

@@ -235,6 +235,32 @@ def test_disguises_map_back(text, found):
     assert added == [found] and base == plain(text)
 
 
+@pytest.mark.parametrize(
+    "text, found",
+    [
+        ("host 192 dot 168 dot 1 dot 20 up", "192 dot 168 dot 1 dot 20"),
+        ("host 192 dot 168 dot one dot 20 up", "192 dot 168 dot one dot 20"),
+        ("call +1 415 555 01 two three now", "+1 415 555 01 two three"),
+        ("write to john at example.com now", "john at example.com"),
+        ("from a dot b dot c dot d dot e dot f at example dot com on", "a dot b dot c dot d dot e dot f at example dot com"),
+        ("to user@example { dot } com now", "user@example { dot } com"),
+        ("to user@example < dot > com now", "user@example < dot > com"),
+        ("to user@example ( . ) com now", "user@example ( . ) com"),
+        ("to user {  at  } example.com now", "user {  at  } example.com"),
+        ("to user [\tat ] example (  dot ) com now", "user [\tat ] example (  dot ) com"),
+        ("host 10(dot)0(dot)zero(dot)one up", "10(dot)0(dot)zero(dot)one"),
+    ],
+)
+def test_disguises_with_few_signs(text, found):
+    base, every = pii.all_spans(text)
+    assert [text[a:b] for a, k, b in every if (a, k, b) not in base] == [found]
+
+
+def test_spoken_at_before_a_number_stays():
+    for t in ("sold at 3.50 each", "at 10.30 or at 11.45", "dot " * 5000, "a dot " * 5000 + "at"):
+        assert pii.all_spans(t) == ([], [])
+
+
 def test_clean_texts_stay(odd, none):
     for t in ("the thing at the. Foo dot bar", "look at that dot", "un deux trois", "one or two at a time. Three"):
         assert pii.all_spans(t) == ([], [])
