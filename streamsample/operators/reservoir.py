@@ -216,6 +216,32 @@ class VariableSampler(DecentralSampler):
         super().__init__(spark, spec, path)
 
 
+def counts_of_small_batches(df: DataFrame, spec: SamplerSpec, batch: str, group: int = 4096) -> DataFrame:
+    """(batch_no, n_items, candidates, held_after) of ``GatherSampler`` over batches of few items, for every batch with rows, in two passes.
+
+    The first finds the k smallest keys of each ``group`` of successive batches; their running union, k numbers a group, tells what is held before a group.
+    """
+    k = spec.k
+    rows = items(df, spec, F.expr(batch).cast("long").alias("batch_no"))
+    rows = rows.select("batch_no", F.floor(F.col("batch_no") / group).alias("part"), F.when(V.valid_weight(F.col("w")), key_of(spec)).alias("key"))
+    least = rows.groupBy("part").agg(F.slice(F.array_sort(F.collect_list("key")), 1, k).alias("least"))
+    before, held = {}, []
+    for r in least.orderBy("part").collect():
+        before[r["part"]] = held
+        held = sorted([*held, *r["least"]])[:k]
+
+    def run(key: tuple, batches: pd.DataFrame) -> pd.DataFrame:
+        held, out = before[key[0]], []
+        for number, keys in batches.sort_values("batch_no").groupby("batch_no")["key"]:
+            new = keys.dropna().tolist()
+            found = [x for x in new if x <= held[-1]] if len(held) == k else sorted(new)[:k]
+            held = sorted([*held, *found])[:k]
+            out.append((number, len(new), len(found), len(held)))
+        return pd.DataFrame(out, columns=["batch_no", "n_items", "candidates", "held_after"])
+
+    return rows.groupBy("part").applyInPandas(run, "batch_no long, n_items long, candidates long, held_after long")
+
+
 class GatherSampler:
     """The centralised way: partitions discard by the threshold, at most k rows of each go to the driver, which selects and sends the threshold back.
 

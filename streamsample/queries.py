@@ -172,7 +172,7 @@ def _(s, d):
 
 @query("variable_size_eager")
 def _(s, d):
-    return W.run(s, "eager", EVENTS.but(k_max=200), replay(read(s, d, "events"), DAY, last=9)).report().select("batch_no", "held_after", "rounds")
+    return W.run(s, "eager", EVENTS.but(k_max=200), replay(read(s, d, "events"), DAY)).report().select("batch_no", "held_after", "rounds")
 
 
 # selection ---------------------------------------------------------------------------------------------------------------------------
@@ -379,7 +379,7 @@ def _(s, d):
 
 @query("compare_methods")
 def _(s, d):
-    return W.summary(W.compare(s, read(s, d, "events"), EVENTS, DAY, last=9))
+    return W.summary(W.compare(s, read(s, d, "events"), EVENTS, DAY))
 
 
 @query("depth_by_pivots")
@@ -667,6 +667,5 @@ def _(s, d):
 
 @query("single_item_batches")
 def _(s, d):
-    """One item a batch and partition: the continuous monitoring model as a special case."""
-    df = read(s, d, "events").where("event_id < 24")
-    return W.run(s, "gather", EVENTS.but(k=5), replay(df, "event_id DIV 4")).report().select("batch_no", "n_items", "candidates", "held_after")
+    """Batches of four items, one a partition: the continuous monitoring model as a special case. All events, without a job a batch."""
+    return reservoir.counts_of_small_batches(read(s, d, "events"), EVENTS.but(k=5), "event_id DIV 4")

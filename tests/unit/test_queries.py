@@ -5,7 +5,10 @@ from pathlib import Path
 import duckdb
 import pytest
 
-from streamsample.queries import ORACLES, QUERIES
+from streamsample.operators.reservoir import counts_of_small_batches
+from streamsample.plans import workloads as W
+from streamsample.plans.batches import DAY, replay
+from streamsample.queries import EVENTS, ORACLES, QUERIES
 
 NAMES = [
     "uniform_bottom_k",
@@ -44,3 +47,32 @@ def test_query_equals_its_sql(spark, sf, name):
 
 def test_every_oracle_has_a_query():
     assert set(ORACLES) <= set(QUERIES) and len(QUERIES) > 80
+
+
+@pytest.mark.parametrize("name", ["compare_methods", "variable_size_eager"])
+def test_methods_get_every_batch(spark, sf, name, monkeypatch):
+    seen = []
+
+    class Spy:
+        def process(self, rows, number):
+            seen.append(number)
+
+        def report(self):
+            raise InterruptedError
+
+    monkeypatch.setattr(W, "sampler", lambda *_: Spy())
+    with pytest.raises(InterruptedError):
+        QUERIES[name](spark, sf)
+    ends = spark.read.parquet(f"{sf}/events.parquet").selectExpr(f"min({DAY})", f"max({DAY})").first()
+    assert ends[1] > 9 and seen == list(range(ends[0], ends[1] + 1))
+
+
+def test_counts_of_small_batches(spark, sf):
+    events, spec = spark.read.parquet(f"{sf}/events.parquet"), EVENTS.but(k=5)
+    got = {r["batch_no"]: tuple(r) for r in QUERIES["single_item_batches"](spark, sf).collect()}
+    assert len(got) == events.selectExpr("event_id DIV 4").distinct().count() > 6
+    first = W.run(spark, "gather", spec, replay(events.where("event_id < 32"), "event_id DIV 4")).report()
+    want = [tuple(r) for r in first.select("batch_no", "n_items", "candidates", "held_after").collect()]
+    assert [got[w[0]] for w in want] == want
+    again = counts_of_small_batches(events, spec, "event_id DIV 4", group=100).collect()
+    assert {r["batch_no"]: tuple(r) for r in again} == got
