@@ -1,6 +1,6 @@
 """Licences recognised by ordered rules over known sentences; DataFrame functions only.
 
-A text is cut into sentences, each sentence is normalised (runs of other than ASCII letters and digits become one blank) and looked
+A text is cut into sentences, each sentence, or line of it, is normalised (runs of other than ASCII letters and digits become one blank) and looked
 up in the table of known sentences, which is a fixed list and so may be broadcast. Only hits go on, as (position, identifier).
 A document's hits in order form its identifier sequence, and a rule, itself a list of identifiers, matches as often
 as its identifiers occur one after the other in that sequence.
@@ -72,10 +72,38 @@ def known_sentences(spark: SparkSession, sentences: dict[str, str] | None = None
     return spark.range(1).select(F.inline(F.array(*pairs)))
 
 
-def sentence_pieces(text: Column) -> Column:
-    """The text's sentences, normalised, as an array; white space after . ; ! ? ends one, and so does a line's end."""
-    cut = F.split(F.regexp_replace(F.coalesce(text, F.lit("")), CUT, "$1\n"), "\n", -1)
-    return F.transform(cut, lambda s: F.trim(F.lower(F.regexp_replace(s, "[^A-Za-z0-9]+", " "))))
+#: Marks at a line's start that would look like the end of a sentence: comments that begin with ; or !.
+MARK = r"\n[\x20\x09]*[;!]+[\x20\x09]+"
+
+
+def found_sentences(text: Column, known: list[str]) -> Column:
+    """The known sentences of a text in order, as an array of (at, line, sentence): at, line: number of the sentence and of the line in it.
+
+    White space after . ; ! ? ends a sentence. Within one, a line is looked up by itself, and so are lines that follow one another, with
+    what is no letter or digit between them, comment marks and empty lines too, as a blank. Of finds that begin at one line the longest counts.
+    """
+    begun = sorted({" ".join(w[:n]) for w in map(str.split, known) for n in range(1, len(w))})
+    cut = F.split(F.regexp_replace(F.coalesce(text, F.lit("")), MARK, "\n"), r"(?<=[.;!?])[\x20\x09-\x0D]+", -1)
+    lines = F.transform(cut, lambda s: F.transform(F.split(s, "\n", -1), lambda x: F.trim(F.lower(F.regexp_replace(x, "[^A-Za-z0-9]+", " ")))))
+    numbered = F.transform(lines, lambda x, k: F.struct(k.alias("at"), x.alias("lines")))
+    some = F.filter(numbered, lambda p: F.exists(p["lines"], lambda x: x.isin([*known, *begun])))
+    kind = "array<struct<line: int, sentence: string>>"
+
+    def step(acc: Column, x: Column) -> Column:
+        """The finds so far and the starts of known sentences that end with the line before, each with its first line."""
+        grown = F.concat(F.transform(acc["open"], lambda o: F.struct(o["line"].alias("line"), F.concat(o["sentence"], F.lit(" "), x["sentence"]).alias("sentence"))), F.array(x))
+        return F.struct(F.filter(grown, lambda g: g["sentence"].isin(begun)).alias("open"), F.concat(acc["found"], F.filter(grown, lambda g: g["sentence"].isin(known))).alias("found"))
+
+    def finds(p: Column) -> Column:
+        full = F.filter(F.transform(p["lines"], lambda x, k: F.struct(k.alias("line"), x.alias("sentence"))), lambda x: x["sentence"] != "")
+        nothing = F.array().cast(kind)
+        found = F.aggregate(full, F.struct(nothing.alias("open"), nothing.alias("found")), step, lambda acc: acc["found"])
+        # sorted, what begins at one line ends with the longest; the outer transform binds the array once
+        last = lambda v: F.filter(v, lambda f, k: F.coalesce(F.get(v, k + 1)["line"] != f["line"], F.lit(True)))
+        longest = F.transform(F.array(F.array_sort(found)), last)[0]
+        return F.transform(longest, lambda f: F.struct(p["at"].alias("at"), f["line"].alias("line"), f["sentence"].alias("sentence")))
+
+    return F.flatten(F.transform(some, finds))
 
 
 def rule_counts(ids: Column, rules: list[tuple[str, list[str]]]) -> Column:
@@ -102,7 +130,8 @@ def scan(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", senten
     """
     spark = docs.sparkSession
     base = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("raw"))
-    said = base.select("doc_id", F.posexplode(sentence_pieces(F.col("raw"))).alias("pos", "sentence"))
+    known = sorted({" ".join(normal(s).split()) for s in (sentences or SENTENCES).values()})
+    said = base.select("doc_id", F.inline(found_sentences(F.col("raw"), known))).select("doc_id", F.struct("at", "line").alias("pos"), "sentence")
     hits = said.join(F.broadcast(known_sentences(spark, sentences)), "sentence")
     seqs = hits.groupBy(F.col("doc_id").alias("hit_id")).agg(F.array_sort(F.collect_list(F.struct("pos", "sentence_id"))).alias("hits"))
     seqs = seqs.select("hit_id", F.col("hits.sentence_id").alias("sentence_ids"))

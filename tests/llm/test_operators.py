@@ -3,6 +3,7 @@
 import hashlib
 import random
 import re
+import textwrap
 import zlib
 from collections import Counter, defaultdict
 
@@ -71,6 +72,31 @@ def test_licences(spark, odd, none):
     assert license_scan.scan(none).count() == 0 and license_scan.scan(odd).count() >= odd.count()
 
 
+def test_wrapped_licences(spark):
+    known = license_scan.SENTENCES
+
+    def wrapped(keys, width, mark="", bullets=False):
+        parts = [textwrap.fill(("* " if bullets and k != keys[0] else "") + known[k], width) for k in keys]
+        return "\n".join(mark + x for x in "\n".join(parts).split("\n"))
+
+    bsd = ("bsd-redistribution", "bsd-source", "bsd-binary", "bsd-endorse")
+    texts_of = {
+        "MIT": lambda w, m: "The MIT License (MIT)\n\nCopyright\n\n" + wrapped(("mit-condition", "mit-as-is"), w, m),
+        "GPL-3.0-or-later": lambda w, m: wrapped(("gpl-free", "gpl-hope"), w, m) + " without even",
+        "BSD-3-Clause": lambda w, m: wrapped(bsd, w, m, True),
+        "BSD-2-Clause": lambda w, m: wrapped(bsd[:3], w, m, True),
+        "MPL-2.0": lambda w, m: wrapped(("mpl-notice",), w, m) + " 2.0.",
+        "Apache-2.0": lambda w, m: wrapped(("apache-notice-long", "apache-use"), w, m),
+    }
+    rows = [(name, f"Intro\n\n{make(w, m)}\n\nend", w, m) for name, make in texts_of.items() for w in (30, 72, 80, 1000) for m in ("", " * ", "# ", "// ", ";; ", "! ")]
+    df = spark.createDataFrame([(k, r[1]) for k, r in enumerate(rows)], "doc_id long, text string")
+    for r in license_scan.scan(df).collect():
+        name, text, *how = rows[r["doc_id"]]
+        got = {m["licence"]: m["matches"] for m in r["matches"]}
+        assert got.pop(name, 0) == 1, (name, how, text, r)
+        assert set(got) <= {"BSD-2-Clause"}, (name, how, got)
+
+
 def test_companding_and_adpcm():
     assert media.MU[0xFF] == 0 and media.MU[0] == -32124 and media.MU[0x80] == 32124
     assert media.A[0xD5] == 8 and media.A[0x55] == -8 and int(media.A.max()) == 32256
