@@ -152,10 +152,10 @@ def write_store(docs: DataFrame, path: str, end_id: int = 0, id_col: str = "doc_
     return {"chunks": chunks, "recipes": recipes, "manifest": space.store(manifest(recipes), "manifest")}
 
 
-def manifest(recipes: DataFrame) -> DataFrame:
+def manifest(recipes: DataFrame, longest: int | None = None) -> DataFrame:
     """(level, part, place, node): hash-tree nodes over the recipes' leaves, 1024 to a node, the root last. No node gathers more than that."""
     level = recipes.select("part", "place", F.hex("leaf").alias("node"))
-    longest = recipes.agg(F.max("place")).first()[0]
+    longest = recipes.agg(F.max("place")).first()[0] if longest is None else longest
     out, depth = [], 0
     join_up = F.sha2(F.array_join(F.transform(F.array_sort(F.collect_list(F.struct("at", "node"))), lambda x: x["node"]), ""), 256).alias("node")
     while longest is not None and (longest > 0 or depth == 0):
@@ -225,7 +225,8 @@ def _placed_crc(crc: pd.Series, after: pd.Series) -> pd.Series:
 
 
 def read_store(store: dict[str, DataFrame]) -> DataFrame:
-    """(doc_id, start, n_tokens, ids_crc32) from a store's files. A missing, changed or misplaced chunk is an error."""
+    """(doc_id, start, n_tokens, ids_crc32) from a store's files. A missing, changed or misplaced chunk, a recipe unlike its leaf and leaves unlike the manifest are errors."""
+    check_manifest(store)
     chunks = store["chunks"].mapInArrow(_checked, "hash binary, n long, crc long")
     total = F.col("n_tokens")
     sized = store["recipes"].select("uid", "n_tokens", F.posexplode(F.arrays_zip("hashes", "lengths")).alias("k", "c"), "lengths")
@@ -237,11 +238,34 @@ def read_store(store: dict[str, DataFrame]) -> DataFrame:
     return back.select("doc_id", "start", n.alias("n_tokens"), "ids_crc32")
 
 
+def _leaf_of(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """The leaf made anew from each recipe's hashes; another one stored is an error."""
+    for batch in batches:
+        for uid, hashes, leaf in zip(*(batch.column(k).to_pylist() for k in range(3)), strict=True):
+            if not hashes or name_of(b"".join(hashes)) != leaf:
+                raise ValueError(f"recipe {uid} does not match its leaf")
+        yield pa.RecordBatch.from_arrays([batch.column(k) for k in (2, 3, 4)], names=["leaf", "part", "place"])
+
+
+def check_manifest(store: dict[str, DataFrame]) -> None:
+    """An error unless each leaf is that of its recipe's hashes and the manifest, from its first level to the root, is that of the leaves."""
+    leaves = store["recipes"].select("uid", "hashes", "leaf", "part", "place").mapInArrow(_leaf_of, "leaf binary, part long, place long")
+    again = manifest(leaves, store["recipes"].agg(F.max("place")).first()[0])
+    kept = store["manifest"].select("level", "part", "place", F.col("node").alias("kept"))
+    same = again.join(kept, ["level", "part", "place"], "full").where(~F.col("node").eqNullSafe(F.col("kept")))
+    if same.limit(1).count():
+        raise ValueError("the manifest is not that of the recipes")
+
+
 def verify(store: dict[str, DataFrame]) -> bool:
-    """Whether the manifest is that of the recipes, and each recipe's leaf that of its chunks."""
-    wrong = store["recipes"].select(F.col("leaf"), F.col("hashes")).where(F.size("hashes") == 0).limit(1).count()
-    again, kept = manifest(store["recipes"]), store["manifest"]
-    return not wrong and not again.exceptAll(kept).limit(1).count() and not kept.exceptAll(again).limit(1).count()
+    """Whether ``check_manifest`` finds nothing wrong."""
+    try:
+        check_manifest(store)
+    except Exception as e:
+        if "does not match its leaf" in str(e) or "is not that of the recipes" in str(e):
+            return False
+        raise
+    return True
 
 
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:

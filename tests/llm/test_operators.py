@@ -9,6 +9,7 @@ from collections import Counter, defaultdict
 
 import numpy as np
 import pytest
+from pyspark.sql import functions as F
 
 from streamsample.llm import components, exact_dedup, gru, license_scan, line_dedup, media, near_dedup, packing, pii, piece_lattice, token_store, tokens, toxicity
 from streamsample.llm.shared import Workspace
@@ -183,6 +184,28 @@ def test_token_store(odd, none, docs):
     assert token_store.read_store(token_store.write_store(none, tokens.vocabulary())).count() == 0
 
 
+def test_changed_recipes_and_manifests_are_errors(spark):
+    rng = random.Random(8)
+    rows = [(k, " ".join(f"{rng.randrange(10**6)}" for _ in range(1500))) for k in range(3)]
+    store = token_store.write_store(spark.createDataFrame(rows, "doc_id long, text string"), tokens.vocabulary())
+    assert token_store.verify(store) and token_store.read_store(store).count() == 3
+    recipes, nodes = store["recipes"], store["manifest"]
+    assert recipes.selectExpr("min(size(hashes))").first()[0] > 1
+    swapped = recipes.withColumn("hashes", F.reverse("hashes")).withColumn("lengths", F.reverse("lengths"))
+    other_leaf = swapped.withColumn("leaf", F.unhex(F.lit("00" * 16)))
+    top = nodes.selectExpr("max(level)").first()[0]
+    for bad in (
+        store | {"recipes": swapped},
+        store | {"recipes": other_leaf},
+        store | {"recipes": recipes.where("doc_id <> 1")},
+        store | {"manifest": nodes.withColumn("node", F.when(F.col("level") == top, "0").otherwise(F.col("node")))},
+        store | {"manifest": nodes.where(F.col("level") < top)},
+    ):
+        assert not token_store.verify(bad)
+        with pytest.raises(Exception, match="does not match its leaf|is not that of the recipes"):
+            token_store.read_store(bad).collect()
+
+
 def test_crc_of_joined_parts():
     parts = [b"abc", b"", b"x" * 1000, b"\0" * 77]
     whole, after, total = b"".join(parts), 0, 0
