@@ -29,15 +29,15 @@ from .shared import Workspace, read
 from .shingles import mixed
 from .tokens import encoder, text_slices, vocabulary
 
-WINDOW, BITS, LEAST, MOST, FAN = 16, 9, 128, 4096, 1024
+WINDOW, BITS, LEAST, MOST, FAN = 16, 8, 64, 2048, 1024
 #: Bytes of the table of repeated chunks up to which it is broadcast.
 SMALL = 32 << 20
 
 
 def marks(ids: np.ndarray) -> np.ndarray:
-    """Places after which a chunk may end, over texts laid end to end: the rolling hash of the last 16 ids has 9 zero bits.
+    """Places after which a chunk may end, over texts laid end to end: the rolling hash of the last 16 ids has 8 zero bits.
 
-    Within 16 ids of a text's start the hash reaches into the text before it, but no chunk ends there: the shortest has 128 ids.
+    Within 16 ids of a text's start the hash reaches into the text before it, but no chunk ends there: the shortest has 64 ids.
     """
     rolled = mixed(ids.astype(np.uint64) + np.uint64(0x632BE5AB))
     for k in (1, 2, 4, 8):  # sums over 2, 4, 8, 16 ids
@@ -46,7 +46,7 @@ def marks(ids: np.ndarray) -> np.ndarray:
 
 
 def cuts(n: int, marked: list[int]) -> list[int]:
-    """Ends of a text's chunks: marked places, 128 to 4096 ids apart."""
+    """Ends of a text's chunks: marked places, 64 to 2048 ids apart."""
     ends, at = [], 0
     for e in [*marked, n]:
         while e - at > MOST:
