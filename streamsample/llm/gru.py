@@ -7,6 +7,8 @@ import zlib
 
 import numpy as np
 
+from .shingles import ragged
+
 BUCKETS = 1 << 15
 DIMS, STATE, LOOK = 12, 8, 8
 SPAN, STRIDE = 32, 16
@@ -103,11 +105,6 @@ class Words:
         return np.fromiter(map(index.__getitem__, words), dtype=np.int64, count=len(words))
 
 
-def ragged(at: np.ndarray, sizes: np.ndarray) -> np.ndarray:
-    """Indices at[0], at[0]+1, ... of each run, one run after the other."""
-    return np.repeat(at - (np.cumsum(sizes) - sizes), sizes) + np.arange(sizes.sum())
-
-
 def summed(rows: np.ndarray, values: np.ndarray, n: int) -> np.ndarray:
     """Row k: the sum of the values whose row is k."""
     return np.stack([np.bincount(rows, v, n) for v in values.T], axis=1).astype(np.float32)

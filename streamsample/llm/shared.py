@@ -2,9 +2,12 @@
 
 from __future__ import annotations
 
+import contextlib
+import ctypes
 import tempfile
 import uuid
 
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -13,13 +16,16 @@ WHITE = " \t\n\x0b\x0c\r"
 
 
 def shared_root(spark: SparkSession) -> str:
-    """The folder that all executors see: ``spark.checkpoint.dir``, or a temporary one where it is unset (local runs)."""
+    """The folder that all executors see: ``spark.checkpoint.dir``. Where it is unset, a temporary one in local runs, and an error on a cluster, whose machines share none."""
     root = spark.conf.get("spark.checkpoint.dir", None)
     if not root:
         held = spark.sparkContext._jsc.sc().getCheckpointDir()
-        root = held.get() if held.isDefined() else f"file://{tempfile.mkdtemp(prefix='shared-')}"
-        if not held.isDefined():
-            spark.sparkContext.setCheckpointDir(root)
+        if held.isDefined():
+            return held.get().rstrip("/")
+        if not spark.sparkContext.master.startswith("local"):
+            raise ValueError("spark.checkpoint.dir must name a folder that all machines share")
+        root = f"file://{tempfile.mkdtemp(prefix='shared-')}"
+        spark.sparkContext.setCheckpointDir(root)
     return root.rstrip("/")
 
 
@@ -43,6 +49,13 @@ class Workspace:
         path.getFileSystem(self.spark.sparkContext._jsc.hadoopConfiguration()).delete(path, True)
 
 
+def trim() -> None:
+    """Give memory that a worker no longer uses back to the machine, where the C library can."""
+    pa.default_memory_pool().release_unused()
+    with contextlib.suppress(OSError, AttributeError):
+        ctypes.CDLL("libc.so.6").malloc_trim(0)
+
+
 def ascii_lower(text: Column) -> Column:
     """A-Z to a-z and nothing else: texts of one byte a character take the fast built-in."""
     upper = "".join(map(chr, range(65, 91)))
@@ -56,5 +69,27 @@ def without_white(text: Column) -> Column:
     return text
 
 
+def raw_key(text: Column) -> Column:
+    """Beside its id, tells a row from others that repeat the id with another text. A null text is empty."""
+    return F.xxhash64(F.coalesce(text.cast("string"), F.lit("")))
+
+
+def keep_rows(docs: DataFrame, verdicts: DataFrame, id_col: str, text_col: str, space: Workspace) -> DataFrame:
+    """``docs``, all its columns, without the rows whose verdict is not to stay, and one of rows that repeat id and text.
+
+    verdicts: (doc_id, raw_key, stays), a row for each row of ``docs``. Ids meet null-safely. Repeats, which are few as a rule, are
+    taken from a second scan, whose rows are combined before they move.
+    """
+    once = verdicts.groupBy(F.col("doc_id").alias("__id"), F.col("raw_key").alias("__raw")).agg(F.max("stays").alias("stays"), F.count(F.lit(1)).alias("c"))
+    once = space.store(once.where("NOT stays OR c > 1"), "verdicts")
+    same = lambda: docs[id_col].cast("long").eqNullSafe(F.col("__id")) & (raw_key(docs[text_col]) == F.col("__raw"))
+    kept = docs.join(once, same(), "left_anti")
+    repeated = once.where("stays")
+    if repeated.isEmpty():
+        return kept
+    again = docs.join(repeated, same(), "left_semi").withColumn("__id", docs[id_col].cast("long")).withColumn("__raw", raw_key(docs[text_col]))
+    return kept.union(again.dropDuplicates(["__id", "__raw"]).drop("__id", "__raw"))
+
+
 def read(spark: SparkSession, sf_dir: str, table: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{table}.parquet")

@@ -12,9 +12,9 @@ _LOWER = np.arange(256, dtype=np.uint8)
 _LOWER[65:91] += 32
 _WHITE = np.zeros(256, dtype=bool)
 _WHITE[[9, 10, 11, 12, 13, 32]] = True
-_BASE = np.uint64(0x9E3779B97F4A7C15)
-_UNBASE = np.uint64(pow(0x9E3779B97F4A7C15, -1, 1 << 64))
-_POWERS: list[np.ndarray] = []
+#: Odd bases of rolling sums, each with its inverse.
+_BASES = [(np.uint64(b), np.uint64(pow(b, -1, 1 << 64))) for b in (0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F)]
+_POWERS: list[list[np.ndarray]] = [[], []]
 _PLACES = np.array([pow(0xD6E8FEB86659FD93, k + 1, 1 << 64) for k in range(64)], dtype=np.uint64)
 
 
@@ -25,11 +25,13 @@ def mixed(x: np.ndarray) -> np.ndarray:
     return x ^ (x >> np.uint64(31))
 
 
-def _powers(n: int) -> tuple[np.ndarray, np.ndarray]:
-    if not _POWERS or len(_POWERS[0]) < n:
-        size = max(n, CHUNK)
-        _POWERS[:] = [np.cumprod(np.full(size, b, dtype=np.uint64), dtype=np.uint64) for b in (_BASE, _UNBASE)]
-    return _POWERS[0][:n], _POWERS[1][:n]
+def powers(n: int, which: int = 0) -> tuple[np.ndarray, np.ndarray]:
+    """The first n powers of a base, and of its inverse."""
+    held = _POWERS[which]
+    if not held or len(held[0]) < n:
+        size = max(1 << 18, 1 << (n - 1).bit_length() if n else 1)
+        held[:] = [np.cumprod(np.full(size, b, dtype=np.uint64), dtype=np.uint64) for b in _BASES[which]]
+    return held[0][:n], held[1][:n]
 
 
 def raw_texts(column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
@@ -65,7 +67,7 @@ def word_hashes(data: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.n
     before[1:] |= white[:-1]
     after[:-1] |= white[1:]
     starts, ends = np.flatnonzero(~white & before), np.flatnonzero(~white & after) + 1
-    up, down = _powers(n)
+    up, down = powers(n)
     total = np.zeros(n + 1, dtype=np.uint64)
     np.cumsum((low.astype(np.uint64) + np.uint64(1)) * up, out=total[1:])
     own = (total[ends] - total[starts]) * down[starts]
@@ -91,3 +93,31 @@ def shingle_sets(data: np.ndarray, offsets: np.ndarray, width: int = 5) -> list[
         else:
             out.append(np.zeros(0, dtype=np.uint64))
     return out
+
+
+def piece_hashes(code: np.ndarray, spots: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Two hashes of each piece of a text given as code points; ``spots``: where pieces begin, and the end. Sums of mixed code points times powers of two bases; meant for pieces of up to some hundred characters."""
+    values, starts, sizes = mixed(code.astype(np.uint64) + np.uint64(1)), spots[:-1], np.diff(spots).astype(np.uint64)
+    out, total = [], np.zeros(len(code) + 1, dtype=np.uint64)
+    for which in (0, 1):
+        up, down = powers(len(code), which)
+        np.cumsum(values * up, out=total[1:])
+        at = total[spots]
+        out.append((at[1:] - at[:-1]) * down[starts])
+    return mixed(out[0]) + sizes, out[1]
+
+
+def distinct_pieces(one: np.ndarray, two: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(the first place of each distinct hash, in the order of places; all as numbers of these; how often each occurs). The second hash must agree."""
+    _, first, numbers, counts = np.unique(one, return_index=True, return_inverse=True, return_counts=True)
+    if (two[first[numbers]] != two).any():
+        raise ValueError("two pieces have one hash")
+    order = np.argsort(first)
+    place = np.empty(len(order), dtype=np.uint32)
+    place[order] = np.arange(len(order), dtype=np.uint32)
+    return first[order], place[numbers], counts[order]
+
+
+def ragged(at: np.ndarray, sizes: np.ndarray) -> np.ndarray:
+    """Indices at[0], at[0]+1, ... of each run, one run after the other."""
+    return np.repeat(at - (np.cumsum(sizes) - sizes), sizes) + np.arange(sizes.sum())
