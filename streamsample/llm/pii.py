@@ -11,6 +11,7 @@ from __future__ import annotations
 
 import hashlib
 import re
+from bisect import bisect_right
 from collections.abc import Iterator
 
 import numpy as np
@@ -59,7 +60,7 @@ def plain_spans(text: str) -> list[tuple[int, int, int]]:
     out = [(a, 0, b) for a, b in _emails(text)]
     if _DIGIT.search(text):
         if text.count(".") > 2:
-            out += [(m.start(), 1, m.end()) for m in _IP.finditer(text) if all(len(p.lstrip("0")) < 4 and int(p) <= 255 for p in m.group().split("."))]
+            out += [(m.start(), 1, m.end()) for m in _IP.finditer(text) if all(len(d := p.lstrip("0")) < 4 and int(d or "0") <= 255 for p in m.group().split("."))]
         for m in _CARD.finditer(text):
             if m.end() - m.start() > 11:
                 d = m.group().replace(" ", "").replace("-", "")
@@ -84,8 +85,8 @@ _ALIKE |= {chr(0x2010 + k): "-" for k in range(6)}
 _ALIKE |= {chr(base + k): str(k) for base in (0x660, 0x6F0, 0x966) for k in range(10)}
 _ODD = re.compile("[" + "".join(map(re.escape, _ALIKE)) + "]")
 
-_AT = re.compile(r"[ \t]*(?:[(\[{<]\s*(?:at|@)\s*[)\]}>])[ \t]*", re.I)
-_DOT = re.compile(r"[ \t]*(?:[(\[{<]\s*(?:dot|\.)\s*[)\]}>])[ \t]*", re.I)
+_AT = re.compile(r"[(\[{<]\s*(?:at|@)\s*[)\]}>]", re.I)
+_DOT = re.compile(r"[(\[{<]\s*(?:dot|\.)\s*[)\]}>]", re.I)
 _BRACKETED = re.compile(r"[(\[{<]\s*(?:at|dot|@|\.)\s*[)\]}>]", re.I)
 #: A spelled address: "at" and perhaps "dot" as words with blanks about them; it starts at the first of the parts joined by dots.
 _SPOKEN = re.compile(r"(?<![A-Za-z0-9._%+-])(?<![A-Za-z0-9._%+-] dot )[A-Za-z0-9._%+-]++(?:[ ]dot[ ][A-Za-z0-9._%+-]++)*+[ ]at[ ][A-Za-z0-9-]++(?:(?:[ ]dot[ ]|\.)[A-Za-z0-9-]++)++", re.I)
@@ -151,6 +152,20 @@ def _spelled_run(said: str) -> list[tuple[int, int, str]]:
     return edits
 
 
+def _with_blanks(pattern: re.Pattern, text: str, new: str) -> list[tuple[int, int, str]]:
+    """Edits that put ``new`` for each match and the blanks and tabs about it; blanks between two matches go with the first. Every blank is looked at twice at most."""
+    edits, last = [], 0
+    for m in pattern.finditer(text):
+        a, b = m.span()
+        while a > last and text[a - 1] in " \t":
+            a -= 1
+        while b < len(text) and text[b] in " \t":
+            b += 1
+        edits.append((a, b, new))
+        last = b
+    return edits
+
+
 def normalised(text: str) -> Tape | None:
     """The text after all transducers; None if nothing in it looks disguised."""
     tape = Tape(text)
@@ -158,8 +173,8 @@ def normalised(text: str) -> Tape | None:
         tape.rewrite([(m.start(), m.end(), _ALIKE[m.group()]) for m in _ODD.finditer(text)])
     low = tape.text.lower()
     if _BRACKETED.search(low):
-        tape.rewrite([(m.start(), m.end(), "@") for m in _AT.finditer(tape.text)])
-        tape.rewrite([(m.start(), m.end(), ".") for m in _DOT.finditer(tape.text)])
+        tape.rewrite(_with_blanks(_AT, tape.text, "@"))
+        tape.rewrite(_with_blanks(_DOT, tape.text, "."))
         low = tape.text.lower()
     if " at " in low and _SPOKEN_AT.search(tape.text):
         edits = []
@@ -185,10 +200,12 @@ def all_spans(text: str) -> tuple[list[tuple[int, int, int]], list[tuple[int, in
     if tape is None:
         return base, base
     known, extra = [[(a, b) for a, k, b in base if k == kind] for kind in range(4)], set()
+    begins = [[a for a, _ in spans] for spans in known]
     for a, kind, b in plain_spans(tape.text):
         if tape.changed[a:b].any():
             x, y = int(tape.lo[a]), int(tape.hi[b - 1])
-            if not any(p <= x and y <= q for p, q in known[kind]):
+            at = bisect_right(begins[kind], x) - 1  # plain spans of a kind don't overlap: only the last one that begins before can hold it
+            if at < 0 or known[kind][at][1] < y:
                 extra.add((x, kind, y))
     return base, sorted([*base, *extra])
 
