@@ -122,6 +122,8 @@ def parts(media: bytes) -> tuple[tuple[int, int, int], memoryview]:
         name, size = bytes(view[at : at + 4]), int.from_bytes(view[at + 4 : at + 8], "little")
         body = view[at + 8 : at + 8 + size]
         if name == b"fmt ":
+            if len(body) < 14:
+                raise ValueError("format chunk cut short")
             tag, _, rate, _, block = struct.unpack("<HHIIH", body[:14])
             fmt = (tag, rate, block)
         elif name == b"data":
@@ -132,15 +134,45 @@ def parts(media: bytes) -> tuple[tuple[int, int, int], memoryview]:
     raise ValueError("no data")
 
 
+def whole(tag: int, size: int, block: int) -> int:
+    """Bytes of a payload that hold whole samples or blocks; ValueError if the format is unknown or its blocks can't be."""
+    if tag == ADPCM:
+        if block <= 4:
+            raise ValueError(f"blocks of {block} bytes hold no samples")
+        return size // block * block
+    if tag not in (PCM, MU_LAW, A_LAW):
+        raise ValueError(f"format {tag} is unknown")
+    return size // 2 * 2 if tag == PCM else size
+
+
 def expand(tag: int, payload: np.ndarray, block: int) -> np.ndarray:
-    """PCM of a payload of any of the formats."""
+    """PCM of a payload of any of the formats; of several ones laid end to end, too, if each is of whole samples or blocks."""
+    payload = payload[: whole(tag, len(payload), block)]
     if tag == PCM:
         return payload.view("<i2")
-    if tag in (MU_LAW, A_LAW):
-        return (MU if tag == MU_LAW else A)[payload]
-    if tag == ADPCM:
-        return decode_adpcm(payload[: len(payload) // block * block].reshape(-1, block)).reshape(-1)
-    raise ValueError(f"format {tag} is unknown")
+    return decode_adpcm(payload.reshape(-1, block)).reshape(-1) if tag == ADPCM else (MU if tag == MU_LAW else A)[payload]
+
+
+def pcm_files(files: list[bytes | None]) -> tuple[list[bytes | None], list[str | None]]:
+    """(16-bit PCM files at twice the rate, or nulls; why there is none). Files of one format are expanded and resampled together."""
+    out: list[bytes | None] = [None] * len(files)
+    faults: list[str | None] = [None] * len(files)
+    groups: dict[tuple[int, int, int], list[tuple[int, memoryview]]] = {}
+    for k, media in enumerate(files):
+        try:
+            form, load = parts(media or b"")
+            load = load[: whole(form[0], len(load), form[2])]
+            groups.setdefault(form, []).append((k, load))
+        except ValueError as e:
+            faults[k] = str(e)
+    for (tag, rate, block), some in groups.items():
+        pcm = expand(tag, np.frombuffer(b"".join(load for _, load in some), dtype=np.uint8), block)
+        per = {PCM: (1, 2), ADPCM: (2 * block - 7, block)}.get(tag, (1, 1))
+        ends = np.cumsum([len(load) // per[1] * per[0] for _, load in some])
+        raw = resample_twice(pcm, ends[ends > 0]).astype("<i2").view(np.uint8)
+        for (k, _), a, b in zip(some, [0, *ends[:-1].tolist()], ends.tolist(), strict=True):
+            out[k] = riff(raw[4 * a : 4 * b].tobytes(), PCM, 2 * rate, 2, 16)
+    return out, faults
 
 
 def _store(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -149,29 +181,25 @@ def _store(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for a, b in slices(offsets):
             raw = [data[offsets[k] : offsets[k + 1]].tobytes() for k in range(a, b)]
             media = [riff(x + b"\0" * (max(UNIT, -(-len(x) // UNIT) * UNIT) - len(x))) for x in raw]
-            yield pa.RecordBatch.from_arrays([batch.column(0).slice(a, b - a), pa.array([len(x) for x in raw], pa.int64()), pa.array(media, pa.binary())], names=["doc_id", "n_bytes", "media"])
+            cols = [batch.column(0).slice(a, b - a), pa.array([len(x) for x in raw], pa.int64()), pa.array(media, pa.binary()), pa.array(pcm_files(media)[0], pa.binary())]
+            yield pa.RecordBatch.from_arrays(cols, names=["doc_id", "n_bytes", "media", "pcm"])
 
 
 def store_texts(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """(doc_id, n_bytes, media): each text's bytes, filled with 0 to a positive multiple of 64, as mu-law samples in a RIFF file.
+    """(doc_id, n_bytes, media, pcm): each text's bytes, filled with 0 to a positive multiple of 64, as mu-law samples in a RIFF file, and that file's
+    sound as 16-bit PCM at twice the rate, in a RIFF file too.
 
     Null and empty texts become 64 zero bytes. Each row stands alone. Other columns are not read.
     """
-    return docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text")).mapInArrow(_store, "doc_id long, n_bytes long, media binary")
+    return docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text")).mapInArrow(_store, "doc_id long, n_bytes long, media binary, pcm binary")
 
 
 def _resampled(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for batch in batches:
-        for k in range(batch.num_rows):
-            media, out, fault = batch.column(1)[k].as_py(), None, None
-            try:
-                (tag, rate, block), payload = parts(media or b"")
-                pcm = expand(tag, np.frombuffer(payload, dtype=np.uint8), block)
-                twice = resample_twice(pcm, np.array([len(pcm)])) if len(pcm) else pcm
-                out = riff(twice.astype("<i2").tobytes(), PCM, 2 * rate, 2, 16)
-            except ValueError as e:
-                fault = str(e)
-            yield pa.RecordBatch.from_arrays([batch.column(0).slice(k, 1), pa.array([out], pa.binary()), pa.array([fault], pa.string())], names=["doc_id", "pcm", "fault"])
+        _, offsets = raw_texts_of_binary(batch.column(1))
+        for a, b in slices(offsets):
+            out, faults = pcm_files(batch.column(1).slice(a, b - a).to_pylist())
+            yield pa.RecordBatch.from_arrays([batch.column(0).slice(a, b - a), pa.array(out, pa.binary()), pa.array(faults, pa.string())], names=["doc_id", "pcm", "fault"])
 
 
 def to_pcm(media: DataFrame, id_col: str = "doc_id", media_col: str = "media") -> DataFrame:
@@ -193,7 +221,7 @@ def _features(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             ends = np.cumsum(sizes)
             flat = np.frombuffer(b"".join(loads), dtype=np.uint8)
             mu, al = MU[flat], A[flat]
-            twice = resample_twice(mu, ends)
+            sound = [parts(batch.column(3)[k].as_py())[1] for k in range(a, b)]
             coded = decode_adpcm(flat.reshape(-1, UNIT))
             at, per = ends - sizes, (ends - sizes) // UNIT
             power = lambda x, where: np.add.reduceat(x.astype(np.int64) ** 2, where)
@@ -203,9 +231,8 @@ def _features(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             turns[ends - 1] = False
             zero = np.add.reduceat(turns.astype(np.int64), at)
             peak = np.maximum.reduceat(np.abs(mu.astype(np.int32)), at)
-            raw = twice.astype("<i2").view(np.uint8)
             feature = [
-                f"mu_ms={mu2[k] // sizes[k]};a_ms={al2[k] // sizes[k]};adpcm_ms={ad2[k] // (sizes[k] // UNIT * coded.shape[1])};peak={peak[k]};turns={zero[k]};pcm16k={2 * sizes[k]}:{zlib.crc32(raw[4 * at[k] : 4 * ends[k]]):08x}"
+                f"mu_ms={mu2[k] // sizes[k]};a_ms={al2[k] // sizes[k]};adpcm_ms={ad2[k] // (sizes[k] // UNIT * coded.shape[1])};peak={peak[k]};turns={zero[k]};pcm16k={len(sound[k]) // 2}:{zlib.crc32(sound[k]):08x}"
                 for k in range(b - a)
             ]
             cols = [
@@ -226,12 +253,13 @@ def raw_texts_of_binary(column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
     arr = column.cast(pa.large_binary())
     _, offsets, data = arr.buffers()
     offs = np.frombuffer(offsets, dtype=np.int64)[arr.offset : arr.offset + len(arr) + 1]
-    return np.frombuffer(data, dtype=np.uint8)[offs[0] : offs[-1]], offs - offs[0]
+    flat = np.frombuffer(data, dtype=np.uint8) if data is not None and data.size else np.zeros(0, dtype=np.uint8)
+    return flat[offs[0] : offs[-1]], offs - offs[0]
 
 
 def read_back(media: DataFrame) -> DataFrame:
-    """Sums and features of stored texts (doc_id, n_bytes, media), from the stored bytes. All figures are whole numbers."""
-    return media.select("doc_id", "n_bytes", "media").mapInArrow(_features, READ)
+    """Sums and features of stored texts (doc_id, n_bytes, media, pcm), from the stored bytes of both files. All figures are whole numbers."""
+    return media.select("doc_id", "n_bytes", "media", "pcm").mapInArrow(_features, READ)
 
 
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:
