@@ -13,7 +13,7 @@ from functools import reduce
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .shared import WHITE, Workspace, ascii_lower, read
+from .shared import WHITE, Workspace, ascii_lower, raw_key, read
 
 KEY = ["h1", "h2"]
 
@@ -23,7 +23,7 @@ def line_key(line: Column) -> Column:
 
 
 def hashed_lines(docs: DataFrame, id_col: str, text_col: str, min_points: int, batches: int) -> DataFrame:
-    """(doc_id, pos, h1, h2, first, batch): the lines whose keys are long enough; ``first``: the key's first line in its document."""
+    """(doc_id, raw_key, pos, h1, h2, first, batch): the lines whose keys are long enough; ``first``: the key's first line in its document."""
 
     def hashed(line: Column, pos: Column) -> Column:
         key = line_key(line)
@@ -34,12 +34,12 @@ def hashed_lines(docs: DataFrame, id_col: str, text_col: str, min_points: int, b
 
     lines = F.split(F.coalesce(F.col(text_col), F.lit("")), "\n", -1)
     found = F.array_sort(F.filter(F.transform(lines, hashed), lambda x: x.isNotNull()))
-    base = docs.select(F.col(id_col).cast("long").alias("doc_id"), found.alias("found"))
+    base = docs.select(F.col(id_col).cast("long").alias("doc_id"), raw_key(F.col(text_col)).alias("raw_key"), found.alias("found"))
     before = lambda i: F.get(F.col("found"), i - 1)
     marked = F.transform(
         "found", lambda x, i: F.struct(x["h1"].alias("h1"), x["h2"].alias("h2"), x["pos"].alias("pos"), ((i == 0) | (x["h1"] != before(i)["h1"]) | (x["h2"] != before(i)["h2"])).alias("first"))
     )
-    return base.select("doc_id", F.pmod(F.xxhash64("doc_id"), F.lit(batches)).cast("int").alias("batch"), F.inline(marked))
+    return base.select("doc_id", "raw_key", F.pmod(F.xxhash64("doc_id"), F.lit(batches)).cast("int").alias("batch"), F.inline(marked))
 
 
 class LevelledRuns:
@@ -86,18 +86,19 @@ def drop_lines(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text",
     """(doc_id, n_lines, n_dropped, kept_text) for each row of ``docs``.
 
     A null or empty text is one empty line. A key is a line without white space at its ends and with A-Z lower-cased; keys
-    shorter than ``min_points`` never go. Ids must be unique for exact counts: rows that share an id count each, rows with
-    a null id keep all their lines but count. Other columns are not read. An empty table gives an empty result.
+    shorter than ``min_points`` never go. Every row is a document of its own in the counts, rows that share an id, or have a null one, too; each
+    loses its own lines only. Other columns are not read. An empty table gives an empty result.
     """
     space = Workspace(docs.sparkSession, "lines")
     lines = space.store(hashed_lines(docs, id_col, text_col, min_points, batches), "lines", by="batch")
     store = LevelledRuns(space, min_docs)
     for b in range(batches):
         store.add(lines.where((F.col("batch") == b) & F.col("first")).select(*KEY))
-    gone = lines.join(store.frequent(), KEY, "left_semi").groupBy(F.col("doc_id").alias("gone_id")).agg(F.collect_set("pos").alias("gone"))
-    base = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.coalesce(F.col(text_col), F.lit("")).alias("raw"))
+    gone = lines.join(store.frequent(), KEY, "left_semi").groupBy(F.col("doc_id").alias("gone_id"), F.col("raw_key").alias("gone_raw")).agg(F.collect_set("pos").alias("gone"))
+    base = docs.select(F.col(id_col).cast("long").alias("doc_id"), raw_key(F.col(text_col)).alias("raw_key"), F.coalesce(F.col(text_col), F.lit("")).alias("raw"))
     none = F.array().cast("array<int>")
-    marked = base.join(gone, F.col("doc_id") == F.col("gone_id"), "left").select("doc_id", F.split("raw", "\n", -1).alias("lines"), F.coalesce("gone", none).alias("gone"))
+    same = F.col("doc_id").eqNullSafe(F.col("gone_id")) & (F.col("raw_key") == F.col("gone_raw"))
+    marked = base.join(gone, same, "left").select("doc_id", F.split("raw", "\n", -1).alias("lines"), F.coalesce("gone", none).alias("gone"))
     stay = F.array_except(F.sequence(F.lit(0), F.size("lines") - 1), F.col("gone"))
     kept = F.array_join(F.transform(stay, lambda i: F.get(F.col("lines"), i)), "\n")
     return marked.select("doc_id", F.size("lines").cast("long").alias("n_lines"), F.size("gone").cast("long").alias("n_dropped"), kept.alias("kept_text"))
