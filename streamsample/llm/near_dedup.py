@@ -7,8 +7,8 @@ s = 0.85 with probability 1.5e-5, and at 0.5 it is a candidate with probability
 
 Half keys that only one document has can be in no shared table, so only the others are paired; most documents drop out there.
 
-Groups are linked without writing out all their pairs. Equal shingle sets are one class with its smallest id as representative. In each
-bucket all members are first compared with its smallest one, the hub. Components of the confirmed links follow. Where the members
+Groups are linked without writing out all their pairs. Equal shingle sets are one class, a numbered node, with its smallest id as representative. In each
+bucket all members are first compared with its first one, the hub. Components of the confirmed links follow. Where the members
 around a hub still lie in several components, those outside the largest one are compared with all of them, in blocks of bounded
 size, and only links leave a block. So no rows of pairs are made but those with hubs and those of links.
 """
@@ -25,7 +25,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .components import components
-from .shared import Workspace, read
+from .shared import Workspace, keep_rows, raw_key, read
 from .shingles import mixed, raw_texts, shingle_sets, slices
 
 WIDTH, TABLES, HALF, PERCENT = 5, 16, 4, 85
@@ -51,13 +51,12 @@ def half_keys(shingles: np.ndarray, tables: int, half: int) -> np.ndarray:
 
 def _each_set(batches: Iterator[pa.RecordBatch], width: int):
     for batch in batches:
-        data, offsets = raw_texts(batch.column(1))
-        ids = batch.column(0)
+        data, offsets = raw_texts(batch.column(batch.num_columns - 1))
         for a, b in slices(offsets):
-            yield ids.slice(a, b - a), shingle_sets(data[offsets[a] : offsets[b]], offsets[a : b + 1] - offsets[a], width)
+            yield [c.slice(a, b - a) for c in batch.columns[:-1]], shingle_sets(data[offsets[a] : offsets[b]], offsets[a : b + 1] - offsets[a], width)
 
 
-SKETCH = "doc_id long, n_shingles long, set_key binary, half_keys array<long>"
+SKETCH = "doc_id long, raw_key long, n_shingles long, set_key binary, half_keys array<long>"
 
 
 def _sketches(width: int, tables: int, half: int):
@@ -66,7 +65,7 @@ def _sketches(width: int, tables: int, half: int):
             keys = [half_keys(s, tables, half) if len(s) else None for s in sets]
             marks = [hashlib.blake2b(s.tobytes(), digest_size=16).digest() if len(s) else None for s in sets]
             yield pa.RecordBatch.from_arrays(
-                [ids, pa.array([len(s) for s in sets], pa.int64()), pa.array(marks, pa.binary()), pa.array(keys, pa.list_(pa.int64()))], names=["doc_id", "n_shingles", "set_key", "half_keys"]
+                [*ids, pa.array([len(s) for s in sets], pa.int64()), pa.array(marks, pa.binary()), pa.array(keys, pa.list_(pa.int64()))], names=[c.split()[0] for c in SKETCH.split(", ")]
             )
 
     return run
@@ -77,7 +76,7 @@ def _sets(width: int):
         for ids, sets in _each_set(batches, width):
             offs = np.concatenate([[0], np.cumsum([len(s) for s in sets])]).astype(np.int32)
             flat = np.concatenate(sets).view(np.int64) if sets else np.zeros(0, dtype=np.int64)
-            yield pa.RecordBatch.from_arrays([ids, pa.ListArray.from_arrays(pa.array(offs), pa.array(flat))], names=["node", "shingles"])
+            yield pa.RecordBatch.from_arrays([*ids, pa.ListArray.from_arrays(pa.array(offs), pa.array(flat))], names=["node", "shingles"])
 
     return run
 
@@ -126,14 +125,17 @@ def _blocks(percent: int):
     return run
 
 
-def _links_of_the_rest(rest: DataFrame, sets: DataFrame, percent: int, budget: int = 400_000) -> DataFrame:
+def _links_of_the_rest(rest: DataFrame, sets: DataFrame, percent: int, budget: int = 400_000, most_rows: int = 2048) -> DataFrame:
     """Links between components of one hub's group: members outside its largest component against all, in blocks of bounded size.
 
-    rest: (hub, node, component, most). A side's rows are dealt to blocks of about ``budget`` shingles; each pair of blocks is one task's group. Only links come out.
+    rest: (hub, node, component, most). A side's rows are dealt to blocks of about ``budget`` shingles and ``most_rows`` rows; each pair of blocks is one
+    task's group, so it needs memory for most_rows ** 2 overlaps at most. The pairs of blocks of one hub grow with the product of its outsiders and members. Only links come out.
     """
     full = rest.join(sets, "node").withColumn("n", F.size("shingles").cast("long")).withColumn("out", F.col("component") != F.col("most"))
-    out_n = F.coalesce(F.sum(F.when(F.col("out"), F.col("n"))), F.lit(0))
-    counts = full.select("hub", "n", "out").groupBy("hub").agg(F.ceil(out_n / budget).cast("int").alias("nx"), F.ceil(F.sum("n") / budget).cast("int").alias("ny"))
+    sums = [F.coalesce(F.sum(F.when(c, F.col("n"))), F.lit(0)) for c in (F.col("out"), F.lit(True))]
+    rows = [F.count_if(c) for c in (F.col("out"), F.lit(True))]
+    blocks = [F.ceil(F.greatest(s / budget, r / most_rows)).cast("int").alias(name) for s, r, name in zip(sums, rows, ("nx", "ny"), strict=True)]
+    counts = full.select("hub", "n", "out").groupBy("hub").agg(*blocks)
     dealt = full.join(counts, "hub")
     own = lambda n: F.pmod(F.xxhash64("node"), F.col(n)).cast("int")
     every = lambda n: F.explode(F.sequence(F.lit(0), F.col(n) - 1))
@@ -148,14 +150,23 @@ def near_groups(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text",
 
     Texts are lower-cased (A-Z) and split at white space; a text of fewer than ``width`` words is one shingle; null and
     empty texts have none and are linked with nothing. Rows with a null id are linked with nothing, have a null component and are kept.
-    Rows that repeat an id count as one document, whichever of their texts is met. Other columns are not read.
+    Rows that repeat an id are told apart by their texts (raw_key): each has its own set and links. Other columns are not read.
     """
     space = Workspace(docs.sparkSession, "near")
-    base = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"))
+    found = _grouped(docs, space, id_col, text_col, width, percent, tables, half)
+    kept = F.col("doc_id").eqNullSafe(F.col("component_id")) & F.coalesce(F.col("raw_key") == F.col("keep_raw"), F.lit(True))
+    return found.withColumn("kept", kept).drop("keep_raw", "raw_key")
+
+
+def _grouped(docs: DataFrame, space: Workspace, id_col: str, text_col: str, width: int, percent: int, tables: int, half: int) -> DataFrame:
+    """(doc_id, raw_key, n_shingles, component_id, keep_raw): keep_raw tells the row that stays from others with its id; null where a row is linked with nothing."""
+    base = docs.select(F.col(id_col).cast("long").alias("doc_id"), raw_key(F.col(text_col)).alias("raw_key"), F.col(text_col).cast("string").alias("text"))
     rows = space.store(base.mapInArrow(_sketches(width, tables, half), SKETCH), "sketches")
     full = rows.where("n_shingles > 0 AND doc_id IS NOT NULL")
-    classes = space.store(full.groupBy("set_key").agg(F.min("doc_id").alias("rep")), "classes")
-    reps = full.join(classes.select(F.col("rep").alias("doc_id")), "doc_id", "left_semi").groupBy(F.col("doc_id").alias("node")).agg(F.first("half_keys").alias("half_keys"))
+    # equal sets are a class; its number is the node, its representative the row with the smallest id
+    classes = full.groupBy("set_key").agg(F.min(F.struct("doc_id", "raw_key")).alias("rep")).select("set_key", "rep.doc_id", "rep.raw_key")
+    classes = space.store(classes.withColumn("node", F.monotonically_increasing_id()), "classes")
+    reps = full.join(classes.select("doc_id", "raw_key", "node"), ["doc_id", "raw_key"]).groupBy("node").agg(F.first("half_keys").alias("half_keys"))
 
     # half keys that at least two representatives have
     parts = reps.select("node", F.posexplode("half_keys").alias("pos", "v"))
@@ -170,8 +181,8 @@ def near_groups(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text",
     hubs = tensored.groupBy("key").agg(F.min("node").alias("hub"), F.max("node").alias("top")).where("hub < top").select("key", "hub")
     members = space.store(tensored.join(hubs, "key"), "members")
 
-    involved = members.select("node").distinct()
-    texts = base.join(involved.select(F.col("node").alias("doc_id")), "doc_id", "left_semi").dropDuplicates(["doc_id"])
+    involved = classes.join(members.select("node").distinct(), "node", "left_semi").select("doc_id", "raw_key", "node")
+    texts = base.join(involved, ["doc_id", "raw_key"]).select("node", "text").dropDuplicates(["node"])
     sets = space.store(texts.mapInArrow(_sets(width), "node long, shingles array<long>"), "sets")
 
     # every member against the smallest of its bucket
@@ -187,16 +198,22 @@ def near_groups(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text",
     stars = label.where("node <> component").select(F.col("node").alias("a"), F.col("component").alias("b"))
     final = components(stars.union(second), space, "all")
 
-    of_class = classes.join(final, F.col("rep") == F.col("node"), "left").select("set_key", F.coalesce("component", "rep").alias("component_id"))
-    linked = full.select("doc_id", "n_shingles", "set_key").join(of_class, "set_key").select("doc_id", "n_shingles", "component_id")
-    alone = rows.where("n_shingles = 0 OR doc_id IS NULL").select("doc_id", "n_shingles", F.col("doc_id").alias("component_id"))
-    return linked.union(alone).withColumn("kept", F.col("doc_id").eqNullSafe(F.col("component_id")))
+    labelled = space.store(classes.join(final, "node", "left").withColumn("component", F.coalesce("component", "node")), "labelled")
+    least = labelled.groupBy("component").agg(F.min(F.struct("doc_id", "raw_key")).alias("least"))
+    of_class = labelled.join(least, "component").select("set_key", F.col("least.doc_id").alias("component_id"), F.col("least.raw_key").alias("keep_raw"))
+    linked = full.join(of_class, "set_key").select("doc_id", "raw_key", "n_shingles", "component_id", "keep_raw")
+    alone = rows.where("n_shingles = 0 OR doc_id IS NULL").select("doc_id", "raw_key", "n_shingles", F.col("doc_id").alias("component_id"), F.lit(None).cast("long").alias("keep_raw"))
+    return linked.union(alone)
 
 
-def drop_near(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", **options) -> DataFrame:
-    """``docs``, all its columns, with one document of each group. Rows with a null id stay."""
-    gone = near_groups(docs, id_col, text_col, **options).where(~F.col("kept")).select(F.col("doc_id").alias("gone_id")).distinct()
-    return docs.join(gone, docs[id_col] == gone["gone_id"], "left_anti")
+def drop_near(
+    docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", width: int = WIDTH, percent: int = PERCENT, tables: int = TABLES, half: int = HALF
+) -> DataFrame:
+    """``docs``, all its columns, with one row of each group; rows that are linked with nothing stay, but one of those that repeat id and text."""
+    space = Workspace(docs.sparkSession, "near")
+    found = _grouped(docs, space, id_col, text_col, width, percent, tables, half)
+    stays = F.col("keep_raw").isNull() | ((F.col("doc_id") == F.col("component_id")) & (F.col("raw_key") == F.col("keep_raw")))
+    return keep_rows(docs, found.select("doc_id", "raw_key", stays.alias("stays")), id_col, text_col, space)
 
 
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:
