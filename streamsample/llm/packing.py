@@ -4,7 +4,11 @@ A document's ids, with an end id, are cut into full windows of the largest size;
 Tiers are packed from the largest down: each rest opens a window of its tier, and its gap is filled with the longest rests of shorter tiers
 that fit, the last of them cut to size. So every window is full, and its size a power of two. Windows that shorter tiers could not fill wait
 for the next documents; at a task's end what waits is laid end to end and cut into powers of two. Each task packs its own
-documents, no rows move, and memory holds one slice of documents. Sequences of one size go to step groups of equal tokens.
+documents, no texts move, and memory holds one slice of documents.
+
+Sequences of one tier go to step groups. Tasks note how many tokens of a tier each sequence has before it; from the tasks' totals its place in
+the whole table follows, and the tier's tokens are dealt evenly to as few groups as can hold them. What is shorter than the smallest tier, some
+sequences a task, forms groups of its own, dealt in the same way.
 """
 
 from __future__ import annotations
@@ -16,15 +20,16 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 from pyspark import TaskContext
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from .shared import read
+from .shared import Workspace, read
 from .tokens import encoder, text_slices, vocabulary
 
 TIERS = (256, 512, 1024, 2048)
 STEP_TOKENS = 32768
-OUT = "doc_id long, start long, length long, ids_crc32 long, doc_tokens long, sequence_id long, offset long, tier int, step_group long"
+OUT = "doc_id long, start long, length long, ids_crc32 long, doc_tokens long, sequence_id long, offset long, tier int"
+PACKED = f"{OUT}, level int, part long, before long"
 
 
 class Packer:
@@ -92,36 +97,34 @@ class Packer:
         self.waiting = []
 
 
-def _pack(path: str, end_id: int, tiers: tuple[int, ...], step_tokens: int):
+def _pack(path: str, end_id: int, tiers: tuple[int, ...]):
     tail = np.array([end_id], dtype="<u4").tobytes()
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        part, tool, packer = TaskContext.get().partitionId() << 32, encoder(path), Packer(tiers)
+        number_of_task, tool, packer = TaskContext.get().partitionId(), encoder(path), Packer(tiers)
+        part = number_of_task << 32
         held: dict[int, tuple[int | None, bytes]] = {}
-        number = sequences = groups = 0
-        open_groups: dict[int, list[int]] = {}
+        number = sequences = 0
+        before = dict.fromkeys((0, *tiers), 0)
 
         def flush() -> pa.RecordBatch:
-            nonlocal sequences, groups
+            nonlocal sequences
             rows = []
             for size, window in packer.done:
-                group = open_groups.get(size)
-                if group is None or group[1] + size > step_tokens:
-                    group = open_groups[size] = [groups, 0]
-                    groups += 1
-                group[1] += size
+                level = size if size in before else 0
                 offset = 0
                 for doc, start, n in window:
                     doc_id, ids = held[doc]
-                    rows.append((doc_id, start, n, zlib.crc32(ids[4 * start : 4 * (start + n)]), len(ids) // 4, part | sequences, offset, size, part | group[0]))
+                    rows.append((doc_id, start, n, zlib.crc32(ids[4 * start : 4 * (start + n)]), len(ids) // 4, part | sequences, offset, size, level, number_of_task, before[level]))
                     offset += n
                 sequences += 1
+                before[level] += size
             packer.done = []
             keep = {doc for doc, _, _ in packer.waiting}
             for doc in [d for d in held if d not in keep]:
                 del held[doc]
-            cols = list(zip(*rows, strict=True)) or [[]] * 9
-            return pa.RecordBatch.from_arrays([pa.array(c, pa.int32() if k == 7 else pa.int64()) for k, c in enumerate(cols)], names=[c.split()[0] for c in OUT.split(", ")])
+            cols = list(zip(*rows, strict=True)) or [[]] * 11
+            return pa.RecordBatch.from_arrays([pa.array(c, pa.int32() if k in (7, 8) else pa.int64()) for k, c in enumerate(cols)], names=[c.split()[0] for c in PACKED.split(", ")])
 
         for batch in batches:
             doc_ids, texts = batch.column(0).to_pylist(), [t or "" for t in batch.column(1).to_pylist()]
@@ -140,6 +143,20 @@ def _pack(path: str, end_id: int, tiers: tuple[int, ...], step_tokens: int):
     return run
 
 
+def grouped(packed: DataFrame, step_tokens: int) -> DataFrame:
+    """``packed`` with step_group: a level's sequences, in the order of their tasks, are dealt to groups of as equal tokens as whole sequences allow.
+
+    The running totals are over one row for each task and level.
+    """
+    sizes = packed.where("offset = 0").groupBy("level", "part").agg(F.sum("tier").alias("tokens"))
+    so_far = F.sum("tokens").over(Window.partitionBy("level").orderBy("part"))
+    spots = sizes.select("level", "part", (so_far - F.col("tokens")).alias("ahead"), F.sum("tokens").over(Window.partitionBy("level")).alias("total"))
+    n_groups = F.ceil(F.col("total") / step_tokens)
+    number = F.floor((F.col("ahead") + F.col("before")).cast("double") / F.col("total") * n_groups).cast("long")
+    joined = packed.join(spots, ["level", "part"])
+    return joined.select(*[c.split()[0] for c in OUT.split(", ")], (F.col("level").cast("long") * (1 << 44) + number).alias("step_group"))
+
+
 def pack(docs: DataFrame, path: str, end_id: int = 1, tiers: tuple[int, ...] = TIERS, step_tokens: int = STEP_TOKENS, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """One row for each piece: doc_id, start, length, ids_crc32, doc_tokens, sequence_id, offset, tier, step_group.
 
@@ -147,7 +164,8 @@ def pack(docs: DataFrame, path: str, end_id: int = 1, tiers: tuple[int, ...] = T
     ids included. Every sequence is full, so none needs padding. Other columns are not read. An empty table gives no pieces.
     """
     base = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"))
-    return base.mapInArrow(_pack(path, end_id, tuple(tiers), step_tokens), OUT)
+    packed = Workspace(docs.sparkSession, "packing").store(base.mapInArrow(_pack(path, end_id, tuple(tiers)), PACKED), "pieces")
+    return grouped(packed, step_tokens)
 
 
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:
