@@ -3,7 +3,8 @@
 A text is cut into sentences, each sentence, or line of it, is normalised (runs of other than ASCII letters and digits become one blank) and looked
 up in the table of known sentences, which is a fixed list and so may be broadcast. Only hits go on, as (position, identifier).
 A document's hits in order form its identifier sequence, and a rule, itself a list of identifiers, matches as often
-as its identifiers occur one after the other in that sequence.
+as its identifiers stand next to one another in that sequence, sentences that go with any licence aside. Rules are tried from the longest to the
+shortest, and what one of them has matched is gone for the others.
 """
 
 from __future__ import annotations
@@ -36,6 +37,27 @@ SENTENCES = {
     "cc0-notice": "Released under CC0 1.0.",
     "mpl-notice": "This Source Code Form is subject to the terms of the Mozilla Public License, v.",
     "reserved": "All rights reserved.",
+    "apache-basis": 'Unless required by applicable law or agreed to in writing, software distributed under the License is distributed on an "AS IS" BASIS, WITHOUT WARRANTIES OR CONDITIONS OF ANY KIND, either express or implied.',
+    "mit-grant": 'Permission is hereby granted, free of charge, to any person obtaining a copy of this software and associated documentation files (the "Software"), to deal in the Software without restriction, including without limitation the rights to use, copy, modify, merge, publish, distribute, sublicense, and/or sell copies of the Software, and to permit persons to whom the Software is furnished to do so, subject to the following conditions:',
+    "gpl-program": "This program is free software;",
+    "lgpl-library": "This library is free software;",
+    "gpl-terms": "you can redistribute it and/or modify it under the terms of the GNU General Public License as published by the Free Software Foundation;",
+    "lgpl-terms": "you can redistribute it and/or modify it under the terms of the GNU Lesser General Public License as published by the Free Software Foundation;",
+    "gpl-version-2": "either version 2 of the License, or (at your option) any later version.",
+    "gpl-version-2.1": "either version 2.1 of the License, or (at your option) any later version.",
+    "lgpl3-free": "This program is free software: you can redistribute it and/or modify it under the terms of the GNU Lesser General Public License as published by the Free Software Foundation, either version 3 of the License, or (at your option) any later version.",
+    "agpl-free": "This program is free software: you can redistribute it and/or modify it under the terms of the GNU Affero General Public License as published by the Free Software Foundation, either version 3 of the License, or (at your option) any later version.",
+    "isc-grant": "Permission to use, copy, modify, and/or distribute this software for any purpose with or without fee is hereby granted, provided that the above copyright notice and this permission notice appear in all copies.",
+    "isc-as-is": 'THE SOFTWARE IS PROVIDED "AS IS" AND THE AUTHOR DISCLAIMS ALL WARRANTIES WITH REGARD TO THIS SOFTWARE INCLUDING ALL IMPLIED WARRANTIES OF MERCHANTABILITY AND FITNESS.',
+    "0bsd-grant": "Permission to use, copy, modify, and/or distribute this software for any purpose with or without fee is hereby granted.",
+    "bsd-advertising": "All advertising materials mentioning features or use of this software must display the following acknowledgement:",
+    "zlib-as-is": "This software is provided 'as-is', without any express or implied warranty.",
+    "zlib-altered": "Altered source versions must be plainly marked as such, and must not be misrepresented as being the original software.",
+    "boost-title": "Boost Software License - Version 1.0 - August 17th, 2003",
+    "boost-notice": "Distributed under the Boost Software License, Version 1.0.",
+    "epl-notice": "This program and the accompanying materials are made available under the terms of the Eclipse Public License 2.0 which is available at https://www.eclipse.org/legal/epl-2.0/",
+    "unlicense-notice": "This is free and unencumbered software released into the public domain.",
+    "artistic-title": "The Artistic License 2.0",
 }
 
 #: Fixed values: (licence, its identifiers in order).
@@ -54,7 +76,34 @@ RULES = [
     ("CC0-1.0", ["cc0-notice"]),
     ("MPL-2.0", ["mpl-notice"]),
     ("All-Rights-Reserved", ["reserved"]),
+    ("Apache-2.0", ["apache-notice-long", "apache-use", "apache-copy", "apache-basis"]),
+    ("Apache-2.0", ["apache-notice-long", "apache-use", "apache-copy"]),
+    ("Apache-2.0", ["apache-notice-long", "apache-use", "apache-basis"]),
+    ("MIT", ["mit-title", "mit-grant", "mit-condition", "mit-as-is"]),
+    ("MIT", ["mit-grant", "mit-condition", "mit-as-is"]),
+    ("MIT", ["mit-title", "mit-condition", "mit-as-is"]),
+    ("GPL-2.0-or-later", ["gpl-program", "gpl-terms", "gpl-version-2"]),
+    ("LGPL-2.1-or-later", ["lgpl-library", "lgpl-terms", "gpl-version-2.1"]),
+    ("LGPL-3.0-or-later", ["lgpl3-free"]),
+    ("AGPL-3.0-or-later", ["agpl-free"]),
+    ("ISC", ["isc-grant", "isc-as-is"]),
+    ("0BSD", ["0bsd-grant", "isc-as-is"]),
+    ("BSD-4-Clause", ["bsd-redistribution", "bsd-source", "bsd-binary", "bsd-advertising", "bsd-endorse"]),
+    ("Zlib", ["zlib-as-is", "zlib-altered"]),
+    ("BSL-1.0", ["boost-title"]),
+    ("BSL-1.0", ["boost-notice"]),
+    ("EPL-2.0", ["epl-notice"]),
+    ("Unlicense", ["unlicense-notice"]),
+    ("Artistic-2.0", ["artistic-title"]),
 ]
+#: Identifiers that go with any licence; they don't part the others of a rule.
+NEUTRAL = ("reserved",)
+
+# a line that names a licence by its short identifier, for each licence of the rules
+for _name in dict.fromkeys(n for n, _ in RULES):
+    if _name != "All-Rights-Reserved":
+        SENTENCES[f"spdx-{_name}"] = f"SPDX-License-Identifier: {_name}"
+        RULES.append((_name, [f"spdx-{_name}"]))
 
 CUT = r"([.;!?])[\x20\x09-\x0D]+"
 
@@ -106,20 +155,37 @@ def found_sentences(text: Column, known: list[str]) -> Column:
     return F.flatten(F.transform(some, finds))
 
 
+def _longest_first(rules: list[tuple[str, list[str]]]) -> list[tuple[str, list[str]]]:
+    return sorted(rules, key=lambda r: (-len(r[1]), r))
+
+
 def rule_counts(ids: Column, rules: list[tuple[str, list[str]]]) -> Column:
-    """Map of licence to number of matches, licences without a match left out. One fold over the sequence for each rule."""
+    """Array of (licence, matches), licences without a match left out. One fold over the rules, each of which takes its matches out of the sequence."""
+    ordered = _longest_first(rules)
 
-    def matched(rule: list[str]) -> Column:
-        want = F.array(*map(F.lit, rule))
-        steps = F.aggregate(ids, F.lit(0), lambda at, x: F.when(x == F.element_at(want, (at % len(rule)) + 1), at + 1).otherwise(at))
-        return F.floor(steps / len(rule)).cast("long")
+    def said(x: Column) -> Column:
+        return F.concat(F.lit("<"), F.array_join(x, "><"), F.lit(">"))
 
-    by: dict[str, list[Column]] = {}
-    for name, rule in rules:
-        by.setdefault(name, []).append(matched(rule))
-    total = [(name, sum(parts[1:], parts[0])) for name, parts in sorted(by.items())]
-    pairs = F.array(*[F.struct(F.lit(n).alias("licence"), c.alias("matches")) for n, c in total])
-    return F.filter(pairs, lambda x: x["matches"] > 0)
+    neutral = F.array(*map(F.lit, NEUTRAL))
+    single = [len(r) == 1 and r[0] in NEUTRAL for _, r in ordered]
+    start = F.struct(said(F.filter(ids, lambda x: ~F.array_contains(neutral, x))).alias("rest"), F.array().cast("array<long>").alias("counts"))
+    patterns = F.array(*[F.struct(F.lit("".join(f"<{i}>" for i in r)).alias("p"), F.lit(n).alias("neutral")) for (_, r), n in zip(ordered, single, strict=True)])
+
+    def step(acc: Column, x: Column) -> Column:
+        rest = F.when(x["neutral"], said(ids)).otherwise(acc["rest"])
+        gone = F.replace(rest, x["p"], F.lit(""))
+        found = ((F.char_length(rest) - F.char_length(gone)) / F.char_length(x["p"])).cast("long")
+        return F.struct(F.when(x["neutral"], acc["rest"]).otherwise(F.replace(acc["rest"], x["p"], F.lit("|"))).alias("rest"), F.concat(acc["counts"], F.array(found)).alias("counts"))
+
+    counts = F.aggregate(patterns, start, step, lambda acc: acc["counts"])
+    places: dict[str, list[int]] = {}
+    for k, (name, _) in enumerate(ordered):
+        places.setdefault(name, []).append(k)
+    # the outer transform binds the counts once
+    total = [(name, lambda c, ks=tuple(ks): sum((F.get(c, k) for k in ks[1:]), F.get(c, ks[0]))) for name, ks in sorted(places.items())]
+    pairs = F.flatten(F.transform(F.array(counts), lambda c: F.array(*[F.struct(F.lit(n).alias("licence"), f(c).alias("matches")) for n, f in total])))
+    nothing = F.array().cast("array<struct<licence: string, matches: bigint>>")
+    return F.when(F.size(ids) > 0, F.filter(pairs, lambda x: x["matches"] > 0)).otherwise(nothing)
 
 
 def scan(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", sentences: dict[str, str] | None = None, rules: list[tuple[str, list[str]]] | None = None) -> DataFrame:
@@ -147,17 +213,19 @@ def query(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def oracle() -> str:
-    """The same over SQL text functions: a rule's identifiers are sought in the joined sequence by position."""
+    """The same over SQL text functions: rules with several identifiers take their matches out of the joined sequence one after the other."""
     known = ", ".join("('" + " ".join(normal(s).split()) + f"', '{k}')" for k, s in SENTENCES.items())
-    single = [(n, r[0]) for n, r in RULES if len(r) == 1]
-    counts = " UNION ALL ".join(
-        [f"SELECT doc_id, '{n}' AS licence, count(*) FILTER (WHERE sentence_id = '{i}') AS c FROM h GROUP BY doc_id" for n, i in single]
-        + [
-            f"SELECT doc_id, '{n}' AS licence, len(regexp_extract_all(string_agg(sentence_id, ',' ORDER BY pos), '{',.*?'.join(r)}')) AS c FROM h GROUP BY doc_id"
-            for n, r in RULES
-            if len(r) > 1
-        ]
-    )
+    neutral = ", ".join(f"'{n}'" for n in NEUTRAL)
+    rules = [(n, "".join(f"<{i}>" for i in r), len(r), len(r) == 1 and r[0] in NEUTRAL) for n, r in _longest_first(RULES)]
+    rest = "SELECT doc_id, every, rest FROM q"
+    counts = []
+    for k, (name, p, size, free) in enumerate(rules):
+        found = f"(length({'every' if free else 'rest'}) - length(replace({'every' if free else 'rest'}, '{p}', ''))) // {len(p)}"
+        if size > 1:
+            rest = f"SELECT * REPLACE (replace(rest, '{p}', '|') AS rest), {found} AS c{k} FROM ({rest})"
+            counts.append(f"SELECT doc_id, '{name}' AS licence, c{k} AS c FROM t")
+        else:
+            counts.append(f"SELECT doc_id, '{name}' AS licence, {found} AS c FROM t")
     return rf"""
 WITH s AS (
   SELECT doc_id, string_split(regexp_replace(coalesce(text, ''), '{CUT}', '\1' || chr(10), 'g'), chr(10)) AS parts FROM documents),
@@ -166,8 +234,11 @@ k(sentence, sentence_id) AS (VALUES {known}),
 h AS (
   SELECT doc_id, pos, sentence_id FROM p JOIN k
   ON trim(lower(regexp_replace(part, '[^A-Za-z0-9]+', ' ', 'g'))) = sentence),
-c AS (SELECT doc_id, licence, sum(c) AS c FROM ({counts}) GROUP BY doc_id, licence HAVING sum(c) > 0),
-q AS (SELECT doc_id, count(*) AS n_hits, string_agg(sentence_id, ',' ORDER BY pos) AS sentence_ids FROM h GROUP BY doc_id),
+q AS (SELECT doc_id, count(*) AS n_hits, string_agg(sentence_id, ',' ORDER BY pos) AS sentence_ids,
+  string_agg('<' || sentence_id || '>', '' ORDER BY pos) AS every,
+  coalesce(string_agg('<' || sentence_id || '>', '' ORDER BY pos) FILTER (WHERE sentence_id NOT IN ({neutral})), '') AS rest FROM h GROUP BY doc_id),
+t AS ({rest}),
+c AS (SELECT doc_id, licence, sum(c) AS c FROM ({" UNION ALL ".join(counts)}) GROUP BY doc_id, licence HAVING sum(c) > 0),
 l AS (SELECT doc_id, string_agg(licence || '=' || c::bigint, ',' ORDER BY licence) AS licences FROM c GROUP BY doc_id)
 SELECT d.doc_id, coalesce(n_hits, 0) AS n_hits, coalesce(sentence_ids, '') AS sentence_ids, coalesce(licences, '') AS licences
 FROM documents d LEFT JOIN q USING (doc_id) LEFT JOIN l USING (doc_id)
