@@ -1,8 +1,9 @@
 """Token ids of whole texts by the tokenizers library, each distinct piece of text encoded once while it stays in a bounded memory.
 
-The byte-level vocabulary splits a text before every blank that a non-blank follows, so the ids of a text are those of its
-blank-separated pieces, each with its blank, one after the other. Runs of three white spaces, or of two at the end, are the
-exception: texts that have them are encoded whole.
+The byte-level vocabulary cuts a text before it merges: runs of letters, of digits and of other signs, each with a blank before it, and white space.
+No token crosses such a cut, so the ids of a text are those of its pieces, one after the other. Texts of Latin characters are cut by
+numpy, many at once, and their pieces told apart by hashes (``Pieces``). Other texts are cut before every blank that a non-blank follows; runs of three
+white spaces, or of two at the end, are the exception: such texts are encoded whole.
 """
 
 from __future__ import annotations
@@ -13,6 +14,8 @@ from array import array
 
 import numpy as np
 
+from .shingles import piece_hashes, ragged
+
 #: Pieces remembered in each of two generations.
 REMEMBERED = 600_000
 _ODD_SPACE = re.compile(r"\s\s\s|\s\s\Z")
@@ -25,6 +28,91 @@ _ALPHABET = {b: chr(b) for b in _SHOWN} | {b: chr(256 + k) for k, b in enumerate
 _ENCODERS: dict[str, PieceEncoder] = {}
 
 
+#: Code points below which texts are cut by numpy; kinds of characters: blank, other white space, letter, digit, other sign.
+LATIN = 0x250
+BLANK, WHITE, LETTER, DIGIT, SIGN = range(5)
+KINDS = np.array([BLANK if c == 32 else WHITE if 9 <= c <= 13 else LETTER if chr(c).isalpha() else DIGIT if chr(c).isnumeric() else SIGN for c in range(LATIN)], dtype=np.uint8)
+#: Pieces of so many characters at most are told apart by hashes.
+LONGEST = 512
+#: Characters whose texts are not cut by numpy: others than Latin ones, and separators that libraries may take differently.
+_OTHER = re.compile("[^\x00-\x1b\x20-\x84\x86-\x9f\xa1-\u024f]")
+
+
+def cut_pieces(code: np.ndarray, edges: np.ndarray) -> np.ndarray:
+    """Where the pieces of texts of Latin characters, laid end to end, begin, and the end. edges: where texts begin and end.
+
+    Of a run of white space that something follows, the last character stands by itself, or, if a blank, with what follows. A word with an apostrophe stays whole.
+    """
+    n = len(code)
+    cut = np.ones(n + 1, dtype=bool)
+    if n:
+        kind = KINDS[code]
+        white = kind <= WHITE
+        ends = np.zeros(n + 1, dtype=bool)
+        ends[edges] = True
+        open_after = np.append(~white[1:], False) & ~ends[1:]  # a character that is no white space follows in the same text
+        a, b = slice(None, -1), slice(1, None)
+        words = np.cumsum(np.append(True, white[b] | white[a] | ends[1:-1]))
+        whole = np.zeros(words[-1] + 1, dtype=bool)
+        whole[words[code == 39]] = True
+        inside = ~white[a] & ~white[b]
+        cut[1:-1] = np.where(inside, (kind[a] != kind[b]) & ~whole[words[b]], np.where(white[a] & white[b], open_after[b], white[b] | (kind[a] == WHITE)))
+        cut[edges] = True
+    return np.flatnonzero(cut)
+
+
+class Pieces:
+    """Ids of pieces that were met, by hash, up to a bound."""
+
+    def __init__(self, encode) -> None:
+        self.encode = encode
+        self._forget()
+
+    def _forget(self) -> None:
+        self.one, self.two, self.at, self.size = (np.zeros(0, dtype=t) for t in (np.uint64, np.uint64, np.int64, np.int64))
+        self.flat = [np.zeros(0, dtype=np.uint32)]
+        self.held = 0
+
+    def _found(self, one: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        spot = np.minimum(np.searchsorted(self.one, one), max(0, len(self.one) - 1))
+        return spot, self.one[spot] == one if len(self.one) else np.zeros(len(one), dtype=bool)
+
+    def ids(self, texts: list[str]) -> list[bytes] | None:
+        """The ids of each text; None if a piece is too long for a hash, or two pieces have the same one."""
+        if len(self.one) > REMEMBERED:
+            self._forget()
+        whole = "".join(texts)
+        code = np.frombuffer(whole.encode("utf-32-le"), dtype=np.uint32)
+        edges = np.concatenate([[0], np.cumsum([len(t) for t in texts])]).astype(np.int64)
+        spots = cut_pieces(code, edges)
+        if len(code) and np.diff(spots).max() > LONGEST:
+            return None
+        one, two = piece_hashes(code, spots)
+        sought, first, numbers = np.unique(one, return_index=True, return_inverse=True)
+        spot, known = self._found(sought)
+        if (two[first[numbers]] != two).any() or (self.two[spot[known]] != two[first[known]]).any():
+            return None
+        new = np.flatnonzero(~known)
+        if len(new):
+            begins, ends = spots[first[new]].tolist(), spots[first[new] + 1].tolist()
+            sizes, flat = self.encode([whole[a:b] for a, b in zip(begins, ends, strict=True)])
+            self.flat = [*self.flat, flat]
+            at = self.held + np.cumsum(sizes) - sizes
+            self.held += len(flat)
+            merged = np.concatenate([self.one, sought[new]])
+            order = np.argsort(merged, kind="stable")
+            self.one, self.two = merged[order], np.concatenate([self.two, two[first[new]]])[order]
+            self.at, self.size = np.concatenate([self.at, at])[order], np.concatenate([self.size, sizes])[order]
+            spot, _ = self._found(sought)
+        if len(self.flat) > 1:
+            self.flat = [np.concatenate(self.flat)]
+        spot = spot[numbers]
+        sizes = self.size[spot]
+        raw = self.flat[0][ragged(self.at[spot], sizes)].tobytes()
+        total = 4 * np.concatenate([[0], np.cumsum(sizes)])[np.searchsorted(spots, edges)]
+        return [raw[a:b] for a, b in zip(total[:-1].tolist(), total[1:].tolist(), strict=True)]
+
+
 class PieceEncoder:
     def __init__(self, path: str):
         os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
@@ -35,6 +123,20 @@ class PieceEncoder:
         self.model = self.tokenizer.model
         self.young: dict[str, bytes] = {}
         self.old: dict[str, bytes] = {}
+        self.pieces = Pieces(self._encoded_pieces)
+
+    def _encoded_pieces(self, pieces: list[str]) -> tuple[np.ndarray, np.ndarray]:
+        """(number of ids of each piece, all ids)."""
+        parts: list[bytes | None] = [None] * len(pieces)
+        spoken = [k for k, p in enumerate(pieces) if (p[1:] if p[0] == " " else p).isalpha()]
+        tokenize = self.model.tokenize
+        for k in spoken:  # one run of letters is one token before merging, so the library's model may be asked at once
+            p = pieces[k]
+            parts[k] = array("I", [t.id for t in tokenize(p.replace(" ", _ALPHABET[32]) if p.isascii() else p.encode().decode("latin-1").translate(_ALPHABET))]).tobytes()
+        rest = [k for k, x in enumerate(parts) if x is None]
+        for k, ids in zip(rest, self._encoded([pieces[k] for k in rest]), strict=True):
+            parts[k] = ids
+        return np.array([len(x) // 4 for x in parts], dtype=np.int64), np.frombuffer(b"".join(parts), dtype="<u4")
 
     def _encoded(self, texts: list[str]) -> list[bytes]:
         return [np.array(e.ids, dtype="<u4").tobytes() for e in self.tokenizer.encode_batch_fast(texts, add_special_tokens=False)]
@@ -76,6 +178,19 @@ class PieceEncoder:
 
     def encode(self, texts: list[str]) -> list[bytes]:
         """The ids of each text, 4 bytes each, little-endian."""
+        latin = [not _OTHER.search(t) for t in texts]
+        out: list[bytes | None] = [None] * len(texts)
+        fast = [k for k, x in enumerate(latin) if x]
+        for a, b in text_slices([texts[k] for k in fast], 1 << 18):
+            found = self.pieces.ids([texts[k] for k in fast[a:b]])
+            for k, ids in zip(fast[a:b], found if found is not None else self._by_blanks([texts[k] for k in fast[a:b]]), strict=True):
+                out[k] = ids
+        other = [k for k, x in enumerate(latin) if not x]
+        for k, ids in zip(other, self._by_blanks([texts[k] for k in other]), strict=True):
+            out[k] = ids
+        return out
+
+    def _by_blanks(self, texts: list[str]) -> list[bytes]:
         out: list[bytes | None] = [None] * len(texts)
         cut = [None if _ODD_SPACE.search(t) else t.split(" ") for t in texts]
         whole = [k for k, c in enumerate(cut) if c is None]
