@@ -283,3 +283,14 @@ def test_queries_equal_their_sql(spark, sf, name):
     cols = sorted(want.columns)
     assert cols == sorted(got.columns)
     assert Counter(map(tuple, want[cols].astype(str).values.tolist())) == Counter(map(tuple, got[cols].astype(str).values.tolist()))
+
+
+def test_latin_pieces_equal_the_library(monkeypatch):
+    rng, tool = random.Random(15), tokens.PieceEncoder(tokens.vocabulary())
+    bits = ["a", "The", " ", "  ", "\n", ".", ",", "é", "'s", "'", "1", "23", "\t", "\r\n", "ª", "x\n", "<|endoftext|>", "!", "_", "ŉ", "²", "½", "ß", "'ll", "...", " '", "\xa0", "日", "x" * 600]
+    made = ["".join(rng.choice(bits[: rng.choice([26, 26, 26, 29])]) for _ in range(rng.randint(0, 25))) for _ in range(6000)]
+    want = [np.array(e.ids, "<u4").tobytes() for e in tool.tokenizer.encode_batch(made, add_special_tokens=False)]
+    assert tool.encode(made) == want
+    monkeypatch.setattr(tokens, "REMEMBERED", 50)
+    assert [x for k in range(0, 600, 20) for x in tool.encode(made[k : k + 20])] == want[:600]
+    assert tool.encode([]) == [] and tool.encode(["", " ", "\n"]) == [np.array(e.ids, "<u4").tobytes() for e in tool.tokenizer.encode_batch(["", " ", "\n"], add_special_tokens=False)]
