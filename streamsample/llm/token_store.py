@@ -202,21 +202,28 @@ def crc_before(crc: np.ndarray, after: np.ndarray) -> np.ndarray:
     return crc
 
 
-def ids_of(body: bytes) -> bytes:
-    """A stored chunk's ids, 4 bytes each."""
-    return body[1:] if len(body) % 2 else np.frombuffer(body, dtype="<u2").astype("<u4").tobytes()
+def ids_of(bodies: list[bytes]) -> list[memoryview]:
+    """Stored chunks' ids, 4 bytes each. A body of odd length begins with a mark and has 4 bytes an id, others have 2."""
+    short = [b for b in bodies if not len(b) % 2]
+    wide = memoryview(np.frombuffer(b"".join(short), dtype="<u2").astype("<u4").tobytes())
+    out, at = [], 0
+    for b in bodies:
+        if len(b) % 2:
+            out.append(memoryview(b)[1:])
+        else:
+            out.append(wide[at : at + 2 * len(b)])
+            at += 2 * len(b)
+    return out
 
 
 def _checked(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for batch in batches:
-        n, crc = [], []
-        for h, body in zip(batch.column(0), batch.column(1), strict=True):
-            ids = ids_of(body.as_py())
-            if name_of(ids) != h.as_py():
-                raise ValueError(f"chunk {h.as_py().hex()} does not match its name")
-            n.append(len(ids) // 4)
-            crc.append(zlib.crc32(ids))
-        yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(n, pa.int64()), pa.array(crc, pa.int64())], names=["hash", "n", "crc"])
+        ids = ids_of(batch.column(1).to_pylist())
+        for h, part in zip(batch.column(0).to_pylist(), ids, strict=True):
+            if name_of(part) != h:
+                raise ValueError(f"chunk {h.hex()} does not match its name")
+        cols = [batch.column(0), pa.array([len(x) // 4 for x in ids], pa.int64()), pa.array(list(map(zlib.crc32, ids)), pa.int64())]
+        yield pa.RecordBatch.from_arrays(cols, names=["hash", "n", "crc"])
 
 
 @F.pandas_udf(T.LongType())
@@ -241,8 +248,13 @@ def read_store(store: dict[str, DataFrame]) -> DataFrame:
 def _leaf_of(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     """The leaf made anew from each recipe's hashes; another one stored is an error."""
     for batch in batches:
-        for uid, hashes, leaf in zip(*(batch.column(k).to_pylist() for k in range(3)), strict=True):
-            if not hashes or name_of(b"".join(hashes)) != leaf:
+        lists = batch.column(1)
+        if lists.null_count or not batch.num_rows:
+            ends, names = [0] * (batch.num_rows + 1), b""
+        else:
+            ends, names = [16 * (x - lists.offsets[0].as_py()) for x in lists.offsets.to_pylist()], b"".join(lists.flatten().to_pylist())
+        for uid, a, b, leaf in zip(batch.column(0).to_pylist(), ends[:-1], ends[1:], batch.column(2).to_pylist(), strict=True):
+            if a == b or name_of(names[a:b]) != leaf:
                 raise ValueError(f"recipe {uid} does not match its leaf")
         yield pa.RecordBatch.from_arrays([batch.column(k) for k in (2, 3, 4)], names=["leaf", "part", "place"])
 

@@ -95,9 +95,9 @@ class Pieces:
         new = np.flatnonzero(~known)
         if len(new):
             begins, ends = spots[first[new]].tolist(), spots[first[new] + 1].tolist()
-            sizes, flat = self.encode([whole[a:b] for a, b in zip(begins, ends, strict=True)])
+            at, sizes, flat = self.encode([whole[a:b] for a, b in zip(begins, ends, strict=True)])
             self.flat = [*self.flat, flat]
-            at = self.held + np.cumsum(sizes) - sizes
+            at += self.held
             self.held += len(flat)
             merged = np.concatenate([self.one, sought[new]])
             order = np.argsort(merged, kind="stable")
@@ -125,18 +125,21 @@ class PieceEncoder:
         self.old: dict[str, bytes] = {}
         self.pieces = Pieces(self._encoded_pieces)
 
-    def _encoded_pieces(self, pieces: list[str]) -> tuple[np.ndarray, np.ndarray]:
-        """(number of ids of each piece, all ids)."""
-        parts: list[bytes | None] = [None] * len(pieces)
-        spoken = [k for k, p in enumerate(pieces) if (p[1:] if p[0] == " " else p).isalpha()]
-        tokenize = self.model.tokenize
-        for k in spoken:  # one run of letters is one token before merging, so the library's model may be asked at once
-            p = pieces[k]
-            parts[k] = array("I", [t.id for t in tokenize(p.replace(" ", _ALPHABET[32]) if p.isascii() else p.encode().decode("latin-1").translate(_ALPHABET))]).tobytes()
-        rest = [k for k, x in enumerate(parts) if x is None]
-        for k, ids in zip(rest, self._encoded([pieces[k] for k in rest]), strict=True):
-            parts[k] = ids
-        return np.array([len(x) // 4 for x in parts], dtype=np.int64), np.frombuffer(b"".join(parts), dtype="<u4")
+    def _encoded_pieces(self, pieces: list[str]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """(where each piece's ids begin, their number, all ids)."""
+        first, sizes, flat, tokenize, blank = [0] * len(pieces), [0] * len(pieces), [], self.model.tokenize, _ALPHABET[32]
+        rest = []
+        for k, p in enumerate(pieces):
+            if (p[1:] if p[0] == " " else p).isalpha():  # one run of letters is one token before merging, so the library's model may be asked at once
+                found = tokenize(p.replace(" ", blank) if p.isascii() else p.encode().decode("latin-1").translate(_ALPHABET))
+                first[k], sizes[k] = len(flat), len(found)
+                flat += [t.id for t in found]
+            else:
+                rest.append(k)
+        for k, e in zip(rest, self.tokenizer.encode_batch_fast([pieces[k] for k in rest], add_special_tokens=False), strict=True):
+            first[k], sizes[k] = len(flat), len(e.ids)
+            flat += e.ids
+        return np.array(first, dtype=np.int64), np.array(sizes, dtype=np.int64), np.array(flat, dtype=np.uint32)
 
     def _encoded(self, texts: list[str]) -> list[bytes]:
         return [np.array(e.ids, dtype="<u4").tobytes() for e in self.tokenizer.encode_batch_fast(texts, add_special_tokens=False)]
@@ -181,7 +184,7 @@ class PieceEncoder:
         latin = [not _OTHER.search(t) for t in texts]
         out: list[bytes | None] = [None] * len(texts)
         fast = [k for k, x in enumerate(latin) if x]
-        for a, b in text_slices([texts[k] for k in fast], 1 << 18):
+        for a, b in text_slices([texts[k] for k in fast], 1 << 19):
             found = self.pieces.ids([texts[k] for k in fast[a:b]])
             for k, ids in zip(fast[a:b], found if found is not None else self._by_blanks([texts[k] for k in fast[a:b]]), strict=True):
                 out[k] = ids
