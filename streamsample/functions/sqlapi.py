@@ -6,6 +6,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pandas as pd
+from pyspark import TaskContext
 from pyspark.sql import DataFrame, Row, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.types import DoubleType, StringType, StructType
@@ -66,7 +67,31 @@ def bottom_k_aggregate(k: int):
 
 
 def batch_keys(batches: Iterator[pd.DataFrame], seed: int) -> Iterator[pd.DataFrame]:
-    """For ``mapInPandas``: exponential keys drawn, not derived from items."""
-    rng = np.random.default_rng(seed)
+    """For ``mapInPandas``: exponential keys drawn, not derived from items; each partition draws its own."""
+    rng = np.random.default_rng([seed, TaskContext.get().partitionId()])
     for b in batches:
         yield b.assign(key=-np.log(1 - rng.random(len(b))) / b["w"])
+
+
+def arrow_exp_key(stream: str, seed: int):
+    """``exp_key`` as a scalar function over Arrow arrays, for callers that have no expression; the expression is faster."""
+
+    @F.udf(DoubleType(), useArrow=True)
+    def key(item: str, w: float) -> float:
+        import hashlib
+        import math
+
+        u = (int(hashlib.md5(f"{stream}:{seed}:{item}".encode()).hexdigest()[:13], 16) + 1) / 2.0**52
+        return -math.log(u) / w
+
+    return key
+
+
+def bottom_k_udaf(k: int):
+    """A grouped aggregate in pandas: the k-th smallest key of a group, or the largest one of fewer. It gathers the group, like any such function."""
+
+    @F.pandas_udf(DoubleType())
+    def kth(keys: pd.Series) -> float:
+        return float(np.sort(keys.to_numpy())[: k][-1])
+
+    return kth

@@ -9,10 +9,13 @@ from pyspark.sql import DataFrame, SparkSession
 FILLS = ("key", "test", "jump")
 SELECTORS = ("pivot", "two_pivot", "combined", "unsorted", "sort", "tail")
 
-STATE_SCHEMA = "stream_id string, version long, threshold double, threshold_id string, n_seen long, w_seen double, held long, k long, k_max long, seed long, method string"
+STATE_SCHEMA = (
+    "stream_id string, version long, threshold double, threshold_id string, n_seen long, w_seen double, held long, k long, k_max long, seed long, method string, weight string, stored long, files array<string>"
+)
+#: candidates: valid items under the threshold in force; stored: those written, fewer where a first batch is capped in each partition.
 REPORT_SCHEMA = (
-    "method string, batch_no long, n_items long, w_items double, n_rejected long, candidates long, candidates_max_pe long, held_before long, held_after long, threshold_before double, "
-    "threshold_after double, rounds long, pivots_drawn long, jobs long, rows_moved long, bytes_moved long, t_insert double, t_select double, t_threshold double, t_gather double"
+    "method string, batch_no long, n_items long, w_items double, n_rejected long, candidates long, candidates_max_pe long, stored long, held_before long, held_after long, threshold_before double, "
+    "threshold_after double, rounds long, pivots_drawn long, jobs long, rows_moved long, bytes_moved long, rows_examined long, blocks_skipped long, t_insert double, t_select double, t_threshold double, t_gather double"
 )
 
 
@@ -22,7 +25,8 @@ class SamplerSpec:
 
     fill: ``key`` gives every item its own key (replayable, exact in SQL); ``test`` tests inclusion first and draws the key after; ``jump`` draws how
     much weight, or how many items, to pass over. selector: how the new threshold is found. d: pivots a round. k_max: largest sample allowed
-    between two selections; None keeps exactly k.
+    between two selections; None keeps exactly k. cap: while there is no threshold, a partition writes its k smallest only. incremental: candidates are
+    spread over the partitions as they come in, and the combined selector moves no others.
     """
 
     stream_id: str
@@ -39,6 +43,8 @@ class SamplerSpec:
     deep: bool = False
     finish: int = 256
     gather_bytes: int = 64 << 20
+    cap: bool = True
+    incremental: bool = False
 
     def __post_init__(self) -> None:
         if self.k < 1 or (self.k_max is not None and self.k_max < self.k):
@@ -71,6 +77,7 @@ class Report:
     n_rejected: int = 0
     candidates: int = 0
     candidates_max_pe: int = 0
+    stored: int = 0
     held_before: int = 0
     held_after: int = 0
     threshold_before: float | None = None
@@ -80,6 +87,8 @@ class Report:
     jobs: int = 0
     rows_moved: int = 0
     bytes_moved: int = 0
+    rows_examined: int = 0
+    blocks_skipped: int = 0
     t_insert: float = 0.0
     t_select: float = 0.0
     t_threshold: float = 0.0

@@ -2,9 +2,10 @@
 
 from __future__ import annotations
 
+import json
+import tempfile
 import time
 import uuid
-import tempfile
 from collections.abc import Iterator
 
 import numpy as np
@@ -16,10 +17,10 @@ from pyspark.sql import functions as F
 
 from ..functions import skips
 from ..functions import variates as V
-from ..model import Report, Reports, SamplerSpec, State
+from ..model import STATE_SCHEMA, Report, Reports, SamplerSpec, State
 from ..plans.batches import items, key_of, keyed, valid
 from . import localres
-from .select import Selected, local_kth, pivot_select, select, up_to
+from .select import Selected, incremental_select, local_kth, pivot_select, select, up_to
 
 RUN = "item_id string, w double, key double, batch_no long, pe int"
 
@@ -78,9 +79,21 @@ def candidates_by_test(rows: DataFrame, spec: SamplerSpec, threshold: float | No
     return rows.where(V.included(one, F.col("w"), threshold)).withColumn("key", V.exp_key_below(two, F.col("w"), threshold))
 
 
-def candidates_by_jump(rows: DataFrame, spec: SamplerSpec, threshold: float | None, batch_no: int) -> DataFrame:
-    """Jumps, one walk a partition, seeded by (seed, batch, partition). The first batches cap each partition's run instead."""
+def candidates_by_jump(rows: DataFrame, spec: SamplerSpec, threshold: float | None, batch_no: int, counted: bool = False) -> DataFrame:
+    """Jumps, one walk a partition, seeded by (seed, batch, partition). The first batches cap each partition's run instead.
+
+    counted: also rows without an item, which say how many weights were looked at one by one, and how many blocks were passed over.
+    """
     seed, block, k, weighted = spec.seed, spec.block, spec.k, spec.weight is not None
+    names = ["item_id", "w", "key", *(["examined", "skipped"] if counted else [])]
+
+    def out(ids: pa.Array, w: np.ndarray, keys: np.ndarray, examined: int = 0, skipped: int = 0) -> pa.RecordBatch:
+        cols = [ids, pa.array(w, pa.float64()), pa.array(keys, pa.float64())]
+        if counted:
+            n, none = len(ids), pa.nulls(1, pa.float64())
+            cols = [pa.concat_arrays([ids, pa.nulls(1, pa.string())]), *(pa.concat_arrays([c, none]) for c in cols[1:])]
+            cols += [pa.array([0] * n + [x], pa.int64()) for x in (examined, skipped)]
+        return pa.RecordBatch.from_arrays(cols, names=names)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         rng = np.random.default_rng([seed, batch_no + 1, TaskContext.get().partitionId()])
@@ -90,31 +103,79 @@ def candidates_by_jump(rows: DataFrame, spec: SamplerSpec, threshold: float | No
             ids, w = batch.column(0), batch.column(1).to_numpy(zero_copy_only=False)
             if threshold is not None:
                 walk = skips.weighted_fill(w, threshold, rng, block) if weighted else skips.uniform_fill(len(w), threshold, rng)
-                yield pa.RecordBatch.from_arrays([ids.take(pa.array(walk.positions)), pa.array(w[walk.positions]), pa.array(walk.keys, pa.float64())], names=["item_id", "w", "key"])
+                yield out(ids.take(pa.array(walk.positions)), w[walk.positions], walk.keys, walk.examined, walk.skipped_blocks)
                 continue
             u = 1 - rng.random(len(w))
-            names, n_in = np.array(ids.to_pylist(), dtype=object), n_in + len(w)
-            capped.add(-np.log(u) / w if weighted else u, names)
-            weights.update(zip(names.tolist(), w.tolist(), strict=True))
+            items_in, n_in = np.array(ids.to_pylist(), dtype=object), n_in + len(w)
+            capped.add(-np.log(u) / w if weighted else u, items_in)
+            weights.update(zip(items_in.tolist(), w.tolist(), strict=True))
             kept = set(capped.ids.tolist())
             weights = {i: x for i, x in weights.items() if i in kept}
         if threshold is None and n_in:
-            yield pa.RecordBatch.from_arrays([pa.array(capped.ids.tolist(), pa.string()), pa.array([weights[i] for i in capped.ids.tolist()], pa.float64()), pa.array(capped.keys, pa.float64())], names=["item_id", "w", "key"])
+            yield out(pa.array(capped.ids.tolist(), pa.string()), np.array([weights[i] for i in capped.ids.tolist()]), capped.keys, n_in)
+
+    return rows.select("item_id", "w").mapInArrow(run, "item_id string, w double, key double" + (", examined long, skipped long" if counted else ""))
 
-    return rows.select("item_id", "w").mapInArrow(run, "item_id string, w double, key double")
+
+def local_cap(found: DataFrame, k: int) -> DataFrame:
+    """The k smallest of each partition (``pe``): Spark drops the rest before rows move, so a first batch is never written as a whole."""
+    return localres.local_smallest(found, k)
 
 
 def storage(spark: SparkSession) -> str:
-    """A new folder for a sampler's runs, under the shared checkpoint folder; a temporary one where that is unset."""
-    root = spark.conf.get("spark.checkpoint.dir", None) or f"file://{tempfile.mkdtemp(prefix='runs-')}"
+    """A new folder for a sampler's runs, under the shared checkpoint folder. Where that is unset, a temporary one in local runs, and an error on a cluster."""
+    root = spark.conf.get("spark.checkpoint.dir", None)
+    if not root:
+        if not spark.sparkContext.master.startswith("local"):
+            raise ValueError("spark.checkpoint.dir must name a folder that all machines share")
+        root = f"file://{tempfile.mkdtemp(prefix='runs-')}"
     return f"{root.rstrip('/')}/sampler-{uuid.uuid4().hex}"
 
 
+class StateLog:
+    """One small file for each version of a sampler's state; the newest one that is whole counts. Files are written under another name and renamed."""
+
+    def __init__(self, spark: SparkSession, path: str):
+        self.spark, self.path = spark, f"{path}/state"
+        jvm = spark.sparkContext._jvm
+        self.of = jvm.org.apache.hadoop.fs.Path
+        self.fs = self.of(self.path).getFileSystem(spark.sparkContext._jsc.hadoopConfiguration())
+
+    def write(self, version: int, row: dict) -> None:
+        name, part = self.of(f"{self.path}/v{version:012d}.json"), self.of(f"{self.path}/_v{version:012d}-{uuid.uuid4().hex}")
+        out = self.fs.create(part, True)
+        out.write(bytearray(json.dumps(row).encode()))
+        out.close()
+        if self.fs.exists(name):
+            self.fs.delete(name, False)
+        if not self.fs.rename(part, name):
+            raise OSError(f"state {version} was not written")
+
+    def newest(self) -> dict | None:
+        folder = self.of(self.path)
+        if not self.fs.exists(folder):
+            return None
+        names = sorted(f.getPath().getName() for f in self.fs.listStatus(folder) if f.getPath().getName().startswith("v"))
+        if not names:
+            return None
+        stream = self.fs.open(self.of(f"{self.path}/{names[-1]}"))
+        try:
+            text = self.spark.sparkContext._jvm.org.apache.commons.io.IOUtils.toString(stream, "UTF-8")
+        finally:
+            stream.close()
+        return json.loads(text)
+
+    def table(self) -> DataFrame:
+        """All versions, as rows."""
+        return self.spark.read.schema(STATE_SCHEMA).json(f"{self.path}/v*.json")
+
+
 class DecentralSampler:
     """Batches fill runs where their items lie, under a fixed threshold; then the new threshold is selected, and runs are cut.
 
     Runs are files of candidates by batch; a cut is a filter by (key, item), applied when they are read, and once the
-    files hold much more than the sample they are rewritten. Between batches the driver has the few numbers of ``State`` only.
+    files hold much more than the sample they are rewritten. Between batches the driver has the few numbers of ``State`` and the list of files only,
+    and both are written after each batch: a sampler made anew with the same ``path`` goes on where the last one ended.
     """
 
     method = "decentral"
@@ -122,6 +183,27 @@ class DecentralSampler:
     def __init__(self, spark: SparkSession, spec: SamplerSpec, path: str | None = None):
         self.spark, self.spec, self.path = spark, spec, path or storage(spark)
         self.state, self.reports, self.stored, self.files = State(), Reports(), 0, []
+        self.log, self.parts = StateLog(spark, self.path), spark.sparkContext.defaultParallelism
+        if path is not None:
+            self._restore()
+
+    def _row(self) -> dict:
+        s, spec = self.state, self.spec
+        return {
+            "stream_id": spec.stream_id, "version": s.version, "threshold": s.threshold, "threshold_id": s.threshold_id, "n_seen": s.n_seen, "w_seen": s.w_seen, "held": s.held, "k": spec.k, "k_max": spec.k_max,
+            "seed": spec.seed, "method": f"{self.method}/{spec.fill}", "weight": spec.weight, "stored": self.stored, "files": self.files,
+        }
+
+    def _restore(self) -> None:
+        row = self.log.newest()
+        if row is None:
+            return
+        mine = self._row()
+        other = [c for c in ("stream_id", "k", "k_max", "seed", "method", "weight") if row[c] != mine[c]]
+        if other:
+            raise ValueError(f"{self.path} holds the state of a sampler with another {other[0]}")
+        self.state = State(row["threshold"], row["threshold_id"], row["version"], row["n_seen"], row["w_seen"], row["held"])
+        self.stored, self.files = row["stored"], row["files"]
 
     def runs(self) -> DataFrame | None:
         """What is held."""
@@ -137,61 +219,90 @@ class DecentralSampler:
         rows = runs if runs is not None else self.spark.createDataFrame([], RUN)
         return rows.withColumn("draw_no", F.row_number().over(Window.partitionBy(F.lit(0)).orderBy("key", "item_id")))
 
-    def _fill(self, rows: DataFrame, batch_no: int) -> DataFrame:
-        t = self.state.threshold
-        if self.spec.fill == "jump":
-            found = candidates_by_jump(rows, self.spec, t, batch_no)
+    def _fill(self, rows: DataFrame, batch_no: int, found: Observation) -> DataFrame:
+        """The rows to write; ``found`` takes the number of candidates, the most of one partition, and what jumps looked at."""
+        t, spec = self.state.threshold, self.spec
+        jumps = spec.fill == "jump"
+        if jumps:
+            hits = candidates_by_jump(rows, spec, t, batch_no, counted=True)
         else:
-            found = (candidates_by_key if self.spec.fill == "key" else candidates_by_test)(rows, self.spec, t)
-        return found.select("item_id", "w", "key", F.lit(batch_no).cast("long").alias("batch_no"), F.spark_partition_id().alias("pe"))
-
-    def _select(self, runs: DataFrame, held: int, report: Report) -> Selected | None:
+            hits = (candidates_by_key if spec.fill == "key" else candidates_by_test)(rows, spec, t)
+        looked = [F.col(c) if jumps else F.lit(0).cast("long").alias(c) for c in ("examined", "skipped")]
+        # an id's low bits are the row's place in its partition
+        place = (F.monotonically_increasing_id().bitwiseAND(F.lit((1 << 33) - 1)) + 1).alias("place")
+        hits = hits.select("item_id", "w", "key", F.lit(batch_no).cast("long").alias("batch_no"), F.spark_partition_id().alias("pe"), place, *looked)
+        item = F.col("item_id").isNotNull()
+        hits = hits.observe(found, F.count_if(item).alias("c"), F.max(F.when(item, F.col("place"))).alias("most"), F.sum("examined").alias("examined"), F.sum("skipped").alias("skipped"))
+        hits = (hits.where(item) if jumps else hits).drop("place", "examined", "skipped")
+        if t is None and spec.cap and not jumps:
+            hits = local_cap(hits, max(spec.k, spec.k_max or 0))
+        return hits.repartition(self.parts, F.xxhash64("item_id")) if spec.incremental else hits
+
+    def _select(self, runs: DataFrame, held: int, new: int, report: Report) -> Selected | None:
         """None: the threshold stays as it is."""
-        spec = self.spec
+        spec, seed = self.spec, self.spec.seed + report.batch_no
         if held <= spec.k or (spec.k_max is not None and spec.lazy and held <= spec.k_max):
             return None
-        runs = runs.select("key", "item_id").persist()
+        runs = runs.select("key", "item_id")
+        if spec.k_max is None and spec.selector in ("tail", "sort"):
+            return select(spec.selector, runs, spec.k, held)  # one pass: nothing to keep
+        runs = runs.persist()
         try:
             if spec.k_max is not None:
-                return pivot_select(runs, spec.k, min(spec.k_max, held), held, spec.d, spec.seed + report.batch_no, finish=1)
-            return select(spec.selector, runs, spec.k, held, spec.d, self.spark.sparkContext.defaultParallelism, spec.seed + report.batch_no, spec.finish)
+                return pivot_select(runs, spec.k, min(spec.k_max, held), held, spec.d, seed, finish=1)
+            if spec.selector == "combined" and spec.incremental:
+                return incremental_select(runs, spec.k, held, new, self.parts, seed)
+            return select(spec.selector, runs, spec.k, held, spec.d, self.parts, seed, spec.finish)
         finally:
             runs.unpersist()
 
     def process(self, batch: DataFrame, batch_no: int | None = None) -> Report:
         """Take in one batch. A number not above the last one taken is a repetition and changes nothing."""
-        s = self.state
+        s, spec = self.state, self.spec
         batch_no = s.version + 1 if batch_no is None else batch_no
         if batch_no <= s.version:
-            return self.reports.rows[-1]
+            return self.reports.rows[-1] if self.reports.rows else Report(self.method, s.version, held_before=s.held, held_after=s.held, threshold_before=s.threshold, threshold_after=s.threshold)
         report = Report(self.method, batch_no, held_before=s.held, threshold_before=s.threshold)
-        began, counts, found = time.perf_counter(), Observation(), Observation()
-        rows = items(batch, self.spec).withColumn("ok", V.valid_weight(F.col("w")))
+        began, counts, found, written = time.perf_counter(), Observation(), Observation(), Observation()
+        rows = items(batch, spec).withColumn("ok", V.valid_weight(F.col("w")))
         rows = rows.observe(counts, F.count_if("ok").alias("n"), F.sum(F.when(F.col("ok"), F.col("w"))).alias("w"), F.count_if(~F.col("ok")).alias("bad")).where("ok").drop("ok")
-        pes = F.sum(F.lit(1)).alias("c")
         path = f"{self.path}/batch-{batch_no}"
-        self._fill(rows, batch_no).observe(found, pes).write.mode("overwrite").parquet(path)
-        got, c = counts.get, found.get["c"] or 0
-        report.n_items, report.w_items, report.n_rejected, report.candidates, report.jobs = got["n"], got["w"] or 0.0, got["bad"], c, 1
+        self._fill(rows, batch_no, found).observe(written, F.count(F.lit(1)).alias("c")).write.mode("overwrite").parquet(path)
+        got, seen, c = counts.get, found.get, written.get["c"] or 0
+        report.n_items, report.w_items, report.n_rejected, report.stored, report.jobs = got["n"], got["w"] or 0.0, got["bad"], c, 1
+        report.candidates, report.candidates_max_pe = seen["c"] or 0, seen["most"] or 0
+        if spec.fill == "jump":
+            report.rows_examined, report.blocks_skipped = seen["examined"] or 0, seen["skipped"] or 0
+            if s.threshold is None:
+                report.candidates = report.n_items
+        else:
+            report.rows_examined = report.n_items
         if c:
-            self.files.append(path)
+            self.files = [*self.files, path]
         self.stored += c
         held = s.held + c
         report.t_insert = time.perf_counter() - began
         began = time.perf_counter()
-        chosen = self._select(self.runs(), held, report) if c or held > self.spec.k else None
+        chosen = self._select(self.runs(), held, c, report) if c or held > spec.k else None
+        if spec.incremental:
+            report.rows_moved += c
         if chosen is not None:
             s.threshold, s.threshold_id, held = chosen.key, chosen.item_id, chosen.rank
-            report.rounds, report.pivots_drawn, report.rows_moved = chosen.rounds, chosen.pivots, chosen.rows_moved
+            report.rounds, report.pivots_drawn, report.rows_moved = chosen.rounds, chosen.pivots, report.rows_moved + chosen.rows_moved
             report.jobs += chosen.jobs
-        elif held == self.spec.k and self.spec.k_max is None and c:
+        elif held == spec.k and spec.k_max is None and c:
             last = self.runs().agg(F.max(F.struct("key", "item_id"))).first()[0]
             s.threshold, s.threshold_id, report.jobs = last["key"], last["item_id"], report.jobs + 1
         report.t_select = time.perf_counter() - began
+        began = time.perf_counter()
         s.version, s.n_seen, s.w_seen, s.held = batch_no, s.n_seen + report.n_items, s.w_seen + report.w_items, held
         report.held_after, report.threshold_after = held, s.threshold
-        if len(self.files) > 1 and self.stored > 4 * max(held, self.spec.k) or len(self.files) > 64:
+        if len(self.files) > 1 and self.stored > 4 * max(held, spec.k) or len(self.files) > 24:
             self._compact(batch_no)
+            report.jobs += 1
+        # the new threshold, and the files that it cuts, are what the next batch, or the next run, begins with
+        self.log.write(batch_no, self._row())
+        report.t_threshold = time.perf_counter() - began
         report.bytes_moved = 16 * report.rows_moved
         self.reports.rows.append(report)
         return report
@@ -234,7 +345,7 @@ def counts_of_small_batches(df: DataFrame, spec: SamplerSpec, batch: str, group:
         held, out = before[key[0]], []
         for number, keys in batches.sort_values("batch_no").groupby("batch_no")["key"]:
             new = keys.dropna().tolist()
-            found = [x for x in new if x <= held[-1]] if len(held) == k else sorted(new)[:k]
+            found = [x for x in new if x <= held[-1]] if len(held) == k else new
             held = sorted([*held, *found])[:k]
             out.append((number, len(new), len(found), len(held)))
         return pd.DataFrame(out, columns=["batch_no", "n_items", "candidates", "held_after"])
@@ -264,9 +375,8 @@ class GatherSampler:
         rows = rows.observe(counts, F.count_if("ok").alias("n"), F.sum(F.when(F.col("ok"), F.col("w"))).alias("w"), F.count_if(~F.col("ok")).alias("bad")).where("ok").drop("ok")
         found = candidates_by_key(rows, spec, s.threshold) if spec.fill != "jump" else candidates_by_jump(rows, spec, s.threshold, batch_no)
         found = found.select("item_id", "w", "key", F.lit(batch_no).cast("long").alias("batch_no"), F.spark_partition_id().alias("pe"))
-        if s.threshold is None:
-            # no single place can need more than k of one batch
-            found = found.orderBy("key", "item_id").limit(spec.k)
+        if s.threshold is None and spec.fill != "jump":
+            found = local_cap(found, spec.k)  # no place sends more than its k smallest
         limit = max(spec.k, spec.gather_bytes // 64)
         new = found.limit(limit + 1).toPandas()
         if len(new) > limit:
@@ -280,7 +390,9 @@ class GatherSampler:
             self.held = self.held[keep].reset_index(drop=True)
             s.threshold, s.threshold_id = t
         report.t_select, got = time.perf_counter() - began, counts.get
-        report.n_items, report.w_items, report.n_rejected, report.candidates, report.jobs = got["n"], got["w"] or 0.0, got["bad"], len(new), 1
+        report.n_items, report.w_items, report.n_rejected, report.stored, report.jobs = got["n"], got["w"] or 0.0, got["bad"], len(new), 1
+        report.candidates = got["n"] if report.threshold_before is None else len(new)
+        report.candidates_max_pe = int(new["pe"].value_counts().max()) if len(new) else 0
         report.rows_moved, report.bytes_moved, report.held_after, report.threshold_after = len(new), int(new.memory_usage(deep=True).sum()), len(self.held), s.threshold
         s.version, s.n_seen, s.w_seen, s.held = batch_no, s.n_seen + report.n_items, s.w_seen + report.w_items, len(self.held)
         self.reports.rows.append(report)
@@ -302,24 +414,24 @@ def auto_method(spec: SamplerSpec, candidates: float, row_bytes: int = 64) -> st
 
 def _one_stream(k: int, seed: int, weighted: bool):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        got = [b for b in batches if b.num_rows]
-        if not got:
-            return
-        ids = pa.concat_arrays([b.column(0) for b in got])
-        w = np.concatenate([b.column(1).to_numpy(zero_copy_only=False) for b in got])
-        at, keys, log = skips.sequential(w if weighted else None, len(w), k, seed)
-        yield pa.RecordBatch.from_arrays([ids.take(pa.array(at)), pa.array(w[at]), pa.array(keys), pa.array(np.full(len(at), len(log)), pa.int64())], names=["item_id", "w", "key", "insertions"])
+        one, held = skips.Sequential(k, seed, weighted), {}
+        for b in batches:
+            w, before = b.column(1).to_numpy(zero_copy_only=False), one.seen
+            entered = len(one.log)
+            one.add(w)
+            for at in one.log[entered:]:
+                held[at] = (b.column(0)[at - before].as_py(), float(w[at - before]))
+            kept = {at for _, at in one.heap}
+            held = {at: x for at, x in held.items() if at in kept}
+        at, keys = one.sample()
+        if len(at):
+            ids, w = zip(*(held[i] for i in at.tolist()), strict=True)
+            yield pa.RecordBatch.from_arrays([pa.array(ids, pa.string()), pa.array(w, pa.float64()), pa.array(keys), pa.array(np.full(len(at), len(one.log)), pa.int64())], names=["item_id", "w", "key", "insertions"])
 
     return run
 
 
 def sequential_sample(df: DataFrame, spec: SamplerSpec) -> DataFrame:
-    """The sequential sampler, for one stream in item order: the reference that the others are held against. It is one task by its nature."""
+    """The sequential sampler, for one stream in item order: the reference that the others are held against. It is one task by its nature, and holds k items."""
     rows = valid(items(df, spec)).repartition(1).sortWithinPartitions("item_id")
     return rows.mapInArrow(_one_stream(spec.k, spec.seed, spec.weight is not None), "item_id string, w double, key double, insertions long")
-
-
-def expected_candidates(k: int, n_before: int, batch: int) -> float:
-    return float(batch) if n_before < k else batch * k / n_before
-
-

@@ -36,9 +36,16 @@ def keyed(df: DataFrame, spec: SamplerSpec, *payload: str) -> DataFrame:
     return valid(items(df, spec, *payload)).withColumn("key", key_of(spec))
 
 
-def replay(df: DataFrame, batch: str, last: int | None = None) -> Iterator[tuple[int, DataFrame]]:
-    """(number, rows) of each batch, in order; ``batch``: an SQL expression that gives the number."""
+def staged(df: DataFrame, batch: str, path: str) -> DataFrame:
+    """The rows with batch_no, written once in folders by batch, so that reading a batch reads no other; about as many partitions as ``df`` has."""
     numbered = df.withColumn("batch_no", F.expr(batch).cast("long"))
+    numbered.repartitionByRange("batch_no", F.spark_partition_id()).write.mode("overwrite").partitionBy("batch_no").parquet(path)
+    return df.sparkSession.read.schema(numbered.schema).parquet(path)
+
+
+def replay(df: DataFrame, batch: str, last: int | None = None, path: str | None = None) -> Iterator[tuple[int, DataFrame]]:
+    """(number, rows) of each batch, in order; ``batch``: an SQL expression that gives the number. ``path``: where to stage the batches; each one is a scan of ``df`` without it."""
+    numbered = df.withColumn("batch_no", F.expr(batch).cast("long")) if path is None else staged(df, batch, path)
     ends = numbered.agg(F.min("batch_no"), F.max("batch_no")).first()
     if ends[0] is None:
         return

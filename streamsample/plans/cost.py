@@ -71,14 +71,12 @@ def monitoring_messages(n: int, k: int, p: int) -> float:
     return insertions_shape(n, k, 1) * (1 + p)
 
 
-def ideal_speedup(p: int) -> float:
-    return float(p)
-
-
 def columns_expected(n: Column, k: Column, p: Column, b: Column) -> Column:
     """``expected_insertions`` over a table of parameters."""
-    batches = F.sequence(F.lit(1).cast("long"), F.floor(n / (p * b)) - 1)
-    return b + F.aggregate(batches, F.lit(0.0), lambda s, i: s + F.least(b.cast("double"), k.cast("double") / (i * p)))
+    last = F.floor(n / (p * b)) - 1  # the first batch has number 0
+    batches = F.when(last >= 1, F.sequence(F.lit(1).cast("long"), last)).otherwise(F.array().cast("array<long>"))
+    later = F.aggregate(batches, F.lit(0.0), lambda s, i: s + F.least(b.cast("double"), k.cast("double") / (i * p)))
+    return F.when(last >= 0, b + later).otherwise(F.lit(0.0))
 
 
 def columns_shape(n: Column, k: Column, p: Column) -> Column:

@@ -122,11 +122,32 @@ def _(s, d):
 
 def _replayed(name: str, method: str, spec: SamplerSpec, oracle: str | None) -> None:
     def f(s, d):
-        return shown(W.run(s, method, spec, replay(read(s, d, "events"), DAY)).sample(), spec.weight is not None)
+        return shown(W.run(s, method, spec, days(s, d)).sample(), spec.weight is not None)
 
     query(name, oracle)(f)
 
 
+def days(s, d):
+    """The events by day, staged once."""
+    return replay(read(s, d, "events"), DAY, None, reservoir.storage(s))
+
+
+def invariants(s, method: str, spec: SamplerSpec, d: str) -> DataFrame:
+    """What holds for each batch of a sampler whose keys are drawn: n_items, the size, and whether the threshold fell and no key is above it."""
+    one = W.run(s, method, spec, days(s, d))
+    rows, last, out = one.reports.rows, None, []
+    for r in rows:
+        out.append((r.batch_no, r.n_items, r.held_after, last is None or r.threshold_after <= last))
+        last = r.threshold_after
+    most, n, ids = one.sample().agg(F.max("key"), F.count(F.lit(1)), F.count_distinct("item_id")).first()
+    good = bool(n == ids == one.state.held and most <= one.state.threshold)
+    return s.createDataFrame(out, "batch_no long, n_items long, held_after long, falls boolean").withColumn("sample_is_sound", F.lit(good))
+
+
+def _invariants_sql(rows: str, k: int) -> str:
+    return f"WITH e AS ({rows}), n AS (SELECT batch_no, count(*) AS n FROM e GROUP BY 1) SELECT batch_no, n AS n_items, least({k}, sum(n) OVER (ORDER BY batch_no))::bigint AS held_after, true AS falls, true AS sample_is_sound FROM n"
+
+
 _replayed("decentral_weighted_replay", "tail", EVENTS, bottom_sql(EVENTS_SQL, 100))
 _replayed("decentral_uniform_replay", "tail", EVENTS_U, bottom_sql(EVENTS_U_SQL, 100, False))
 _replayed("decentral_pivot1_replay", "pivot1", EVENTS, bottom_sql(EVENTS_SQL, 100))
@@ -135,9 +156,16 @@ _replayed("decentral_two_pivot_replay", "two_pivot", EVENTS, bottom_sql(EVENTS_S
 _replayed("decentral_combined_replay", "combined", EVENTS, bottom_sql(EVENTS_SQL, 100))
 _replayed("gather_weighted_replay", "gather", EVENTS, bottom_sql(EVENTS_SQL, 100))
 _replayed("gather_uniform_replay", "gather", EVENTS_U, bottom_sql(EVENTS_U_SQL, 100, False))
-_replayed("decentral_test_fill", "tail", EVENTS.but(fill="test"), None)
-_replayed("decentral_jump_fill", "tail", EVENTS.but(fill="jump"), None)
-_replayed("decentral_jump_uniform", "tail", EVENTS_U.but(fill="jump"), None)
+_replayed("decentral_incremental_replay", "incremental", EVENTS, bottom_sql(EVENTS_SQL, 100))
+_replayed("decentral_auto_replay", "auto", EVENTS, bottom_sql(EVENTS_SQL, 100))
+
+for _name, _spec, _sql in (
+    ("decentral_test_fill", EVENTS.but(fill="test"), EVENTS_SQL),
+    ("decentral_jump_fill", EVENTS.but(fill="jump"), EVENTS_SQL),
+    ("decentral_test_uniform", EVENTS_U.but(fill="test"), EVENTS_U_SQL),
+    ("decentral_jump_uniform", EVENTS_U.but(fill="jump"), EVENTS_U_SQL),
+):
+    query(_name, _invariants_sql(_sql, 100))(lambda s, d, spec=_spec: invariants(s, "tail", spec, d))
 
 _THRESHOLDS = f"""
 WITH e AS ({EVENTS_SQL}), d AS (SELECT DISTINCT batch_no AS day FROM e),
@@ -148,7 +176,7 @@ t AS (SELECT day, max(key) FILTER (WHERE place = 100) AS threshold FROM r GROUP
 
 @query("per_batch_thresholds", f"{_THRESHOLDS} SELECT day AS batch_no, round(ln(threshold), 9) AS ln_threshold FROM t")
 def _(s, d):
-    return W.run(s, "tail", EVENTS, replay(read(s, d, "events"), DAY)).report().select("batch_no", F.round(F.log("threshold_after"), 9).alias("ln_threshold"))
+    return W.run(s, "tail", EVENTS, days(s, d)).report().select("batch_no", F.round(F.log("threshold_after"), 9).alias("ln_threshold"))
 
 
 @query(
@@ -157,22 +185,36 @@ def _(s, d):
     "SELECT n.batch_no, n.n AS n_items, (SELECT count(*) FROM e WHERE e.batch_no = n.batch_no AND key <= coalesce((SELECT threshold FROM t WHERE t.day = n.batch_no - 1), 1e300)) AS candidates FROM n",
 )
 def _(s, d):
-    return W.run(s, "tail", EVENTS, replay(read(s, d, "events"), DAY)).report().select("batch_no", "n_items", "candidates")
+    return W.run(s, "tail", EVENTS, days(s, d)).report().select("batch_no", "n_items", "candidates")
 
 
 @query("variable_size_bounds", f"WITH e AS ({EVENTS_SQL}) SELECT DISTINCT batch_no, true AS in_range, true AS bottom_set FROM e")
 def _(s, d):
     df = read(s, d, "events")
-    one = W.run(s, "lazy", EVENTS.but(k_max=200), replay(df, DAY))
+    one = W.run(s, "lazy", EVENTS.but(k_max=200), days(s, d))
     seen = keyed(df, EVENTS).where(F.col("key") <= one.state.threshold).agg(F.count(F.lit(1))).first()[0]
     kept = one.sample().count()
     rows = one.report().select("batch_no", F.col("held_after").between(100, 200).alias("in_range"))
     return rows.withColumn("bottom_set", F.lit(bool(seen == kept == one.state.held)))
 
 
-@query("variable_size_eager")
+_DAYS = f"WITH e AS ({EVENTS_SQL}), n AS (SELECT batch_no, count(*) AS n FROM e GROUP BY 1), c AS (SELECT batch_no, n, sum(n) OVER (ORDER BY batch_no) AS seen FROM n)"
+
+
+@query("variable_size_eager", f"{_DAYS} SELECT batch_no, n AS n_items, seen >= 100 AS in_range, seen > 100 AS selected FROM c")
+def _(s, d):
+    """The sample is brought into 100..200 in every batch."""
+    rows = W.run(s, "eager", EVENTS.but(k_max=200), days(s, d)).report()
+    return rows.select("batch_no", "n_items", F.col("held_after").between(100, 200).alias("in_range"), (F.col("jobs") > 1).alias("selected"))
+
+
+@query("variable_against_exact", "SELECT true AS fewer_selections, true AS exact_selects_always, true AS sizes_in_range")
 def _(s, d):
-    return W.run(s, "eager", EVENTS.but(k_max=200), replay(read(s, d, "events"), DAY)).report().select("batch_no", "held_after", "rounds")
+    """A sample of 100 to 200 against one of exactly 100 over all days: how often a threshold is selected."""
+    lazy, exact = (W.run(s, m, EVENTS.but(k_max=200) if m == "lazy" else EVENTS, days(s, d)).reports.rows for m in ("lazy", "pivot8"))
+    often = [sum(r.rounds > 0 for r in rows) for rows in (lazy, exact)]
+    busy = sum(r.held_before + r.stored > 100 for r in exact)
+    return s.createDataFrame([(often[0] < often[1], often[1] == busy, all(100 <= r.held_after <= 200 for r in lazy))], "fewer_selections boolean, exact_selects_always boolean, sizes_in_range boolean")
 
 
 # selection ---------------------------------------------------------------------------------------------------------------------------
@@ -377,51 +419,287 @@ def _(s, d):
     return s.createDataFrame(rows, "p long, pivot8 double, general double, uniform double")
 
 
-@query("compare_methods")
+@query("compare_methods", f"{_DAYS} SELECT run, count(*) AS batches, sum(n)::bigint AS n_items, 100::bigint AS held, CASE WHEN run = 'gather' THEN 0 ELSE 1 END::bigint AS rows_stay FROM c, (VALUES ('pivot1'), ('pivot8'), ('gather')) AS m(run) GROUP BY run")
+def _(s, d):
+    rows = W.compare(s, read(s, d, "events"), EVENTS, DAY)
+    return rows.groupBy("run").agg(F.count(F.lit(1)).alias("batches"), F.sum("n_items").alias("n_items"), F.max_by("held_after", "batch_no").alias("held"), (F.sum("rows_moved") <= F.count_if(F.col("rounds") > 0)).cast("long").alias("rows_stay"))
+
+
+@query("compare_methods_times")
+def _(s, d):
+    return W.summary(W.compare(s, read(s, d, "events"), EVENTS, f"{DAY} DIV 5"))
+
+
+def _scaling_sql(runs: list[tuple[int, int]], ks: tuple[int, ...]) -> str:
+    cfg, k = ", ".join(f"({p}, {n})" for p, n in runs), ", ".join(f"({x})" for x in ks)
+    return f"""WITH e AS (SELECT key, item_id, ub FROM ({keyed_sql('lineitem', LINE_SQL, 'l_extendedprice', unit_sql('lineitem', LINE_SQL, 'batch') + ' AS ub')})),
+a AS (SELECT p, batches, least(floor(ub * batches), batches - 1)::bigint AS batch_no, key, item_id FROM e, (VALUES {cfg}) AS c(p, batches)),
+n AS (SELECT p, batches, batch_no, count(*) AS n, sum(count(*)) OVER (PARTITION BY p, batches ORDER BY batch_no) AS seen FROM a GROUP BY ALL),
+r AS (SELECT n.p, n.batches, n.batch_no, a.key, row_number() OVER (PARTITION BY n.p, n.batches, n.batch_no ORDER BY a.key, a.item_id) AS place
+  FROM n JOIN a ON a.p = n.p AND a.batches = n.batches AND a.batch_no < n.batch_no),
+t AS (SELECT p, batches, batch_no, place AS k, key AS threshold FROM r WHERE place IN ({', '.join(map(str, ks))})),
+g AS (SELECT n.*, k, threshold FROM (SELECT n.*, k FROM n, (VALUES {k}) AS v(k)) n LEFT JOIN t USING (p, batches, batch_no, k)),
+c AS (SELECT g.p, g.batches, g.batch_no, g.k, g.n, g.seen, count(*) AS candidates FROM g JOIN a ON a.p = g.p AND a.batches = g.batches AND a.batch_no = g.batch_no AND a.key <= coalesce(g.threshold, 1e300) GROUP BY ALL)
+SELECT run, p::bigint AS p, k::bigint AS k, batch_no, n AS n_items, candidates, least(k, seen)::bigint AS held_after FROM c, (VALUES ('pivot1'), ('pivot8'), ('gather')) AS m(run)"""
+
+
+_WEAK, _STRONG, _KS = [(1, 8), (2, 4), (4, 2), (8, 1)], [(1, 3), (4, 3)], (25, 2500)
+
+
+def _scaled(s, d, runs, ks) -> DataFrame:
+    rows = W.scaling(s, read(s, d, "lineitem"), LINES, runs, ks)
+    return rows.select("run", F.col("p").cast("long").alias("p"), F.col("k").cast("long").alias("k"), "batch_no", "n_items", "candidates", "held_after")
+
+
+@query("weak_scaling", _scaling_sql(_WEAK, _KS))
 def _(s, d):
-    return W.summary(W.compare(s, read(s, d, "events"), EVENTS, DAY))
+    """A batch grows with the partitions: 1, 2, 4 and 8 of them, batches of an eighth of the table for each."""
+    return _scaled(s, d, _WEAK, _KS)
 
 
-@query("depth_by_pivots")
+@query("strong_scaling", _scaling_sql(_STRONG, _KS))
 def _(s, d):
-    df = W.sliced(read(s, d, "lineitem"), W.LINE_ID, 12)
-    return s.createDataFrame(W.depth_by_pivots(s, df, LINES, "slice", (1, 8)), "pivots int, mean_rounds double")
+    """Batches of a third of the table, on one and four partitions."""
+    return _scaled(s, d, _STRONG, _KS)
+
+
+@query("scaling_times")
+def _(s, d):
+    """Speedup over pivot1 on one partition, throughput, phases, and what eight pivots save, by method: the figures behind both scaling workloads."""
+    return W.scaling_summary(W.scaling(s, read(s, d, "lineitem"), LINES, [(1, 4), (4, 1), (1, 2), (4, 2)], (2500,)))
+
+
+@query("depth_by_pivots", f"SELECT pivots, round(ln(t), 9) AS ln_threshold, true AS more_pivots_fewer_rounds FROM (VALUES (1), (2), (4), (8), (16), (32)) AS v(pivots), (SELECT max(key) AS t FROM (SELECT key FROM ({LINES_SQL}) ORDER BY key, item_id LIMIT 1000))")
+def _(s, d):
+    got = _depths(s, d)
+    deep = dict((p, r) for p, r, _ in got)
+    return s.createDataFrame([(p, t, deep[32] <= deep[8] <= deep[1]) for p, _, t in got], "pivots int, t double, more_pivots_fewer_rounds boolean").select("pivots", F.round(F.log("t"), 9).alias("ln_threshold"), "more_pivots_fewer_rounds")
+
+
+def _depths(s, d) -> list[tuple[int, float, float]]:
+    return W.depth_by_pivots(s, W.sliced(read(s, d, "lineitem"), W.LINE_ID, 6), LINES, "slice")
+
+
+@query("candidates_moved", f"{_THRESHOLDS}, n AS (SELECT batch_no, count(*) AS n FROM e GROUP BY batch_no), "
+    "c AS (SELECT n.batch_no, (SELECT count(*) FROM e WHERE e.batch_no = n.batch_no AND key <= coalesce((SELECT threshold FROM t WHERE t.day = n.batch_no - 1), 1e300)) AS candidates FROM n) "
+    "SELECT batch_no, candidates, true AS moves_new_ones_only FROM c")
+def _(s, d):
+    """The incremental combined selector: up to k new candidates, no rough step, and no other rows move but the sample of pivots and the few between them."""
+    rows = W.run(s, "incremental", EVENTS, days(s, d)).report()
+    small = (F.col("held_before") == 0) | (F.col("rows_moved") - F.col("stored") <= 2 * (F.col("held_before") + F.col("stored")))
+    return rows.select("batch_no", "candidates", small.alias("moves_new_ones_only"))
+
+
+@query("turnover_expected", f"{_DAYS} SELECT batch_no, n AS n_items, round(CASE WHEN seen - n < 100 THEN n ELSE n * 100.0 / (seen - n) END, 6) AS expected, true AS near FROM c")
+def _(s, d):
+    """Candidates of each day beside their expectation: every item enters with chance k over the items before."""
+    rows = W.run(s, "tail", EVENTS, days(s, d)).reports.rows
+    out, seen, total, real = [], 0, 0.0, 0
+    for r in rows:
+        expected = r.n_items * cost.insert_probability(100, seen)
+        out.append((r.batch_no, r.n_items, round(expected, 6)))
+        seen, total, real = seen + r.n_items, total + expected, real + r.candidates
+    near = abs(real - total) < 6 * total**0.5 + 0.05 * total
+    return s.createDataFrame(out, "batch_no long, n_items long, expected double").withColumn("near", F.lit(bool(near)))
+
+
+# first batch, blocks, imbalance --------------------------------------------------------------------------------------------------------
+
+
+@query("first_batch_held", "SELECT capped, count(*) AS n_items, true AS bounded, 100::bigint AS held FROM lineitem, (VALUES (true), (false)) AS v(capped) GROUP BY capped")
+def _(s, d):
+    """One batch far above k, with and without the local cap: rows written are at most k a partition with it."""
+    df, out = read(s, d, "lineitem").repartition(6), []
+    for cap in (True, False):
+        one = W.run(s, "", LINES.but(k=100), [(0, df)], reservoir.DecentralSampler(s, LINES.but(k=100, cap=cap)))
+        r = one.reports.rows[0]
+        out.append((cap, r.n_items, r.stored <= 600 if cap else r.stored == r.n_items, r.held_after))
+    return s.createDataFrame(out, "capped boolean, n_items long, bounded boolean, held long")
+
+
+@query("block_sizes", "SELECT block, count(*) AS n_items, true AS larger_blocks_look_at_more, true AS uniform_looks_at_hits_only FROM lineitem, (VALUES (1), (32), (1024)) AS v(block) GROUP BY block")
+def _(s, d):
+    """Weights looked at one by one, and blocks passed over, by block size; a uniform sample looks at hits only."""
+    got = _block_figures(s, d)
+    weighted = {b: x for kind, b, _, x, _ in got if kind == "weighted"}
+    ordered = weighted[1] <= weighted[32] <= weighted[1024]
+    hits = all(x < n * 0.05 for kind, _, n, x, _ in got if kind == "uniform")
+    return s.createDataFrame([(b, n, ordered, hits) for kind, b, n, _, _ in got if kind == "weighted"], "block int, n_items long, larger_blocks_look_at_more boolean, uniform_looks_at_hits_only boolean")
+
+
+def _block_figures(s, d) -> list[tuple[str, int, int, int, int]]:
+    """(kind, block, items, looked at, blocks passed over) of one fill under a threshold that lets about k items in."""
+    df, out = read(s, d, "lineitem"), []
+    for kind, spec, t in (("weighted", LINES, 1e-7), ("uniform", LINES.but(weight=None), 1e-2)):
+        for block in (1, 32, 1024) if kind == "weighted" else (32,):
+            rows = reservoir.candidates_by_jump(valid(items(df, spec)), spec.but(block=block), t, 1, counted=True)
+            x, skipped = rows.agg(F.sum("examined"), F.sum("skipped")).first()
+            out.append((kind, block, df.count(), x, skipped))
+    return out
+
+
+@query("block_figures")
+def _(s, d):
+    return s.createDataFrame(_block_figures(s, d), "kind string, block int, n_items long, rows_examined long, blocks_skipped long")
+
+
+@query("uniform_against_weighted", f"{_DAYS} SELECT batch_no, n AS n_items, true AS uniform_examines_fewer FROM c")
+def _(s, d):
+    """Rows looked at by jumps over all days: the weighted sampler needs all weights, the uniform one its hits."""
+    w, u = (W.run(s, "tail", spec.but(fill="jump"), days(s, d)).reports.rows for spec in (EVENTS, EVENTS_U))
+    fewer = sum(r.rows_examined for r in u[1:]) < sum(r.n_items for r in w[1:]) / 4
+    return s.createDataFrame([(r.batch_no, r.n_items, fewer) for r in w], "batch_no long, n_items long, uniform_examines_fewer boolean")
+
+
+for _name, _shape in (
+    ("lopsided_batches", lambda df: W.lopsided(df, 6)),
+    ("sorted_batches", lambda df: df.repartitionByRange(6, "l_extendedprice").sortWithinPartitions("l_extendedprice")),
+    ("falling_batches", lambda df: df.repartitionByRange(6, F.desc("l_extendedprice")).sortWithinPartitions(F.desc("l_extendedprice"))),
+):
+
+    def _f(s, d, shape=_shape):
+        cut = replay(W.sliced(read(s, d, "lineitem"), W.LINE_ID, 3), "slice", None, reservoir.storage(s))
+        return shown(W.run(s, "pivot8", LINES, ((b, shape(rows)) for b, rows in cut)).sample())
+
+    query(_name, bottom_sql(LINES_SQL, 1000))(_f)
+
+
+@query("busiest_partition", "SELECT true AS lopsided_is_busier, true AS within_total")
+def _(s, d):
+    """Candidates of the busiest partition, even and lopsided: only balance suffers."""
+    df, most = read(s, d, "lineitem"), []
+    for rows in (df.repartition(6), W.lopsided(df, 6)):
+        one = W.run(s, "tail", LINES, ((b, x) for b, x in enumerate((rows, rows.withColumn("l_cents", F.col("l_cents") + 10**9)))))
+        most.append(one.reports.rows[1])
+    return s.createDataFrame([(most[1].candidates_max_pe > most[0].candidates_max_pe, all(r.candidates_max_pe <= r.candidates for r in most))], "lopsided_is_busier boolean, within_total boolean")
+
+
+@query(
+    "drift_replay",
+    f"WITH i AS (SELECT {LINE_SQL} AS item_id, l_orderkey % 8 AS pe, l_linenumber AS b FROM lineitem), "
+    f"w AS (SELECT item_id, greatest(0.01, b + pe + sqrt(-2 * ln({unit_sql('lineitem', 'item_id', 'n1')})) * cos(2 * pi() * {unit_sql('lineitem', 'item_id', 'n2')})) AS w FROM i), "
+    f"k AS (SELECT item_id, -ln({unit_sql('lineitem', 'item_id')}) / w AS key FROM w) SELECT item_id FROM k ORDER BY key, item_id LIMIT 1000",
+)
+def _(s, d):
+    """A sampler over batches whose weights grow with the batch and the partition."""
+    df = read(s, d, "lineitem").withColumn("item_id", V.item_id(W.LINE_ID))
+    df = df.withColumn("w_drift", W.drifting_weight("l_linenumber", "l_orderkey % 8", "lineitem", 7))
+    cut = replay(df.select("item_id", "w_drift", "l_linenumber"), "l_linenumber", None, reservoir.storage(s))
+    return W.run(s, "pivot8", LINES.but(id_cols=("item_id",), weight="w_drift"), cut).sample().select("item_id")
+
+
+@query("state_goes_on", bottom_sql(EVENTS_SQL, 100))
+def _(s, d):
+    """The sampler is made anew from its files after each ten days."""
+    path, one = reservoir.storage(s), None
+    for number, rows in days(s, d):
+        if one is None or number % 10 == 0:
+            one = reservoir.DecentralSampler(s, EVENTS, path)
+        one.process(rows, number)
+    return shown(reservoir.DecentralSampler(s, EVENTS, path).sample())
+
+
+@query("state_versions", f"{_THRESHOLDS}, c AS (SELECT batch_no, count(*) AS n, sum(count(*)) OVER (ORDER BY batch_no) AS seen FROM e GROUP BY 1) SELECT batch_no AS version, seen::bigint AS n_seen, least(100, seen)::bigint AS held, round(ln(threshold), 9) AS ln_threshold FROM c JOIN t ON t.day = c.batch_no")
+def _(s, d):
+    one = W.run(s, "tail", EVENTS, days(s, d))
+    return one.log.table().select("version", "n_seen", "held", F.round(F.log("threshold"), 9).alias("ln_threshold"))
+
+
+@query("subset_sum_error", f"WITH {_LINE_SAMPLE} SELECT l_returnflag, true AS near FROM a GROUP BY 1")
+def _(s, d):
+    """Estimated against true totals by return flag: within five standard errors, about 1 / sqrt(rows used)."""
+    df = read(s, d, "lineitem")
+    sample, t = _with_threshold(s, d, df, LINES, "l_returnflag")
+    true = {r[0]: r[1] for r in df.where("l_extendedprice > 0").groupBy("l_returnflag").agg(F.sum("l_extendedprice")).collect()}
+    out = []
+    for flag, total in true.items():
+        got = estimate.subset_sum(sample, t, F.col("l_returnflag") == flag).first()
+        out.append((flag, bool(estimate.relative_error(got["estimate"], total) < 5 / max(1, got["rows_used"]) ** 0.5)))
+    return s.createDataFrame(out, "l_returnflag string, near boolean")
 
 
 # jumps -------------------------------------------------------------------------------------------------------------------------------
 
 
-@query("sequential_weighted")
+def _drawn(rows: DataFrame, real: DataFrame, threshold: float | None, expected: F.Column) -> DataFrame:
+    """What holds for drawn samples: items of the table, each once, keys below the threshold, and about as many as expected (one row)."""
+    known = rows.join(real.select("item_id").distinct(), "item_id", "left_semi").agg(F.count(F.lit(1)).alias("known"))
+    below = F.max("key") <= threshold if threshold else F.max("key") > 0
+    total = rows.agg(F.count(F.lit(1)).alias("n"), F.count_distinct("item_id").alias("ids"), below.alias("keys_below"))
+    law = real.agg(F.sum(expected).alias("expected"))
+    near = F.abs(F.col("n") - F.col("expected")) <= 6 * F.sqrt("expected") + 1
+    return total.crossJoin(F.broadcast(known)).crossJoin(F.broadcast(law)).select(((F.col("n") == F.col("ids")) & (F.col("n") == F.col("known"))).alias("once_each"), "keys_below", near.alias("as_many_as_expected"))
+
+
+_SOUND = "SELECT true AS once_each, true AS keys_below, true AS as_many_as_expected"
+
+
+for _name, _spec, _sql in (("sequential_weighted", EVENTS, EVENTS_SQL), ("sequential_uniform", EVENTS_U, EVENTS_U_SQL)):
+
+    def _f(s, d, spec=_spec):
+        df = read(s, d, "events")
+        got = reservoir.sequential_sample(df, spec)
+        return _drawn(got, valid(items(df, spec)), None, F.lit(0)).select("once_each", "keys_below").crossJoin(F.broadcast(got.agg(F.count(F.lit(1)).alias("n"))))
+
+    query(_name, f"SELECT true AS once_each, true AS keys_below, least(100, count(*))::bigint AS n FROM ({_sql})")(_f)
+
+
+@query("skip_weighted", _SOUND)
 def _(s, d):
-    return reservoir.sequential_sample(read(s, d, "events"), EVENTS)
+    real = valid(items(read(s, d, "lineitem"), LINES))
+    return _drawn(reservoir.candidates_by_jump(real, LINES, 1e-6, 1), real, 1e-6, -F.expm1(-F.col("w") * 1e-6))
 
 
-@query("sequential_uniform")
+@query("skip_uniform", _SOUND)
 def _(s, d):
-    return reservoir.sequential_sample(read(s, d, "events"), EVENTS_U)
+    real = items(read(s, d, "events"), EVENTS_U)
+    return _drawn(reservoir.candidates_by_jump(real, EVENTS_U, 0.01, 1), real, 0.01, F.lit(0.01))
 
 
-@query("skip_weighted")
+@query("skip_weighted_rows")
 def _(s, d):
     return reservoir.candidates_by_jump(valid(items(read(s, d, "lineitem"), LINES)), LINES, 1e-6, 1)
 
 
-@query("skip_uniform")
+_PLAIN_LINES = LINES.but(id_cols=("l_orderkey", "l_linenumber", "l_partkey", "l_suppkey"))
+
+
+@query("manifest_blocks", "SELECT count(*) AS n, round(sum(l_extendedprice) / 1000, 3) AS thousands, ceil(count(*) / 4096)::bigint AS blocks FROM lineitem WHERE l_extendedprice > 0")
 def _(s, d):
-    return reservoir.candidates_by_jump(items(read(s, d, "events"), EVENTS_U), EVENTS_U, 0.01, 1)
+    got = manifest.build(s, f"{d}/lineitem.parquet", _PLAIN_LINES)
+    return got.agg(F.sum("n").alias("n"), F.round(F.sum("weight") / 1000, 3).alias("thousands"), F.count(F.lit(1)).alias("blocks"))
 
 
-@query("manifest_sample")
+@query("manifest_sample", _SOUND.replace("once_each", "of_the_table").replace("true AS as_many_as_expected", "true AS as_many_as_expected"))
 def _(s, d):
-    path = f"{d}/lineitem.parquet"
-    spec = LINES.but(id_cols=("l_orderkey", "l_linenumber", "l_partkey", "l_suppkey"))
-    return manifest.sample_from_manifest(s, path, manifest.build(s, path, spec), spec, 1e-8)
+    """Items below the threshold from the blocks that the manifest's sums of weight pick."""
+    path, t = f"{d}/lineitem.parquet", 1e-6
+    real = valid(items(s.read.parquet(path), _PLAIN_LINES))
+    got = manifest.sample_from_manifest(s, path, manifest.build(s, path, _PLAIN_LINES), _PLAIN_LINES, t).persist()
+    known = got.join(real.select("item_id").distinct(), "item_id", "left_semi").count() == got.count()
+    return _drawn(got, real, t, -F.expm1(-F.col("w") * t)).select(F.lit(known).alias("of_the_table"), "keys_below", "as_many_as_expected")
 
 
-@query("manifest_positions")
+@query("manifest_reads", "SELECT 30::bigint AS files, true AS reads_fewer, true AS bytes_are_fewer")
 def _(s, d):
-    path = f"{d}/events.parquet"
-    return manifest.uniform_positions(manifest.build(s, path, EVENTS_U), 0.01, 7)
+    """A table of 30 files, a small threshold: files and bytes that are read at all."""
+    path = reservoir.storage(s)
+    read(s, d, "lineitem").repartitionById(30, F.pmod(F.xxhash64("l_orderkey"), F.lit(30)).cast("int")).write.parquet(path)
+    blocks = manifest.build(s, path, LINES)
+    total = blocks.agg(F.sum("weight")).first()[0]
+    got = manifest.what_is_read(blocks, LINES, 3 / total)
+    return got.select("files", (F.col("files_read") < 15).alias("reads_fewer"), (F.col("bytes_read") < F.col("file_bytes") / 2).alias("bytes_are_fewer"))
+
+
+@query("manifest_positions", "SELECT true AS places_in_blocks, true AS as_many_as_expected, true AS once_each")
+def _(s, d):
+    """Places of a uniform sample's rows, from row counts alone."""
+    blocks = manifest.build(s, f"{d}/events.parquet", EVENTS_U)
+    got = manifest.uniform_positions(blocks, 0.05, 7).persist()
+    n = blocks.agg(F.sum("n")).first()[0]
+    inside = got.join(blocks, ["file", "block"]).where("place < n").count()
+    count = got.count()
+    return s.createDataFrame([(inside == count, abs(count - 0.05 * n) <= 6 * (0.05 * n) ** 0.5 + 1, got.distinct().count() == count)], "places_in_blocks boolean, as_many_as_expected boolean, once_each boolean")
 
 
 # around a sample ---------------------------------------------------------------------------------------------------------------------
@@ -503,7 +781,7 @@ def _(s, d):
 def _(s, d):
     """The threshold in force when an event came: the last report row before its day, by a window over both."""
     df = read(s, d, "events")
-    steps = W.run(s, "tail", EVENTS, replay(df, DAY)).report().select((F.col("batch_no") + 1).alias("day"), F.lit(0).alias("kind"), F.lit(None).cast("string").alias("item_id"), "threshold_after")
+    steps = W.run(s, "tail", EVENTS, days(s, d)).report().select((F.col("batch_no") + 1).alias("day"), F.lit(0).alias("kind"), F.lit(None).cast("string").alias("item_id"), "threshold_after")
     rows = keyed(df.withColumn("day", F.expr(DAY).cast("long")), EVENTS, "day").where("key < 1e-3").select("day", F.lit(1).alias("kind"), "item_id", F.lit(None).cast("double").alias("threshold_after"))
     # the lookup is by day; a day's rows follow its one report row
     by_day = Window.partitionBy("day").orderBy("kind")
@@ -540,7 +818,7 @@ def _(s, d):
 
 
 @query(
-    "stream_session_sample",
+    "session_sample",
     f"WITH e AS ({EVENTS_SQL}), q AS (SELECT *, CASE WHEN epoch(ts)::bigint - epoch(lag(ts) OVER (PARTITION BY user_id ORDER BY ts, item_id))::bigint <= 1800 THEN 0 ELSE 1 END AS fresh FROM e), "
     "n AS (SELECT *, sum(fresh) OVER (PARTITION BY user_id ORDER BY ts, item_id)::bigint AS session_no FROM q) "
     "SELECT user_id, session_no, item_id, draw_no FROM (SELECT *, row_number() OVER (PARTITION BY user_id, session_no ORDER BY key, item_id) AS draw_no FROM n) WHERE draw_no <= 2",
@@ -665,7 +943,16 @@ def _(s, d):
     return _grid(s).select("n", "k", "p", F.round(cost.columns_shape(F.col("n"), F.col("k"), F.lit(1)) * (1 + F.col("p")), 6).alias("messages"))
 
 
-@query("single_item_batches")
+_SINGLE = f"""WITH e AS (SELECT item_id, key, item_id::bigint // 4 AS batch_no FROM ({EVENTS_SQL})), b AS (SELECT DISTINCT event_id // 4 AS batch_no FROM events),
+c AS (SELECT b.batch_no, count(item_id) AS n FROM b LEFT JOIN e USING (batch_no) GROUP BY 1),
+s AS (SELECT batch_no, n, coalesce(sum(n) OVER (ORDER BY batch_no ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS seen FROM c),
+r AS (SELECT b.batch_no, e.key, row_number() OVER (PARTITION BY b.batch_no ORDER BY e.key, e.item_id) AS place FROM b JOIN e ON e.batch_no < b.batch_no),
+t AS (SELECT batch_no, key AS threshold FROM r WHERE place = 5)
+SELECT s.batch_no, s.n AS n_items, count(e.item_id) FILTER (WHERE e.key <= coalesce(t.threshold, 1e300)) AS candidates, least(5, s.seen + s.n)::bigint AS held_after
+FROM s LEFT JOIN t USING (batch_no) LEFT JOIN e USING (batch_no) GROUP BY s.batch_no, s.n, s.seen"""
+
+
+@query("single_item_batches", _SINGLE)
 def _(s, d):
     """Batches of four items, one a partition: the continuous monitoring model as a special case. All events, without a job a batch."""
     return reservoir.counts_of_small_batches(read(s, d, "events"), EVENTS.but(k=5), "event_id DIV 4")

@@ -6,7 +6,7 @@ from __future__ import annotations
 from collections.abc import Callable, Iterator
 
 import pandas as pd
-from pyspark.sql import DataFrame, SparkSession, Window
+from pyspark.sql import Column, DataFrame, Observation, SparkSession, Window
 from pyspark.sql import functions as F
 from pyspark.sql.streaming import StatefulProcessor, StatefulProcessorHandle
 
@@ -30,50 +30,103 @@ def drain(stream: DataFrame, each: Callable[[DataFrame, int], None], checkpoint:
 
 
 class StreamSampler:
-    """The decentralised sampler behind ``foreachBatch``. A micro-batch that comes again, with its number, changes nothing."""
+    """The decentralised sampler behind ``foreachBatch``. A micro-batch that comes again, with its number, changes nothing.
 
-    def __init__(self, spark: SparkSession, spec: SamplerSpec):
-        self.inner = DecentralSampler(spark, spec)
+    ``path``: where state and runs lie; with the same path, and the stream's checkpoint in it, a query that was stopped or lost goes on where it ended.
+    """
+
+    def __init__(self, spark: SparkSession, spec: SamplerSpec, path: str | None = None):
+        self.inner = DecentralSampler(spark, spec, path)
 
     def __call__(self, batch: DataFrame, batch_id: int) -> None:
         self.inner.process(batch, batch_id)
 
     def run(self, stream: DataFrame, checkpoint: str | None = None) -> DataFrame:
-        drain(stream, self, checkpoint)
+        drain(stream, self, checkpoint or f"{self.inner.path}/checkpoint")
         return self.inner.sample()
 
 
 class WindowStore:
-    """Per group, the k smallest keys so far, kept as files that each micro-batch replaces."""
+    """Per open window, the k smallest keys so far, kept as files that each micro-batch replaces; closed windows are written once.
+
+    The watermark is the latest event time seen less the lateness, as it was before the micro-batch. Rows of windows that it has passed are dropped and counted.
+    """
 
-    def __init__(self, spark: SparkSession, spec: SamplerSpec, group: str, schema: str):
-        self.spark, self.spec, self.group, self.schema = spark, spec, group, schema
-        self.base, self.path, self.done = storage(spark), None, -1
+    def __init__(self, spark: SparkSession, spec: SamplerSpec, length: str, lateness: str):
+        self.spark, self.spec, self.length, self.lateness = spark, spec, length, lateness
+        self.schema = "window_start timestamp, window_end timestamp, item_id string, w double, key double"
+        self.base, self.open, self.closed, self.done = storage(spark), None, [], -1
+        self.latest, self.late = None, 0
+
+    def _read(self, *paths: str) -> DataFrame:
+        return self.spark.read.schema(self.schema).parquet(*paths) if paths else self.spark.createDataFrame([], self.schema)
 
     def held(self) -> DataFrame:
-        return self.spark.read.schema(self.schema).parquet(self.path) if self.path else self.spark.createDataFrame([], self.schema)
+        """All windows, closed and open."""
+        return self._read(*self.closed, *([self.open] if self.open else []))
+
+    def _passed(self) -> Column:
+        if self.latest is None:
+            return F.lit(False)
+        return F.col("window_end") <= F.lit(self.latest) - F.expr(f"INTERVAL {self.lateness}")
 
-    def add(self, rows: DataFrame, batch_id: int) -> None:
+    def add(self, batch: DataFrame, batch_id: int) -> None:
         if batch_id <= self.done:
             return
-        place = F.row_number().over(Window.partitionBy(self.group).orderBy("key", "item_id"))
-        small = self.held().unionByName(rows).withColumn("place", place).where(F.col("place") <= self.spec.k).drop("place")
+        span = F.window("ts", self.length)
+        seen = Observation()
+        rows = keyed(batch, self.spec, "ts").withColumn("window_start", span.getField("start")).withColumn("window_end", span.getField("end"))
+        rows = rows.observe(seen, F.max("ts").alias("latest"), F.count_if(self._passed()).alias("late")).where(~self._passed())
+        place = F.row_number().over(Window.partitionBy("window_start").orderBy("key", "item_id"))
+        # the batch's side comes first: the plan runs in its session, where the observation listens
+        now = rows.select("window_start", "window_end", "item_id", "w", "key").unionByName(self._read(*([self.open] if self.open else [])))
         path = f"{self.base}/v{batch_id}"
-        small.write.mode("overwrite").parquet(path)
-        self.path, self.done = path, batch_id
+        now.withColumn("place", place).where(F.col("place") <= self.spec.k).drop("place").write.mode("overwrite").parquet(f"{path}/all")
+        got = seen.get
+        self.late += got["late"] or 0
+        if got["latest"] is not None and (self.latest is None or got["latest"] > self.latest):
+            self.latest = got["latest"]
+        everything, self.open, self.done = self._read(f"{path}/all"), f"{path}/all", batch_id
+        gone = everything.where(self._passed())
+        if not gone.isEmpty():
+            gone.write.mode("overwrite").parquet(f"{path}/closed")
+            everything.where(~self._passed()).write.mode("overwrite").parquet(f"{path}/open")
+            self.closed, self.open = [*self.closed, f"{path}/closed"], f"{path}/open"
 
 
 def stream_window_sample(stream: DataFrame, spec: SamplerSpec, length: str, lateness: str = "1 day") -> DataFrame:
-    """A sample of each tumbling window of event time; rows later than ``lateness`` are left out by the watermark of the windows they belong to."""
-    store = WindowStore(stream.sparkSession, spec, "window_start", "window_start timestamp, item_id string, w double, key double")
-    timed = stream.withColumn("ts", F.col("ts").cast("timestamp")).withWatermark("ts", lateness)
+    """A sample of each tumbling window of event time; rows of windows that ended more than ``lateness`` before the latest event of earlier micro-batches are left out."""
+    return stream_windows(stream, spec, length, lateness).held()
+
+
+def stream_windows(stream: DataFrame, spec: SamplerSpec, length: str, lateness: str = "1 day") -> WindowStore:
+    """The same, with the count of late rows and the closed windows."""
+    store = WindowStore(stream.sparkSession, spec, length, lateness)
+    drain(stream.withColumn("ts", F.col("ts").cast("timestamp")), store.add)
+    return store
+
+
+def to_memory(frame: DataFrame, name: str, mode: str = "append") -> DataFrame:
+    """What a streaming frame gives until it has read all there is, as a table in memory: for tests and small results."""
+    query = frame.writeStream.format("memory").queryName(name).outputMode(mode).option("checkpointLocation", storage(frame.sparkSession)).trigger(availableNow=True).start()
+    query.awaitTermination()
+    return frame.sparkSession.table(name)
+
+
+def event_time(stream: DataFrame, lateness: str) -> DataFrame:
+    return stream.withColumn("ts", F.col("ts").cast("timestamp")).withWatermark("ts", lateness)
+
+
+def stream_sessions(stream: DataFrame, spec: SamplerSpec, user: str, gap: str = "30 minutes", lateness: str = "1 day") -> DataFrame:
+    """A streaming frame (user, session_start, session_end, n, least): each session's k smallest (key, item). A session's keys lie in one state row, so sessions must be short."""
+    rows = keyed(event_time(stream, lateness), spec, user, "ts")
+    found = rows.groupBy(user, F.session_window("ts", gap).alias("session")).agg(F.count(F.lit(1)).alias("n"), F.sort_array(F.collect_list(F.struct("key", "item_id"))).alias("least"))
+    return found.select(user, F.col("session.start").alias("session_start"), F.col("session.end").alias("session_end"), "n", F.slice("least", 1, spec.k).alias("least"))
 
-    def add(batch: DataFrame, batch_id: int) -> None:
-        rows = keyed(batch, spec, "ts").withColumn("window_start", F.window("ts", length).getField("start"))
-        store.add(rows.select("window_start", "item_id", "w", "key"), batch_id)
 
-    drain(timed, add)
-    return store.held()
+def without_repeats(stream: DataFrame, cols: list[str], lateness: str) -> DataFrame:
+    """Rows of an at-least-once source once each, within the watermark."""
+    return event_time(stream, lateness).dropDuplicatesWithinWatermark(cols)
 
 
 def session_sample(df: DataFrame, spec: SamplerSpec, user: str, gap_minutes: int) -> DataFrame:

@@ -26,13 +26,6 @@ def sliding_sample(df: DataFrame, spec: SamplerSpec, batch: str, length: int) ->
     return seen.withColumn("draw_no", place).where(F.col("draw_no") <= spec.k).select("window_end", "item_id", "w", "key", "draw_no")
 
 
-def dominated(held: DataFrame, k: int) -> DataFrame:
-    """What a sliding window of batches must keep: rows that fewer than k younger rows undercut."""
-    younger = held.select(F.col("key").alias("y_key"), F.col("batch_no").alias("y_batch"))
-    under = held.join(younger, (F.col("y_batch") > F.col("batch_no")) & (F.col("y_key") < F.col("key")), "left")
-    return under.groupBy(*held.columns).agg(F.count("y_key").alias("under")).where(F.col("under") < k).drop("under")
-
-
 def window_sample(df: DataFrame, spec: SamplerSpec, length: str, slide: str | None = None) -> DataFrame:
     """A sample of each window of event time (``ts``)."""
     timed = df.withColumn("ts", F.col("ts").cast("timestamp"))

@@ -8,6 +8,7 @@ import pytest
 from streamsample.operators.reservoir import counts_of_small_batches
 from streamsample.plans import workloads as W
 from streamsample.plans.batches import DAY, replay
+from streamsample import around  # noqa: F401  registers its queries
 from streamsample.queries import EVENTS, ORACLES, QUERIES
 
 NAMES = [
@@ -26,6 +27,24 @@ NAMES = [
     "turnover_full_join",
     "drifting_weight_sample",
     "stream_tumbling_sample",
+    "state_goes_on",
+    "state_versions",
+    "lopsided_batches",
+    "first_batch_held",
+    "block_sizes",
+    "manifest_reads",
+    "manifest_sample",
+    "skip_weighted",
+    "weak_scaling",
+    "drift_replay",
+    "turnover_expected",
+    "candidates_moved",
+    "stream_late_rows",
+    "stream_session_sample",
+    "stream_once_each",
+    "jump_targets_range_join",
+    "drawn_batch_keys",
+    "benchmark_anti_join",
 ]
 
 

@@ -28,7 +28,7 @@ def test_power_keys_give_the_same_sample(events, want):
     assert [r["item_id"] for r in reservoir.sample_top_power(events, Q.EVENTS).orderBy("draw_no").collect()] == want
 
 
-@pytest.mark.parametrize("method", ["pivot1", "pivot8", "two_pivot", "combined", "unsorted", "sort", "tail", "gather"])
+@pytest.mark.parametrize("method", ["pivot1", "pivot8", "two_pivot", "combined", "incremental", "unsorted", "sort", "tail", "gather", "auto"])
 def test_every_method_gives_the_one_shot_sample(spark, events, want, method):
     one = W.run(spark, method, Q.EVENTS, replay(events, f"{DAY} DIV 6"))
     assert [r["item_id"] for r in one.sample().orderBy("draw_no").collect()] == want
@@ -100,7 +100,7 @@ def test_selectors_at_the_ends_and_with_equal_keys(spark):
 
 def test_eight_pivots_need_fewer_rounds(spark, sf):
     df = W.sliced(W.lineitem(spark, sf), W.LINE_ID, 6)
-    depth = dict(W.depth_by_pivots(spark, df, Q.LINES, "slice"))
+    depth = {d: rounds for d, rounds, _ in W.depth_by_pivots(spark, df, Q.LINES, "slice", (1, 8))}
     assert depth[8] < depth[1]
 
 
