@@ -36,10 +36,10 @@ class Workspace:
         self.spark = spark
         self.base = f"{shared_root(spark)}/{label}-{uuid.uuid4().hex}"
 
-    def store(self, df: DataFrame, name: str, by: str | None = None, codec: str = "zstd") -> DataFrame:
-        """Write ``df`` and return the reread table. ``by``: a column to lay folders out by."""
+    def store(self, df: DataFrame, name: str, by: str | None = None, codec: str = "zstd", level: int = 3) -> DataFrame:
+        """Write ``df`` and return the reread table. ``by``: a column to lay folders out by. ``level``: of zstd."""
         path, schema = f"{self.base}/{name}", df.schema
-        writer = df.write.mode("overwrite").option("compression", codec)
+        writer = df.write.mode("overwrite").option("compression", codec).option("parquet.compression.codec.zstd.level", str(level))
         (writer.partitionBy(by) if by else writer).parquet(path)
         return self.spark.read.schema(schema).parquet(path)
 
