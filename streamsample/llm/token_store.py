@@ -25,7 +25,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .shared import Workspace, read
+from .shared import Workspace, read, trim
 from .shingles import mixed
 from .tokens import encoder, text_slices, vocabulary
 
@@ -108,6 +108,7 @@ def _first_pass(path: str, end_id: int):
                 if first:
                     m = len(first)
                     yield filled(m, kind=same(m, 1, pa.int32()), pack=same(m, pack, pa.int32()), hash=pa.array(first, pa.binary()), body=pa.array(bodies, pa.binary()))
+        trim()
 
     return run
 

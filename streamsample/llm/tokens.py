@@ -16,8 +16,8 @@ import numpy as np
 
 from .shingles import piece_hashes, ragged
 
-#: Pieces remembered in each of two generations.
-REMEMBERED = 600_000
+#: Pieces remembered: by hash, and by text in each of two generations.
+REMEMBERED, REMEMBERED_TEXTS = 1_500_000, 300_000
 _ODD_SPACE = re.compile(r"\s\s\s|\s\s\Z")
 #: A word of Latin letters, perhaps with a mark, perhaps with a line's end and another such word.
 _LATIN = "[A-Za-zÀ-ÖØ-öø-ɏ]+"
@@ -62,24 +62,35 @@ def cut_pieces(code: np.ndarray, edges: np.ndarray) -> np.ndarray:
 
 
 class Pieces:
-    """Ids of pieces that were met, by hash, up to a bound."""
+    """Ids of pieces that were met, by hash, up to a bound: sorted runs, of which younger ones are merged before they are half as long as the one before."""
 
     def __init__(self, encode) -> None:
         self.encode = encode
         self._forget()
 
     def _forget(self) -> None:
-        self.one, self.two, self.at, self.size = (np.zeros(0, dtype=t) for t in (np.uint64, np.uint64, np.int64, np.int64))
-        self.flat = [np.zeros(0, dtype=np.uint32)]
-        self.held = 0
-
-    def _found(self, one: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        spot = np.minimum(np.searchsorted(self.one, one), max(0, len(self.one) - 1))
-        return spot, self.one[spot] == one if len(self.one) else np.zeros(len(one), dtype=bool)
+        #: Each run: hashes in order, second hashes, where ids begin in ``flat``, and their number.
+        self.runs: list[tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]] = []
+        self.flat, self.held = np.zeros(1 << 16, dtype=np.uint32), 0
+
+    def _keep(self, one: np.ndarray, two: np.ndarray, pieces: list[str]) -> tuple[np.ndarray, np.ndarray]:
+        """Have the ids of new pieces, given in the order of their hashes."""
+        at, sizes, flat = self.encode(pieces)
+        at += self.held
+        if self.held + len(flat) > len(self.flat):
+            self.flat = np.concatenate([self.flat[: self.held], np.zeros(self.held + 2 * len(flat), dtype=np.uint32)])
+        self.flat[self.held : self.held + len(flat)] = flat
+        self.held += len(flat)
+        self.runs.append((one, two, at, sizes))
+        while len(self.runs) > 1 and 2 * len(self.runs[-1][0]) > len(self.runs[-2][0]):
+            young, old = self.runs.pop(), self.runs.pop()
+            order = np.argsort(np.concatenate([old[0], young[0]]), kind="stable")
+            self.runs.append(tuple(np.concatenate([x, y])[order] for x, y in zip(old, young, strict=True)))
+        return at, sizes
 
     def ids(self, texts: list[str]) -> list[bytes] | None:
         """The ids of each text; None if a piece is too long for a hash, or two pieces have the same one."""
-        if len(self.one) > REMEMBERED:
+        if sum(len(r[0]) for r in self.runs) > REMEMBERED:
             self._forget()
         whole = "".join(texts)
         code = np.frombuffer(whole.encode("utf-32-le"), dtype=np.uint32)
@@ -89,26 +100,22 @@ class Pieces:
             return None
         one, two = piece_hashes(code, spots)
         sought, first, numbers = np.unique(one, return_index=True, return_inverse=True)
-        spot, known = self._found(sought)
-        if (two[first[numbers]] != two).any() or (self.two[spot[known]] != two[first[known]]).any():
+        second = two[first]
+        if (second[numbers] != two).any():
             return None
-        new = np.flatnonzero(~known)
+        at, sizes, new = np.zeros(len(sought), dtype=np.int64), np.zeros(len(sought), dtype=np.int64), np.arange(len(sought))
+        for run in self.runs:
+            spot = np.minimum(np.searchsorted(run[0], sought[new]), len(run[0]) - 1)
+            known = run[0][spot] == sought[new]
+            hits, spot = new[known], spot[known]
+            if (run[1][spot] != second[hits]).any():
+                return None
+            at[hits], sizes[hits], new = run[2][spot], run[3][spot], new[~known]
         if len(new):
             begins, ends = spots[first[new]].tolist(), spots[first[new] + 1].tolist()
-            at, sizes, flat = self.encode([whole[a:b] for a, b in zip(begins, ends, strict=True)])
-            self.flat = [*self.flat, flat]
-            at += self.held
-            self.held += len(flat)
-            merged = np.concatenate([self.one, sought[new]])
-            order = np.argsort(merged, kind="stable")
-            self.one, self.two = merged[order], np.concatenate([self.two, two[first[new]]])[order]
-            self.at, self.size = np.concatenate([self.at, at])[order], np.concatenate([self.size, sizes])[order]
-            spot, _ = self._found(sought)
-        if len(self.flat) > 1:
-            self.flat = [np.concatenate(self.flat)]
-        spot = spot[numbers]
-        sizes = self.size[spot]
-        raw = self.flat[0][ragged(self.at[spot], sizes)].tobytes()
+            at[new], sizes[new] = self._keep(sought[new], second[new], [whole[a:b] for a, b in zip(begins, ends, strict=True)])
+        sizes = sizes[numbers]
+        raw = self.flat[ragged(at[numbers], sizes)].tobytes()
         total = 4 * np.concatenate([[0], np.cumsum(sizes)])[np.searchsorted(spots, edges)]
         return [raw[a:b] for a, b in zip(total[:-1].tolist(), total[1:].tolist(), strict=True)]
 
@@ -154,7 +161,7 @@ class PieceEncoder:
 
     def _learn(self, pieces: set[str]) -> None:
         """Have every one of ``pieces`` in the young generation, under its text with the blank before it."""
-        if len(self.young) > REMEMBERED:
+        if len(self.young) > REMEMBERED_TEXTS:
             self.old, self.young = self.young, {}
         young, old = self.young, self.old
         new, split = set(), []
@@ -184,7 +191,7 @@ class PieceEncoder:
         latin = [not _OTHER.search(t) for t in texts]
         out: list[bytes | None] = [None] * len(texts)
         fast = [k for k, x in enumerate(latin) if x]
-        for a, b in text_slices([texts[k] for k in fast], 1 << 19):
+        for a, b in text_slices([texts[k] for k in fast], 1 << 18):
             found = self.pieces.ids([texts[k] for k in fast[a:b]])
             for k, ids in zip(fast[a:b], found if found is not None else self._by_blanks([texts[k] for k in fast[a:b]]), strict=True):
                 out[k] = ids
