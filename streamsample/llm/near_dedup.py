@@ -25,7 +25,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .components import components
-from .shared import Workspace, keep_rows, raw_key, read
+from .shared import Workspace, keep_rows, raw_key, read, trim
 from .shingles import mixed, raw_texts, shingle_sets, slices
 
 WIDTH, TABLES, HALF, PERCENT = 5, 16, 4, 85
@@ -67,6 +67,7 @@ def _sketches(width: int, tables: int, half: int):
             yield pa.RecordBatch.from_arrays(
                 [*ids, pa.array([len(s) for s in sets], pa.int64()), pa.array(marks, pa.binary()), pa.array(keys, pa.list_(pa.int64()))], names=[c.split()[0] for c in SKETCH.split(", ")]
             )
+        trim()
 
     return run
 
@@ -77,6 +78,7 @@ def _sets(width: int):
             offs = np.concatenate([[0], np.cumsum([len(s) for s in sets])]).astype(np.int32)
             flat = np.concatenate(sets).view(np.int64) if sets else np.zeros(0, dtype=np.int64)
             yield pa.RecordBatch.from_arrays([*ids, pa.ListArray.from_arrays(pa.array(offs), pa.array(flat))], names=["node", "shingles"])
+        trim()
 
     return run
 

@@ -23,7 +23,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from .shared import Workspace, read
+from .shared import Workspace, read, trim
 from .tokens import encoder, text_slices, vocabulary
 
 TIERS = (256, 512, 1024, 2048)
@@ -139,6 +139,7 @@ def _pack(path: str, end_id: int, tiers: tuple[int, ...]):
         packer.finish()
         if packer.done:
             yield flush()
+        trim()
 
     return run
 

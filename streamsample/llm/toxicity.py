@@ -15,7 +15,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .gru import DIMS, Words, embedded, sigmoid, tables_of, text_logits, train, word_inputs, words_of
-from .shared import read
+from .shared import read, trim
 from .tokens import text_slices
 
 #: Labelled rows that training takes at most, of label 0 and label 1, and the longest text among them.
@@ -84,6 +84,8 @@ def _score(p: dict[str, np.ndarray] | None):
                     s = sigmoid(logit.astype(np.float64))
                 cols = [batch.column(0).slice(a, b - a), batch.column(1).slice(a, b - a), pa.array(s), pa.array((s >= 0.5).astype(np.int32)), pa.array(n.astype(np.int64))]
                 yield pa.RecordBatch.from_arrays(cols, names=[c.split()[0] for c in OUT.split(", ")])
+        del scorer
+        trim()
 
     return run
 
@@ -116,6 +118,8 @@ def drop_toxic(docs: DataFrame, labels: DataFrame, size: tuple[int, int] = SAMPL
             for a, b in text_slices(texts, 1 << 20):
                 keep = tool.logits(texts[a:b])[0] < 0 if scorer is not None else np.ones(b - a, dtype=bool)
                 yield batch.slice(a, b - a).filter(pa.array(keep))
+        del tool
+        trim()
 
     return docs.select(names).mapInArrow(run, docs.schema)
 
