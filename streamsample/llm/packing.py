@@ -24,7 +24,7 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from .shared import Workspace, read, trim
-from .tokens import encoder, text_slices, vocabulary
+from .tokens import encoder, text_parts, vocabulary
 
 TIERS = (256, 512, 1024, 2048)
 STEP_TOKENS = 32768
@@ -126,11 +126,11 @@ def _pack(path: str, end_id: int, tiers: tuple[int, ...]):
             cols = list(zip(*rows, strict=True)) or [[]] * 11
             return pa.RecordBatch.from_arrays([pa.array(c, pa.int32() if k in (7, 8) else pa.int64()) for k, c in enumerate(cols)], names=[c.split()[0] for c in PACKED.split(", ")])
 
+        trim()  # what earlier tasks of this worker held
         for batch in batches:
-            doc_ids, texts = batch.column(0).to_pylist(), [t or "" for t in batch.column(1).to_pylist()]
-            for a, b in text_slices(texts):
+            for a, b, texts in text_parts(batch.column(1)):
                 new = []
-                for doc_id, ids in zip(doc_ids[a:b], tool.encode(texts[a:b]), strict=True):
+                for doc_id, ids in zip(batch.column(0).slice(a, b - a).to_pylist(), tool.encode(texts), strict=True):
                     held[number] = (doc_id, ids + tail)
                     new.append((number, 0, len(ids) // 4 + 1))
                     number += 1

@@ -19,7 +19,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .shared import read
+from .shared import read, trim
+from .tokens import text_parts
 
 #: The kinds in the order that breaks ties.
 KINDS = ("email", "ip", "card", "phone")
@@ -235,8 +236,8 @@ OUT = "doc_id long, n_email long, n_ip long, n_card long, n_phone long, base_sha
 def _find(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for batch in batches:
         counts, sums, spans, added = [], [], [], []
-        for value in batch.column(1):
-            base, every = all_spans(value.as_py() or "")
+        for text in (t for _, _, texts in text_parts(batch.column(1)) for t in texts):
+            base, every = all_spans(text)
             counts.append([sum(k == kind for _, k, _ in base) for kind in range(4)])
             sums.append(hashlib.sha256(said(base).encode()).hexdigest())
             spans.append(said(every))
@@ -259,15 +260,23 @@ def find(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> Dat
 
 def redact(docs: DataFrame, text_col: str = "text") -> DataFrame:
     """``docs``, all its columns and rows, with every span of its texts replaced by its kind. Null texts stay null."""
-
-    @F.udf("string", useArrow=True)
-    def clean(text):
-        if text is None:
-            return None
-        spans = all_spans(text)[1]
-        return redacted(text, spans) if spans else text
-
-    return docs.withColumn(text_col, clean(F.col(text_col)))
+    names = docs.columns
+    spot = names.index(text_col)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        trim()  # what earlier tasks of this worker held
+        for batch in batches:
+            for a, b, texts in text_parts(batch.column(spot)):
+                part, clean = batch.slice(a, b - a), []
+                for text, null in zip(texts, part.column(spot).is_null().to_pylist(), strict=True):
+                    spans = all_spans(text)[1]
+                    clean.append(None if null else redacted(text, spans) if spans else text)
+                columns = part.columns
+                columns[spot] = pa.array(clean, columns[spot].type)
+                yield pa.RecordBatch.from_arrays(columns, schema=batch.schema)
+        trim()
+
+    return docs.select(names).mapInArrow(run, docs.schema)
 
 
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -27,7 +27,7 @@ from pyspark.sql import types as T
 
 from .shared import Workspace, read, trim
 from .shingles import mixed
-from .tokens import encoder, text_slices, vocabulary
+from .tokens import encoder, text_parts, vocabulary
 
 WINDOW, BITS, LEAST, MOST, FAN = 16, 8, 64, 2048, 1024
 #: Bytes of the table of repeated chunks up to which it is broadcast.
@@ -76,9 +76,8 @@ def _first_pass(path: str, end_id: int):
         pack, tool, seen, row = TaskContext.get().partitionId(), encoder(path), set(), 0
         same = lambda n, v, t: pa.array(np.full(n, v), t)
         for batch in batches:
-            texts = [t or "" for t in batch.column(1).to_pylist()]
-            for a, b in text_slices(texts):
-                found = [ids + tail for ids in tool.encode(texts[a:b])]
+            for a, b, texts in text_parts(batch.column(1), 1 << 21):
+                found = [ids + tail for ids in tool.encode(texts)]
                 sizes = np.array([len(x) // 4 for x in found])
                 offsets = np.concatenate([[0], np.cumsum(sizes)])
                 flat = np.frombuffer(b"".join(found), dtype="<u4")

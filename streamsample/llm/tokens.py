@@ -13,6 +13,8 @@ import re
 from array import array
 
 import numpy as np
+import pyarrow as pa
+import pyarrow.compute as pc
 
 from .shingles import piece_hashes, ragged
 
@@ -235,6 +237,19 @@ def text_slices(texts: list[str], limit: int = 1 << 21):
         yield at, len(texts)
 
 
+def text_parts(column: pa.Array, limit: int = 1 << 20):
+    """(from, to, texts) for ranges of a column of about ``limit`` bytes together, a null text empty: only one range at a time is held as Python strings."""
+    if not len(column):
+        return
+    ends = np.cumsum(pc.fill_null(pc.binary_length(column), 0).to_numpy(zero_copy_only=False).astype(np.int64))
+    at = 0
+    while at < len(column):
+        before = int(ends[at - 1]) if at else 0
+        to = max(at + 1, int(np.searchsorted(ends, before + limit, side="right")))
+        yield at, to, [t or "" for t in column.slice(at, to - at).to_pylist()]
+        at = to
+
+
 def vocabulary(name: str = "byte_bpe_50k.json") -> str:
     import public_tokenizers
 

@@ -16,7 +16,7 @@ from pyspark.sql import functions as F
 
 from .gru import DIMS, Words, embedded, sigmoid, tables_of, text_logits, train, word_inputs, words_of
 from .shared import read, trim
-from .tokens import text_slices
+from .tokens import text_parts
 
 #: Labelled rows that training takes at most, of label 0 and label 1, and the longest text among them.
 SAMPLE, LONGEST = (3000, 1500), 20_000
@@ -75,12 +75,11 @@ def _score(p: dict[str, np.ndarray] | None):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         scorer = Scorer(p)
         for batch in batches:
-            texts = [t or "" for t in batch.column(2).to_pylist()]
-            for a, b in text_slices(texts, 1 << 20):
+            for a, b, texts in text_parts(batch.column(2)):
                 if p is None:
                     s, n = np.zeros(b - a), np.zeros(b - a, dtype=np.int64)
                 else:
-                    logit, n = scorer.logits(texts[a:b])
+                    logit, n = scorer.logits(texts)
                     s = sigmoid(logit.astype(np.float64))
                 cols = [batch.column(0).slice(a, b - a), batch.column(1).slice(a, b - a), pa.array(s), pa.array((s >= 0.5).astype(np.int32)), pa.array(n.astype(np.int64))]
                 yield pa.RecordBatch.from_arrays(cols, names=[c.split()[0] for c in OUT.split(", ")])
@@ -114,9 +113,8 @@ def drop_toxic(docs: DataFrame, labels: DataFrame, size: tuple[int, int] = SAMPL
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         tool = Scorer(scorer)
         for batch in batches:
-            texts = [t or "" for t in batch.column(spot).to_pylist()]
-            for a, b in text_slices(texts, 1 << 20):
-                keep = tool.logits(texts[a:b])[0] < 0 if scorer is not None else np.ones(b - a, dtype=bool)
+            for a, b, texts in text_parts(batch.column(spot)):
+                keep = tool.logits(texts)[0] < 0 if scorer is not None else np.ones(b - a, dtype=bool)
                 yield batch.slice(a, b - a).filter(pa.array(keep))
         del tool
         trim()
