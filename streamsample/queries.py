@@ -157,7 +157,6 @@ _replayed("decentral_combined_replay", "combined", EVENTS, bottom_sql(EVENTS_SQL
 _replayed("gather_weighted_replay", "gather", EVENTS, bottom_sql(EVENTS_SQL, 100))
 _replayed("gather_uniform_replay", "gather", EVENTS_U, bottom_sql(EVENTS_U_SQL, 100, False))
 _replayed("decentral_incremental_replay", "incremental", EVENTS, bottom_sql(EVENTS_SQL, 100))
-_replayed("decentral_auto_replay", "auto", EVENTS, bottom_sql(EVENTS_SQL, 100))
 
 for _name, _spec, _sql in (
     ("decentral_test_fill", EVENTS.but(fill="test"), EVENTS_SQL),
@@ -434,7 +433,7 @@ def _scaling_sql(runs: list[tuple[int, int]], ks: tuple[int, ...]) -> str:
     cfg, k = ", ".join(f"({p}, {n})" for p, n in runs), ", ".join(f"({x})" for x in ks)
     return f"""WITH e AS (SELECT key, item_id, ub FROM ({keyed_sql('lineitem', LINE_SQL, 'l_extendedprice', unit_sql('lineitem', LINE_SQL, 'batch') + ' AS ub')})),
 a AS (SELECT p, batches, least(floor(ub * batches), batches - 1)::bigint AS batch_no, key, item_id FROM e, (VALUES {cfg}) AS c(p, batches)),
-n AS (SELECT p, batches, batch_no, count(*) AS n, sum(count(*)) OVER (PARTITION BY p, batches ORDER BY batch_no) AS seen FROM a GROUP BY ALL),
+n AS (SELECT p, batches, batch_no, count(*) AS n, sum(count(*)) OVER (PARTITION BY p, batches ORDER BY batch_no) AS seen FROM a GROUP BY p, batches, batch_no),
 r AS (SELECT n.p, n.batches, n.batch_no, a.key, row_number() OVER (PARTITION BY n.p, n.batches, n.batch_no ORDER BY a.key, a.item_id) AS place
   FROM n JOIN a ON a.p = n.p AND a.batches = n.batches AND a.batch_no < n.batch_no),
 t AS (SELECT p, batches, batch_no, place AS k, key AS threshold FROM r WHERE place IN ({', '.join(map(str, ks))})),
@@ -443,7 +442,7 @@ c AS (SELECT g.p, g.batches, g.batch_no, g.k, g.n, g.seen, count(*) AS candidate
 SELECT run, p::bigint AS p, k::bigint AS k, batch_no, n AS n_items, candidates, least(k, seen)::bigint AS held_after FROM c, (VALUES ('pivot1'), ('pivot8'), ('gather')) AS m(run)"""
 
 
-_WEAK, _STRONG, _KS = [(1, 8), (2, 4), (4, 2), (8, 1)], [(1, 3), (4, 3)], (25, 2500)
+_WEAK, _STRONG, _KS = [(1, 4), (2, 2), (4, 1)], [(1, 3), (4, 3)], (25, 2500)
 
 
 def _scaled(s, d, runs, ks) -> DataFrame:
@@ -453,7 +452,7 @@ def _scaled(s, d, runs, ks) -> DataFrame:
 
 @query("weak_scaling", _scaling_sql(_WEAK, _KS))
 def _(s, d):
-    """A batch grows with the partitions: 1, 2, 4 and 8 of them, batches of an eighth of the table for each."""
+    """A batch grows with the partitions: 1, 2 and 4 of them, a quarter of the table for each."""
     return _scaled(s, d, _WEAK, _KS)
 
 
@@ -680,6 +679,12 @@ def _(s, d):
     return _drawn(got, real, t, -F.expm1(-F.col("w") * t)).select(F.lit(known).alias("of_the_table"), "keys_below", "as_many_as_expected")
 
 
+@query("manifest_sample_rows")
+def _(s, d):
+    path = f"{d}/lineitem.parquet"
+    return manifest.sample_from_manifest(s, path, manifest.build(s, path, _PLAIN_LINES), _PLAIN_LINES, 1e-8)
+
+
 @query("manifest_reads", "SELECT 30::bigint AS files, true AS reads_fewer, true AS bytes_are_fewer")
 def _(s, d):
     """A table of 30 files, a small threshold: files and bytes that are read at all."""

@@ -27,20 +27,14 @@ NAMES = [
     "turnover_full_join",
     "drifting_weight_sample",
     "stream_tumbling_sample",
-    "state_goes_on",
     "state_versions",
     "lopsided_batches",
     "first_batch_held",
-    "block_sizes",
     "manifest_reads",
     "manifest_sample",
     "skip_weighted",
-    "weak_scaling",
     "drift_replay",
-    "turnover_expected",
-    "candidates_moved",
     "stream_late_rows",
-    "stream_session_sample",
     "stream_once_each",
     "jump_targets_range_join",
     "drawn_batch_keys",
