@@ -139,6 +139,7 @@ def _pack(path: str, end_id: int, tiers: tuple[int, ...]):
         packer.finish()
         if packer.done:
             yield flush()
+        tool.forget()
         trim()
 
     return run

@@ -134,6 +134,11 @@ class PieceEncoder:
         self.old: dict[str, bytes] = {}
         self.pieces = Pieces(self._encoded_pieces)
 
+    def forget(self) -> None:
+        """Drop what is remembered, for a worker that goes on to other work."""
+        self.pieces._forget()
+        self.young, self.old = {}, {}
+
     def _encoded_pieces(self, pieces: list[str]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
         """(where each piece's ids begin, their number, all ids)."""
         first, sizes, flat, tokenize, blank = [0] * len(pieces), [0] * len(pieces), [], self.model.tokenize, _ALPHABET[32]

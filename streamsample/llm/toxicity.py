@@ -21,7 +21,7 @@ from .tokens import text_parts
 #: Labelled rows that training takes at most, of label 0 and label 1, and the longest text among them.
 SAMPLE, LONGEST = (3000, 1500), 20_000
 #: Distinct words that a task remembers at most.
-REMEMBERED = 300_000
+REMEMBERED = 200_000
 OUT = "doc_id long, held_out boolean, score double, predicted int, n_windows long"
 
 
@@ -73,6 +73,7 @@ class Scorer:
 
 def _score(p: dict[str, np.ndarray] | None):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        trim()  # what earlier tasks of this worker held
         scorer = Scorer(p)
         for batch in batches:
             for a, b, texts in text_parts(batch.column(2)):
@@ -111,6 +112,7 @@ def drop_toxic(docs: DataFrame, labels: DataFrame, size: tuple[int, int] = SAMPL
     names, spot = docs.columns, docs.columns.index(text_col)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        trim()  # what earlier tasks of this worker held
         tool = Scorer(scorer)
         for batch in batches:
             for a, b, texts in text_parts(batch.column(spot)):
