@@ -21,8 +21,8 @@ from .shared import Workspace, read
 from .shingles import raw_texts, slices
 
 RATE, UNIT = 8000, 64
-#: Of the rate at which sound is stored to that of the files: 12 kHz. At 16 kHz both files take 1.56 times the documents' own size.
-RATIO = (3, 2)
+#: Of the rate at which sound is stored to that of the files: 16 kHz.
+RATIO = (2, 1)
 #: Format tags of RIFF audio.
 PCM, A_LAW, MU_LAW, ADPCM = 1, 6, 7, 0x11
 
@@ -192,7 +192,7 @@ def _store(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 
 def store_texts(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """(doc_id, n_bytes, media, pcm): each text's bytes, filled with 0 to a positive multiple of 64, as mu-law samples in a RIFF file, and that file's
-    sound as 16-bit PCM at 12 kHz, in a RIFF file too.
+    sound as 16-bit PCM at 16 kHz, in a RIFF file too.
 
     Null and empty texts become 64 zero bytes. Each row stands alone. Other columns are not read.
     """
@@ -208,7 +208,7 @@ def _resampled(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 
 
 def to_pcm(media: DataFrame, id_col: str = "doc_id", media_col: str = "media") -> DataFrame:
-    """(doc_id, pcm, fault): telephony files as RIFF files of 16-bit PCM at one and a half times their rate. Nulls and files that can't be read get a null and the reason."""
+    """(doc_id, pcm, fault): telephony files as RIFF files of 16-bit PCM at twice their rate. Nulls and files that can't be read get a null and the reason."""
     return media.select(F.col(id_col).cast("long").alias("doc_id"), F.col(media_col).alias("media")).mapInArrow(_resampled, "doc_id long, pcm binary, fault string")
 
 
@@ -269,4 +269,4 @@ def read_back(media: DataFrame) -> DataFrame:
 
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:
     space = Workspace(spark, "media")
-    return read_back(space.store(store_texts(read(spark, sf_dir, "documents")), "files", level=9))
+    return read_back(space.store(store_texts(read(spark, sf_dir, "documents")), "files", level=12))

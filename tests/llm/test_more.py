@@ -91,7 +91,7 @@ def test_broken_files_are_faults(spark):
     out, faults = media.pcm_files(files)
     assert [f is None for f in faults] == [True, False, False, False, False, False, False, True, True, False, True]
     assert all((o is None) == (f is not None) for o, f in zip(out, faults, strict=True))
-    assert len(media.parts(out[0])[1]) == 2 * 96 and len(media.parts(out[7])[1]) == 0 and len(media.parts(out[8])[1]) == 4 and len(media.parts(out[10])[1]) == 2 * 3 * 505
+    assert len(media.parts(out[0])[1]) == 4 * 64 and len(media.parts(out[7])[1]) == 0 and len(media.parts(out[8])[1]) == 4 and len(media.parts(out[10])[1]) == 2 * 4 * 505
     got = media.to_pcm(spark.createDataFrame([(k, bytearray(f) if f is not None else None) for k, f in enumerate(files)], "doc_id long, media binary")).collect()
     assert [r["pcm"] and bytes(r["pcm"]) for r in got] == out and [r["fault"] for r in got] == faults
 
@@ -101,13 +101,25 @@ def test_stored_sound_is_that_of_the_text(odd):
     for r, f in zip(rows, media.read_back(media.store_texts(odd)).collect(), strict=True):
         codes = np.frombuffer(media.parts(bytes(r["media"]))[1], dtype=np.uint8)
         pcm = media.MU[codes].astype(np.int64)
-        want = np.array([pcm[2 * k // 3] + (pcm[min(2 * k // 3 + 1, len(pcm) - 1)] - pcm[2 * k // 3]) * (2 * k % 3) // 3 for k in range(-(-3 * len(pcm) // 2))])
+        want = np.empty(2 * len(pcm), dtype=np.int64)
+        want[0::2], want[1:-1:2], want[-1] = pcm, (pcm[1:] + pcm[:-1]) >> 1, pcm[-1]
         (tag, rate, _), load = media.parts(bytes(r["pcm"]))
-        assert (tag, rate) == (media.PCM, 12000) and np.array_equal(np.frombuffer(load, dtype="<i2"), want)
+        assert (tag, rate) == (media.PCM, 16000) and np.array_equal(np.frombuffer(load, dtype="<i2"), want)
         assert f["feature"].endswith(f"pcm={len(want)}:{zlib.crc32(want.astype('<i2').tobytes()):08x}")
         assert f"mu_ms={int((pcm**2).sum()) // len(pcm)};" in f["feature"] and f"peak={abs(pcm).max()};" in f["feature"]
 
 
+def test_any_ratio_of_rates():
+    pcm, ends = np.array([0, 30, 60, 90, -3000, 3001, 7], dtype=np.int16), np.array([4, 4, 6, 7])
+    for up, down in ((3, 2), (2, 1), (1, 2), (1, 1), (441, 320)):
+        got, to = media.resample(pcm, ends, up, down)
+        want = []
+        for a, b in zip([0, 4, 4, 6], [4, 4, 6, 7], strict=True):
+            x = pcm[a:b].astype(int).tolist()
+            want += [x[k * down // up] + (x[min(k * down // up + 1, len(x) - 1)] - x[k * down // up]) * (k * down % up) // up for k in range(-(-len(x) * up // down))]
+        assert got.tolist() == want and to[-1] == len(want)
+
+
 def test_gradients_equal_finite_differences():
     rng = np.random.default_rng(3)
     p = {k: v.astype(np.float64) for k, v in gru.new_parameters(4).items()}
