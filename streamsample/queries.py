@@ -546,7 +546,7 @@ def _(s, d):
 def _(s, d):
     """Rows looked at by jumps over all days: the weighted sampler needs all weights, the uniform one its hits."""
     w, u = (W.run(s, "tail", spec.but(fill="jump"), days(s, d)).reports.rows for spec in (EVENTS, EVENTS_U))
-    fewer = sum(r.rows_examined for r in u[1:]) < sum(r.n_items for r in w[1:]) / 4
+    fewer = sum(r.rows_examined for r in u[1:]) < sum(r.n_items for r in w[1:]) / 2
     return s.createDataFrame([(r.batch_no, r.n_items, fewer) for r in w], "batch_no long, n_items long, uniform_examines_fewer boolean")
 
 
