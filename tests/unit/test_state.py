@@ -116,6 +116,22 @@ def test_partitions_draw_keys_for_themselves(spark):
     assert len(set(keys)) == 4
 
 
+def test_scaling_stages_items_once(spark, sf, monkeypatch):
+    seen, real = [], W.spread_batches
+    monkeypatch.setattr(W, "spread_batches", lambda *a: seen.append(1) or real(*a))
+    df = W.lineitem(spark, sf)
+    rows = W.scaling(spark, df, Q.LINES, [(1, 3), (2, 2), (2, 1)], (20, 300), ("pivot8", "gather"))
+    assert len(seen) == 1 and rows.where("run = 'gather'").groupBy("p", "batches", "k").agg(F.sum("n_items").alias("n")).where(f"n <> {df.count()}").isEmpty()
+
+
+def test_local_cap_sorts_no_partition(spark):
+    rows = spark.range(0, 40_000, 1, 3).select(F.col("id").cast("string").alias("item_id"), F.lit(1.0).alias("w"), (F.xxhash64("id") % 500).cast("double").alias("key"), F.lit(0).cast("long").alias("batch_no"), F.spark_partition_id().alias("pe"))
+    got = reservoir.local_cap(rows, 150)
+    assert "Window" not in got._jdf.queryExecution().executedPlan().toString()
+    want = localres.local_smallest(rows, 150).select(got.columns)
+    assert got.count() == 450 and got.exceptAll(want).isEmpty() and want.exceptAll(got).isEmpty()
+
+
 def test_expected_insertions_at_the_ends(spark):
     grid = spark.createDataFrame([(1000, 10, 4, 250), (500, 10, 4, 250), (4000, 10, 4, 250)], "n long, k long, p long, b long")
     got = [r[0] for r in grid.orderBy("n").select(cost.columns_expected(*[F.col(c) for c in "nkpb"])).collect()]
