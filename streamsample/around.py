@@ -270,7 +270,7 @@ def _(s, d):
     twice = read(s, d, "events").select("event_id", "ts")
     twice.union(twice).write.parquet(path)
     again = s.readStream.schema(twice.schema).parquet(path)
-    rows = stream.to_memory(stream.without_repeats(again, ["event_id"], "40 days"), "events_once")
+    rows = stream.to_files(stream.without_repeats(again, ["event_id"], "40 days"))
     return rows.agg(F.count(F.lit(1)).alias("n"), F.count_distinct("event_id").alias("ids"))
 
 

@@ -4,6 +4,7 @@ from __future__ import annotations
 
 
 from collections.abc import Callable, Iterator
+from contextlib import contextmanager
 
 import pandas as pd
 from pyspark.sql import Column, DataFrame, Observation, SparkSession, Window
@@ -113,6 +114,33 @@ def to_memory(frame: DataFrame, name: str, mode: str = "append") -> DataFrame:
     return frame.sparkSession.table(name)
 
 
+@contextmanager
+def state_on_disk(spark: SparkSession) -> Iterator[None]:
+    """Streams started within keep their state in RocksDB: on the disks of the executors, in bounded memory outside the heap."""
+    head = "spark.sql.streaming.stateStore."
+    new = {
+        f"{head}providerClass": "org.apache.spark.sql.execution.streaming.state.RocksDBStateStoreProvider",
+        f"{head}rocksdb.boundedMemoryUsage": "true",
+        f"{head}rocksdb.maxMemoryUsageMB": "200",
+    }
+    old = {name: spark.conf.get(name, None) for name in new}
+    for name, value in new.items():
+        spark.conf.set(name, value)
+    try:
+        yield
+    finally:
+        for name, value in old.items():
+            spark.conf.unset(name) if value is None else spark.conf.set(name, value)
+
+
+def to_files(frame: DataFrame) -> DataFrame:
+    """What a streaming frame appends until it has read all there is, as files: for results and state of any size."""
+    spark, out = frame.sparkSession, storage(frame.sparkSession)
+    with state_on_disk(spark):
+        frame.writeStream.format("parquet").option("path", out).option("checkpointLocation", storage(spark)).trigger(availableNow=True).start().awaitTermination()
+    return spark.read.schema(frame.schema).parquet(out)
+
+
 def event_time(stream: DataFrame, lateness: str) -> DataFrame:
     return stream.withColumn("ts", F.col("ts").cast("timestamp")).withWatermark("ts", lateness)
 

@@ -13,6 +13,7 @@ from streamsample.plans import cost
 from streamsample.plans import workloads as W
 from streamsample.plans.batches import DAY, items, keyed, replay, valid
 from streamsample.sources import manifest
+from streamsample import around  # noqa: F401  registers its queries
 from streamsample.streaming import stream
 
 
@@ -132,6 +133,12 @@ def test_local_cap_sorts_no_partition(spark):
     assert got.count() == 450 and got.exceptAll(want).isEmpty() and want.exceptAll(got).isEmpty()
 
 
+def test_rows_once_each_are_not_held_in_memory(spark, sf):
+    got = Q.QUERIES["stream_once_each"](spark, sf)
+    assert not spark.catalog.tableExists("events_once") and got.first()["n"] == spark.read.parquet(f"{sf}/events.parquet").count()
+    assert "RocksDB" not in spark.conf.get("spark.sql.streaming.stateStore.providerClass")
+
+
 def test_expected_insertions_at_the_ends(spark):
     grid = spark.createDataFrame([(1000, 10, 4, 250), (500, 10, 4, 250), (4000, 10, 4, 250)], "n long, k long, p long, b long")
     got = [r[0] for r in grid.orderBy("n").select(cost.columns_expected(*[F.col(c) for c in "nkpb"])).collect()]
