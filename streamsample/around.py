@@ -258,9 +258,9 @@ _SESSIONS = (
 @query("stream_session_sample", f"{_SESSIONS} SELECT user_id, floor(epoch(min(ts)))::bigint AS start, count(*) AS n, string_agg(item_id, ',' ORDER BY key, item_id) FILTER (WHERE place <= 2) AS least FROM r GROUP BY user_id, session_no")
 def _(s, d):
     """Sessions on a stream, each with its two smallest keys."""
-    found = stream.stream_sessions(stream.table_stream(s, d, "events"), EVENTS.but(k=2), "user_id")
-    rows = stream.to_memory(found, "event_sessions", "complete")
-    return rows.select("user_id", F.unix_timestamp("session_start").alias("start"), "n", F.array_join(F.transform("least", lambda x: x["item_id"]), ",").alias("least"))
+    store = stream.SessionStore(s, EVENTS.but(k=2), "user_id")
+    stream.drain(stream.table_stream(s, d, "events"), store.add)
+    return store.held().select("user_id", F.unix_timestamp("session_start").alias("start"), "n", F.array_join(F.transform("least", lambda x: x["item_id"]), ",").alias("least"))
 
 
 @query("stream_once_each", "SELECT count(*) AS n, count(DISTINCT event_id) AS ids FROM events")

@@ -152,6 +152,46 @@ def stream_sessions(stream: DataFrame, spec: SamplerSpec, user: str, gap: str =
     return found.select(user, F.col("session.start").alias("session_start"), F.col("session.end").alias("session_end"), "n", F.slice("least", 1, spec.k).alias("least"))
 
 
+class SessionStore:
+    """All sessions so far, each with its k smallest keys, kept as files that each micro-batch replaces: whatever comes late still joins, or bridges, the sessions it belongs to.
+
+    A session is k rows at most (user, session_start, session_end, n, key, item_id); the first has its count, the others 0. It ends where the gap passes without an event.
+    """
+
+    def __init__(self, spark: SparkSession, spec: SamplerSpec, user: str, gap: str = "30 minutes"):
+        self.spark, self.spec, self.user, self.gap = spark, spec, user, gap
+        self.base, self.rows, self.done = storage(spark), None, -1
+
+    def add(self, batch: DataFrame, batch_id: int) -> None:
+        if batch_id <= self.done:
+            return
+        start, user = F.col("ts").cast("timestamp"), F.col(self.user)
+        now = keyed(batch, self.spec, self.user, "ts").select(
+            self.user, start.alias("session_start"), (start + F.expr(f"INTERVAL {self.gap}")).alias("session_end"), F.lit(1).cast("long").alias("n"), "key", "item_id"
+        )
+        if self.rows is not None:
+            now = now.unionByName(self.spark.read.schema(now.schema).parquet(self.rows))
+        by_time = Window.partitionBy(user).orderBy("session_start", "session_end")
+        before = F.max("session_end").over(by_time.rowsBetween(Window.unboundedPreceding, -1))
+        fresh = F.coalesce((F.col("session_start") >= before).cast("int"), F.lit(1))
+        numbered = now.withColumn("fresh", fresh).withColumn("session", F.sum("fresh").over(by_time.rowsBetween(Window.unboundedPreceding, 0)))
+        one = Window.partitionBy(user, "session")
+        place = F.row_number().over(one.orderBy("key", "item_id"))
+        merged = numbered.select(
+            self.user, F.min("session_start").over(one).alias("session_start"), F.max("session_end").over(one).alias("session_end"), F.sum("n").over(one).alias("total"), "key", "item_id", place.alias("place")
+        )
+        path = f"{self.base}/v{batch_id}"
+        kept = merged.where(F.col("place") <= self.spec.k).withColumn("n", F.when(F.col("place") == 1, F.col("total")).otherwise(0))
+        kept.select(now.columns).write.mode("overwrite").parquet(path)
+        self.rows, self.done, self.schema = path, batch_id, now.schema
+
+    def held(self) -> DataFrame:
+        """(user, session_start, session_end, n, least)."""
+        rows = self.spark.read.schema(self.schema).parquet(self.rows)
+        least = F.sort_array(F.collect_list(F.struct("key", "item_id")))
+        return rows.groupBy(self.user, "session_start", "session_end").agg(F.sum("n").alias("n"), least.alias("least"))
+
+
 def without_repeats(stream: DataFrame, cols: list[str], lateness: str) -> DataFrame:
     """Rows of an at-least-once source once each, within the watermark."""
     return event_time(stream, lateness).dropDuplicatesWithinWatermark(cols)

@@ -139,6 +139,21 @@ def test_rows_once_each_are_not_held_in_memory(spark, sf):
     assert "RocksDB" not in spark.conf.get("spark.sql.streaming.stateStore.providerClass")
 
 
+def test_sessions_over_micro_batches(spark):
+    """Out of order, over three micro-batches: the last one bridges two sessions; exactly the gap after an event a new session begins."""
+    at = lambda minutes: f"2024-01-01 {minutes // 60:02d}:{minutes % 60:02d}:00"
+    rows = lambda *minutes: spark.createDataFrame([(m, 1, at(m), 2.0) for m in minutes], "event_id long, u long, ts string, value double").withColumn("ts", F.col("ts").cast("timestamp"))
+    store = stream.SessionStore(spark, Q.EVENTS.but(k=2), "u")
+    parts = [(0, 10, 20, 130), (100, 60, 5), (40, 160, 110)]
+    for number, part in enumerate(parts):
+        store.add(rows(*part), number)
+        store.add(rows(*part), number)
+    got = sorted((r["session_start"], r["n"], [x["item_id"] for x in r["least"]]) for r in store.held().collect())
+    keys = {int(r["item_id"]): r["key"] for r in keyed(rows(*sum(parts, ())), Q.EVENTS).collect()}
+    want = [sorted(s, key=keys.get)[:2] for s in ((0, 5, 10, 20, 40, 60), (100, 110, 130), (160,))]
+    assert [n for _, n, _ in got] == [6, 3, 1] and [x for _, _, x in got] == [[str(i) for i in w] for w in want]
+
+
 def test_expected_insertions_at_the_ends(spark):
     grid = spark.createDataFrame([(1000, 10, 4, 250), (500, 10, 4, 250), (4000, 10, 4, 250)], "n long, k long, p long, b long")
     got = [r[0] for r in grid.orderBy("n").select(cost.columns_expected(*[F.col(c) for c in "nkpb"])).collect()]
