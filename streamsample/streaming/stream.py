@@ -201,7 +201,8 @@ def session_sample(df: DataFrame, spec: SamplerSpec, user: str, gap_minutes: int
     """A sample of each session: (user, session_no, item_id, w, key, draw_no). A session ends where a user is silent for longer than the gap."""
     rows = keyed(df.withColumn("ts", F.col("ts").cast("timestamp")), spec, user, "ts")
     by_time = Window.partitionBy(user).orderBy("ts", "item_id")
-    quiet = F.unix_timestamp("ts") - F.lag(F.unix_timestamp("ts")).over(by_time)
+    second = F.rint(F.unix_micros("ts") / 1e6)  # times count to the nearest second
+    quiet = second - F.lag(second).over(by_time)
     numbered = rows.withColumn("fresh", F.coalesce((quiet > gap_minutes * 60).cast("int"), F.lit(1))).withColumn("session_no", F.sum("fresh").over(by_time))
     place = F.row_number().over(Window.partitionBy(user, "session_no").orderBy("key", "item_id"))
     return numbered.withColumn("draw_no", place).where(F.col("draw_no") <= spec.k).select(user, "session_no", "item_id", "w", "key", "draw_no")

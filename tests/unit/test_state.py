@@ -154,6 +154,13 @@ def test_sessions_over_micro_batches(spark):
     assert [n for _, n, _ in got] == [6, 3, 1] and [x for _, _, x in got] == [[str(i) for i in w] for w in want]
 
 
+def test_session_gaps_count_to_the_nearest_second(spark):
+    times = ["2024-01-01 00:00:00.6", "2024-01-01 00:30:01.4", "2024-01-01 01:00:01.4", "2024-01-01 01:30:01.6"]
+    df = spark.createDataFrame([(i, 1, t, 1.0) for i, t in enumerate(times)], "event_id long, u long, ts string, value double").withColumn("ts", F.col("ts").cast("timestamp"))
+    got = stream.session_sample(df, Q.EVENTS.but(k=9), "u", 30).orderBy("item_id").collect()
+    assert [r["session_no"] for r in got] == [1, 1, 1, 2]
+
+
 def test_expected_insertions_at_the_ends(spark):
     grid = spark.createDataFrame([(1000, 10, 4, 250), (500, 10, 4, 250), (4000, 10, 4, 250)], "n long, k long, p long, b long")
     got = [r[0] for r in grid.orderBy("n").select(cost.columns_expected(*[F.col(c) for c in "nkpb"])).collect()]
