@@ -11,6 +11,8 @@ from streamsample.plans.batches import DAY, replay
 from streamsample import around  # noqa: F401  registers its queries
 from streamsample.queries import EVENTS, ORACLES, QUERIES
 
+#: Formulas over figures that the tables give.
+MEASURES = ["collective_cost", "max_insertions_bound", "monitoring_messages", "predict_cost"]
 NAMES = [
     "uniform_bottom_k",
     "weighted_bottom_k_exp",
@@ -39,6 +41,7 @@ NAMES = [
     "jump_targets_range_join",
     "drawn_batch_keys",
     "benchmark_anti_join",
+    *MEASURES,
 ]
 
 
@@ -58,6 +61,15 @@ def test_query_equals_its_sql(spark, sf, name):
     assert rows[0] == rows[1]
 
 
+@pytest.mark.parametrize("name", [*MEASURES, "expected_insertions"])
+def test_measures_read_a_table(spark, sf, name, tmp_path):
+    """Half the rows give other figures."""
+    for table, key in (("lineitem", "l_orderkey"), ("events", "event_id")):
+        spark.read.parquet(f"{sf}/{table}.parquet").where(f"{key} % 4 < 2").write.parquet(f"{tmp_path}/{table}.parquet")
+    half, whole = (sorted(map(str, QUERIES[name](spark, d).collect())) for d in (str(tmp_path), sf))
+    assert half != whole
+
+
 def test_every_oracle_has_a_query():
     assert set(ORACLES) <= set(QUERIES) and len(QUERIES) > 80
 
