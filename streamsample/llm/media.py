@@ -11,6 +11,7 @@ import hashlib
 import struct
 import zlib
 from collections.abc import Iterator
+from functools import partial
 
 import numpy as np
 import pyarrow as pa
@@ -180,23 +181,49 @@ def pcm_files(files: list[bytes | None], ratio: tuple[int, int] = RATIO) -> tupl
     return out, faults
 
 
-def _store(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+def _between(even: np.ndarray, n: int) -> np.ndarray:
+    """The means, rounded down, of the first n of these samples and the ones after them; the last one is held."""
+    after = np.append(even[1:], even[-1:])[:n]
+    return even[:n].astype(np.int32) + after >> 1
+
+
+def pack(file: bytes) -> bytes:
+    """A file of 16-bit PCM without loss: its head, every other sample, and by how much those between differ from the means of their neighbours."""
+    at = len(file) - len(parts(file)[1])
+    pcm = np.frombuffer(file, dtype="<i2", offset=at)
+    even, odd = pcm[0::2], pcm[1::2]
+    return file[:at] + even.tobytes() + (odd - _between(even, len(odd))).astype("<i2").tobytes()
+
+
+def unpack(packed: bytes) -> bytes:
+    """The file that ``pack`` was given."""
+    at = len(packed) - len(parts(packed)[1])
+    load = np.frombuffer(packed, dtype="<i2", offset=at)
+    pcm, n = np.empty_like(load), len(load) // 2
+    pcm[0::2] = load[: len(load) - n]
+    pcm[1::2] = (_between(pcm[0::2], n) + load[len(load) - n :]).astype("<i2")
+    return packed[:at] + pcm.tobytes()
+
+
+def _store(batches: Iterator[pa.RecordBatch], packed: bool = False) -> Iterator[pa.RecordBatch]:
     for batch in batches:
         data, offsets = raw_texts(batch.column(1))
         for a, b in slices(offsets):
             raw = [data[offsets[k] : offsets[k + 1]].tobytes() for k in range(a, b)]
             media = [riff(x + b"\0" * (max(UNIT, -(-len(x) // UNIT) * UNIT) - len(x))) for x in raw]
-            cols = [batch.column(0).slice(a, b - a), pa.array([len(x) for x in raw], pa.int64()), pa.array(media, pa.binary()), pa.array(pcm_files(media)[0], pa.binary())]
+            sound = pcm_files(media)[0]
+            sound = [pack(x) for x in sound] if packed else sound
+            cols = [batch.column(0).slice(a, b - a), pa.array([len(x) for x in raw], pa.int64()), pa.array(media, pa.binary()), pa.array(sound, pa.binary())]
             yield pa.RecordBatch.from_arrays(cols, names=["doc_id", "n_bytes", "media", "pcm"])
 
 
-def store_texts(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+def store_texts(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", packed: bool = False) -> DataFrame:
     """(doc_id, n_bytes, media, pcm): each text's bytes, filled with 0 to a positive multiple of 64, as mu-law samples in a RIFF file, and that file's
-    sound as 16-bit PCM at 16 kHz, in a RIFF file too.
+    sound as 16-bit PCM at 16 kHz, in a RIFF file too; ``packed``: by ``pack``, for stores whose codec then finds little in what was interpolated.
 
     Null and empty texts become 64 zero bytes. Each row stands alone. Other columns are not read.
     """
-    return docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text")).mapInArrow(_store, "doc_id long, n_bytes long, media binary, pcm binary")
+    return docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text")).mapInArrow(partial(_store, packed=packed), "doc_id long, n_bytes long, media binary, pcm binary")
 
 
 def _resampled(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -215,7 +242,7 @@ def to_pcm(media: DataFrame, id_col: str = "doc_id", media_col: str = "media") -
 READ = "doc_id long, n_bytes long, payload_bytes long, payload_sha256 string, tail_crc32 long, media_bytes long, media_sha256 string, feature string"
 
 
-def _features(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+def _features(batches: Iterator[pa.RecordBatch], packed: bool = False) -> Iterator[pa.RecordBatch]:
     """Several files a pass: their payloads, all of whole units, are laid end to end."""
     for batch in batches:
         data, offsets = raw_texts_of_binary(batch.column(2))
@@ -226,7 +253,8 @@ def _features(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             ends = np.cumsum(sizes)
             flat = np.frombuffer(b"".join(loads), dtype=np.uint8)
             mu, al = MU[flat], A[flat]
-            sound = [parts(batch.column(3)[k].as_py())[1] for k in range(a, b)]
+            stored = batch.column(3).slice(a, b - a).to_pylist()
+            sound = [parts(unpack(x) if packed else x)[1] for x in stored]
             coded = decode_adpcm(flat.reshape(-1, UNIT))
             at, per = ends - sizes, (ends - sizes) // UNIT
             power = lambda x, where: np.add.reduceat(x.astype(np.int64) ** 2, where)
@@ -262,11 +290,11 @@ def raw_texts_of_binary(column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
     return flat[offs[0] : offs[-1]], offs - offs[0]
 
 
-def read_back(media: DataFrame) -> DataFrame:
+def read_back(media: DataFrame, packed: bool = False) -> DataFrame:
     """Sums and features of stored texts (doc_id, n_bytes, media, pcm), from the stored bytes of both files. All figures are whole numbers."""
-    return media.select("doc_id", "n_bytes", "media", "pcm").mapInArrow(_features, READ)
+    return media.select("doc_id", "n_bytes", "media", "pcm").mapInArrow(partial(_features, packed=packed), READ)
 
 
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:
     space = Workspace(spark, "media")
-    return read_back(space.store(store_texts(read(spark, sf_dir, "documents")), "files", level=12))
+    return read_back(space.store(store_texts(read(spark, sf_dir, "documents"), packed=True), "files", level=12), packed=True)

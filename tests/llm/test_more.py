@@ -305,3 +305,16 @@ def test_latin_pieces_equal_the_library(monkeypatch):
     monkeypatch.setattr(tokens, "REMEMBERED", 50)
     assert [x for k in range(0, 600, 20) for x in tool.encode(made[k : k + 20])] == want[:600]
     assert tool.encode([]) == [] and tool.encode(["", " ", "\n"]) == [np.array(e.ids, "<u4").tobytes() for e in tool.tokenizer.encode_batch(["", " ", "\n"], add_special_tokens=False)]
+
+
+def test_packed_sound_comes_back(spark):
+    """Any PCM comes back byte by byte; of interpolated sound, what lies between packs to zeros; figures are those of plain files."""
+    rng = np.random.default_rng(3)
+    for n in (0, 1, 2, 3, 64, 1001):
+        file = media.riff(rng.integers(-32768, 32768, n).astype("<i2").tobytes(), media.PCM, 16000, 2, 16)
+        assert media.unpack(media.pack(file)) == file
+    sound = media.pcm_files([media.riff(rng.bytes(640))])[0][0]
+    assert media.pack(sound)[-1280:] == bytes(1280) and media.unpack(media.pack(sound)) == sound
+    docs = spark.createDataFrame([(1, "some text " * 40), (2, ""), (3, None), (4, "\u00e9t\u00e9")], "doc_id long, text string")
+    plain, packed = (sorted(map(tuple, media.read_back(media.store_texts(docs, packed=p), packed=p).collect())) for p in (False, True))
+    assert plain == packed
