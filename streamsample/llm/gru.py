@@ -120,6 +120,12 @@ def embedded(p: dict[str, np.ndarray], own: np.ndarray, flat: np.ndarray, sizes:
     return x
 
 
+def all_inputs(words: list[str], block: int = 20_000) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """``word_inputs`` in blocks of words, so that only the buckets of all of them are held at once."""
+    parts = [word_inputs(words[k : k + block]) for k in range(0, len(words), block)]
+    return tuple(np.concatenate(x) for x in zip(*parts, strict=True))
+
+
 def embedded_all(p: dict[str, np.ndarray], own: np.ndarray, flat: np.ndarray, sizes: np.ndarray, block: int = 20_000) -> np.ndarray:
     """The same in blocks of words, word 0 blank."""
     ends = np.cumsum(sizes)
@@ -209,22 +215,32 @@ def tables_of(p: dict[str, np.ndarray], x: np.ndarray) -> dict[str, np.ndarray]:
     return {d: t.astype(np.float32) for d, t in out.items()}
 
 
-def windows(doc_ids: list[np.ndarray]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """(ids, mask, document number) of all windows of some texts."""
-    flat = np.concatenate([*doc_ids, np.zeros(1, dtype=np.int64)])
+def windows(doc_ids: list[np.ndarray], block: int = 4096) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(ids, mask, document number) of all windows of some texts. Places are worked out for ``block`` windows at a time."""
+    flat = np.concatenate([*doc_ids, np.zeros(1, dtype=np.int64)], dtype=np.int32, casting="same_kind")
     sizes = np.array([len(x) for x in doc_ids])
     begins = [starts(n) for n in sizes.tolist()]
     doc = np.repeat(np.arange(len(doc_ids)), [len(b) for b in begins])
-    within = np.concatenate(begins).astype(np.int64)[:, None] + np.arange(SPAN)
-    mask = within < sizes[doc][:, None]
-    at = (np.cumsum(sizes) - sizes)[doc][:, None] + within
-    return np.where(mask, flat[np.minimum(at, len(flat) - 1)], 0).astype(np.int32), mask.astype(np.float32), doc
+    begin, before = np.concatenate(begins).astype(np.int64), np.cumsum(sizes) - sizes
+    ids, mask = np.zeros((len(doc), SPAN), dtype=np.int32), np.zeros((len(doc), SPAN), dtype=np.float32)
+    for k in range(0, len(doc), block):
+        of = doc[k : k + block]
+        within = begin[k : k + block, None] + np.arange(SPAN)
+        inside = within < sizes[of][:, None]
+        at = before[of][:, None] + within
+        ids[k : k + block] = np.where(inside, flat[np.minimum(at, len(flat) - 1)], 0)
+        mask[k : k + block] = inside
+    return ids, mask, doc
+
+
+def window_logits(p: dict[str, np.ndarray], tables: dict[str, np.ndarray], ids: np.ndarray, mask: np.ndarray, block: int = 4096) -> np.ndarray:
+    return np.concatenate([forward(p, tables, ids[k : k + block], mask[k : k + block]) for k in range(0, len(ids), block)])
 
 
 def text_logits(p: dict[str, np.ndarray], tables: dict[str, np.ndarray], doc_ids: list[np.ndarray], block: int = 4096) -> tuple[np.ndarray, np.ndarray]:
     """(largest logit of each text's windows, logits of all windows)."""
     ids, mask, doc = windows(doc_ids)
-    logit = np.concatenate([forward(p, tables, ids[k : k + block], mask[k : k + block]) for k in range(0, len(ids), block)])
+    logit = window_logits(p, tables, ids, mask, block)
     first = np.searchsorted(doc, np.arange(len(doc_ids)))
     return np.maximum.reduceat(logit, first), logit
 
@@ -237,7 +253,7 @@ def train(texts: list[str], labels: list[int], check: list[bool], seed: int = 5,
     if len(set(y[~aside].tolist())) < 2:
         return None
     docs = [words.ids(words_of(t)) for t in texts]
-    own, flat, sizes = word_inputs(words.texts)
+    own, flat, sizes = all_inputs(words.texts)
     at = np.cumsum(sizes) - sizes
     p = new_parameters(seed)
 
@@ -283,7 +299,7 @@ def train(texts: list[str], labels: list[int], check: list[bool], seed: int = 5,
             g["chars"] = summed(pieces, np.repeat(dx / np.maximum(sizes[u], 1)[:, None], sizes[u], axis=0), BUCKETS)
             tool.step(g)
         x = embedded_all(p, own, flat, sizes)
-        score = text_logits(p, tables_of(p, x), [docs[k] for k in fit.tolist()])[1]
+        score = window_logits(p, tables_of(p, x), ids, mask)
 
     # the shift: the cut with the fewest faults on the texts kept aside, nearer to label 1, of which fewer are rare
     held = np.flatnonzero(aside) if len(set(y[aside].tolist())) == 2 else fit

@@ -91,8 +91,12 @@ def _score(p: dict[str, np.ndarray] | None):
 
 
 def fitted(docs: DataFrame, labels: DataFrame, size: tuple[int, int] = SAMPLE, id_col: str = "doc_id", text_col: str = "text") -> dict[str, np.ndarray] | None:
+    """The network; what the driver took up for the sample and the training is given back to the machine."""
     rows = sample(docs, labels, size, id_col, text_col)
-    return train([r[1] for r in rows], [r[2] for r in rows], [r[3] == 1 for r in rows])
+    p = train([r[1] for r in rows], [r[2] for r in rows], [r[3] == 1 for r in rows])
+    del rows
+    trim()
+    return p
 
 
 def score(docs: DataFrame, labels: DataFrame, size: tuple[int, int] = SAMPLE, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:

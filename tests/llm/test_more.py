@@ -318,3 +318,29 @@ def test_packed_sound_comes_back(spark):
     docs = spark.createDataFrame([(1, "some text " * 40), (2, ""), (3, None), (4, "\u00e9t\u00e9")], "doc_id long, text string")
     plain, packed = (sorted(map(tuple, media.read_back(media.store_texts(docs, packed=p), packed=p).collect())) for p in (False, True))
     assert plain == packed
+
+
+def test_training_takes_little_of_the_driver(monkeypatch):
+    """Windows and word inputs are worked out in blocks, equal to what one pass gives; after training the driver gives memory back."""
+    import tracemalloc
+
+    rng = np.random.default_rng(8)
+    docs = [rng.integers(1, 9000, n) for n in (0, 1, 33, *rng.integers(400, 900, 2500).tolist())]
+    tracemalloc.start()
+    ids, mask, doc = gru.windows(docs)
+    held, most = tracemalloc.get_traced_memory()
+    tracemalloc.stop()
+    assert len(ids) > 50_000 and most < 2 * held
+    for k in (0, 1, 2, 300, len(docs) - 1):
+        for row, inside, a in zip(ids[doc == k], mask[doc == k], gru.starts(len(docs[k])), strict=True):
+            own = docs[k][a : a + gru.SPAN]
+            assert row.tolist() == own.tolist() + [0] * (gru.SPAN - len(own)) and inside.sum() == len(own)
+    words = ["", *(f"w{k}-{k * k}é" for k in range(500))]
+    assert all((a == b).all() and a.dtype == b.dtype for a, b in zip(gru.word_inputs(words), gru.all_inputs(words, 7), strict=True))
+
+    calls = []
+    rows = [(k, "bad thing here" if k % 2 else "good thing there", k % 2, 1 + k % 4) for k in range(40)]
+    monkeypatch.setattr(toxicity, "sample", lambda *a: rows)
+    monkeypatch.setattr(toxicity, "train", lambda *a: calls.append("train"))
+    monkeypatch.setattr(toxicity, "trim", lambda: calls.append("trim"))
+    assert toxicity.fitted(None, None) is None and calls == ["train", "trim"]
